@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import minhash
+from . import minhash, toxicity
 from .runtime import read
 
 QUERIES = {}
@@ -16,6 +16,12 @@ def query(fn):
     return fn
 
 
+@query
+def op2_toxicity(spark, sf_dir):
+    """Toxicity of every document, learnt from the labelled rows outside the held-out fold."""
+    return toxicity.held_out_scores(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels"))
+
+
 @query
 def op3_minhash_dedup(spark, sf_dir):
     """Near-duplicate documents: two-word shingles, similarity 0.8."""
