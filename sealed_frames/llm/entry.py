@@ -4,9 +4,22 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import minhash, toxicity
+from . import minhash, sentencepiece_codec, toxicity
 from .runtime import read
 
+TOKENIZERS = "/opt/tokenizers"
+PIECES = "piece_bpe_32k.model"
+
+
+def piece_file() -> str:
+    """The piece model of the installed vocabularies; else of their usual folder."""
+    try:
+        import public_tokenizers
+    except ModuleNotFoundError:
+        return f"{TOKENIZERS}/{PIECES}"
+    return public_tokenizers.path(PIECES)
+
+
 QUERIES = {}
 SQL = {}
 
@@ -47,3 +60,9 @@ SELECT s.doc_id, CAST(len(s.s) AS BIGINT) AS n_shingles, coalesce(root, s.doc_id
        coalesce(root, s.doc_id) = s.doc_id AS kept
 FROM sets s LEFT JOIN roots USING (doc_id)
 """
+
+
+@query
+def op6_sentencepiece(spark, sf_dir):
+    """Ids and decoded text of every document, as digests."""
+    return sentencepiece_codec.encode_decode(read(spark, sf_dir, "documents"), piece_file())

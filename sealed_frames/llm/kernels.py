@@ -104,6 +104,20 @@ def words(body: np.ndarray, offsets: np.ndarray, lower: bool = True):
     return mix(value), counts, start, end
 
 
+def span_hashes(body: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """A hash of each byte span (end > start), as words() forms them."""
+    up, down = _power(len(body) + 1)
+    terms = _BYTE[body]
+    terms *= up[: len(body)]
+    np.cumsum(terms, out=terms)
+    value = terms[end - 1]
+    inner = start > 0
+    value[inner] -= terms[start[inner] - 1]
+    value *= down[start]
+    value += (end - start).astype(_U) * _U(0xE7037ED1A0B428DB)
+    return mix(value)
+
+
 def count_words(body: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     """Number of words of each row."""
     n = len(body)
