@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import minhash, sentencepiece_codec, toxicity
+from . import minhash, ngram_lm, sentencepiece_codec, toxicity
 from .runtime import read
 
 TOKENIZERS = "/opt/tokenizers"
@@ -66,3 +66,9 @@ FROM sets s LEFT JOIN roots USING (doc_id)
 def op6_sentencepiece(spark, sf_dir):
     """Ids and decoded text of every document, as digests."""
     return sentencepiece_codec.encode_decode(read(spark, sf_dir, "documents"), piece_file())
+
+
+@query
+def op7_ngram_lm(spark, sf_dir):
+    """Log-probability of every document under a trigram model of the other folds."""
+    return ngram_lm.held_out_scores(read(spark, sf_dir, "documents"))
