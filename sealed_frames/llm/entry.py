@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import minhash, ngram_lm, sentencepiece_codec, toxicity
+from . import minhash, mixing, ngram_lm, sentencepiece_codec, toxicity, url_filter, warc
 from .runtime import read
 
 TOKENIZERS = "/opt/tokenizers"
@@ -72,3 +72,72 @@ def op6_sentencepiece(spark, sf_dir):
 def op7_ngram_lm(spark, sf_dir):
     """Log-probability of every document under a trigram model of the other folds."""
     return ngram_lm.held_out_scores(read(spark, sf_dir, "documents"))
+
+
+@query
+def op4_mixing(spark, sf_dir):
+    """Words that the mixture takes of every document."""
+    return mixing.mix(read(spark, sf_dir, "documents")).drop("source")
+
+
+SQL["op4_mixing"] = r"""
+WITH rows AS (
+  SELECT doc_id, source, CAST(len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS BIGINT) AS size,
+         CAST('0x' || substr(md5(coalesce(CAST(doc_id AS VARCHAR), '')), 1, 15) AS BIGINT) AS place FROM documents),
+sums AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size FROM rows GROUP BY source),
+ranked AS (SELECT *, source_size * 3 AS cap,
+  CAST([5, 2, 1][CAST((row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 + 1 AS INT)] AS DOUBLE) AS w FROM sums),
+leveled AS (SELECT *, CAST(sum(source_size) OVER () - coalesce(sum(cap) OVER before, 0) AS DOUBLE)
+                      / (sum(w) OVER () - coalesce(sum(w) OVER before, 0)) AS level FROM ranked
+  WINDOW before AS (ORDER BY cap / w, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
+aims AS (SELECT source, source_size, least(CAST(cap AS DOUBLE), max(level) OVER () * w) AS target FROM leveled),
+budgets AS (SELECT *, CASE WHEN source_size > 0 THEN CAST(floor(target / source_size) AS BIGINT) ELSE 0 END AS passes FROM aims),
+run AS (SELECT r.*, source_size, target, passes, target - CAST(passes * source_size AS DOUBLE) AS budget,
+  sum(size) OVER (PARTITION BY r.source ORDER BY place) AS upto, sum(size) OVER (PARTITION BY r.source, place) AS here
+  FROM rows r JOIN budgets b ON r.source IS NOT DISTINCT FROM b.source)
+SELECT doc_id, size, source_size, target,
+  CAST(size * (passes + CASE WHEN CAST(2 * upto - here AS DOUBLE) <= 2 * budget THEN 1 ELSE 0 END) AS BIGINT) AS taken FROM run
+"""
+
+
+@query
+def op5_warc(spark, sf_dir):
+    """Archives of all pages, written and read back."""
+    return warc.archive_round_trip(read(spark, sf_dir, "pages")).drop("url")
+
+
+SQL["op5_warc"] = """
+WITH p AS (SELECT page_id, octet_length(encode(coalesce(html, ''))) AS n, sha256(coalesce(html, '')) AS d FROM pages),
+g AS (SELECT *, min(page_id) OVER (PARTITION BY d) AS first FROM p)
+SELECT page_id, CAST(n AS BIGINT) AS payload_bytes, d AS payload_digest,
+  CASE WHEN n >= 100 AND first <> page_id THEN 'revisit' ELSE 'response' END AS record_type,
+  CASE WHEN n >= 100 AND first <> page_id THEN first END AS refers_to FROM g
+"""
+
+#: (verdict, host, path)
+URL_RULES = (
+    ("block", "com", "/en/"),
+    ("allow", "example.com", "/en/7"),
+    ("block", "net", "/de/"),
+    ("block", "example.net", "/de/8"),
+    ("block", "org", "/es/"),
+)
+
+
+@query
+def op9_url_filter(spark, sf_dir):
+    """Verdict of every page's url."""
+    return url_filter.judge(read(spark, sf_dir, "pages"), URL_RULES)
+
+
+_FITS = " ".join(
+    f"WHEN (host = '{h}' OR ends_with(host, '.{h}')) AND starts_with(path, '{p}') THEN '{v} {h}{p}'"
+    for v, h, p in sorted(URL_RULES, key=lambda r: (-r[1].count("."), -len(r[2])))
+)
+SQL["op9_url_filter"] = f"""
+WITH u AS (SELECT page_id, CASE WHEN strpos(url, '://') > 0 THEN substr(url, strpos(url, '://') + 3) ELSE '' END AS rest FROM pages),
+h AS (SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host,
+        regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM u),
+r AS (SELECT *, CASE {_FITS} END AS hit FROM h)
+SELECT page_id, host, path, split_part(hit, ' ', 2) AS rule, CASE WHEN hit IS NULL THEN 'allow' ELSE split_part(hit, ' ', 1) END AS verdict FROM r
+"""
