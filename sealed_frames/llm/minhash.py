@@ -7,9 +7,10 @@ similarity j miss all tables only if fewer than two collections agree; at j = 0.
 (16 collections of 3) that happens with probability 0.00018, falling fast above.
 
 Nothing is ever paired within a bucket: members are confirmed against the bucket's smallest
-member, components are formed, and only members of *other* components of the same bucket are then
-compared with the rest, so that no link between buckets' members is lost while a group of copies
-costs rows in proportion to its size. Equal sets are one class from the start.
+member and components are formed. Only documents of *other* components of the same bucket are then
+compared with the rest, in blocks whose intersections are matrix products, so that no link between
+buckets' members is lost and a group of copies costs rows in proportion to its size. Equal sets are
+one class from the start.
 """
 
 from __future__ import annotations
@@ -29,6 +30,8 @@ from .runtime import settle, ship, small_side
 
 #: Ids that may be broadcast to pick candidates' texts; beyond it the texts are joined by a shuffle.
 BROADCAST_IDS = 1_000_000
+#: Sets and set members of a block that is compared with another, about.
+BLOCK_SETS, BLOCK_VALUES = 192, 100_000
 _U = np.uint64
 
 
@@ -134,6 +137,95 @@ def _candidate_sets(docs: DataFrame, pairs: DataFrame, words: int) -> DataFrame:
     return settle(found.dropDuplicates(["id"]), "sets")
 
 
+def shared_counts(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
+    """Sizes of all intersections of two blocks of sorted sets: products of 0/1 matrices over the values
+    that both blocks hold."""
+    values = [np.concatenate(x) if x else np.zeros(0, np.int64) for x in (left, right)]
+    rows = [np.repeat(np.arange(len(x)), [len(s) for s in x]) for x in (left, right)]
+    both = np.intersect1d(*values)
+    out = np.zeros((len(left), len(right)), np.float32)
+    if not len(both):
+        return out.astype(np.int64)
+    at = [np.searchsorted(both, v) for v in values]
+    good = [(i < len(both)) & (both[np.minimum(i, len(both) - 1)] == v) for i, v in zip(at, values)]
+    for c in range(0, len(both), 4096):
+        parts = []
+        for x, i, g, r in zip((left, right), at, good, rows):
+            here = g & (i >= c) & (i < c + 4096)
+            grid = np.zeros((len(x), min(4096, len(both) - c)), np.float32)
+            grid[r[here], i[here] - c] = 1
+            parts.append(grid)
+        out += parts[0] @ parts[1].T
+    return out.astype(np.int64)
+
+
+def _forest(linked: np.ndarray, ids: list[int], others: list[int], joined: bool) -> list[tuple[int, int]]:
+    """Links that connect what ``linked`` connects; ``joined``: the others are one component anyway."""
+    if joined:
+        return [(ids[i], others[int(np.argmax(linked[i]))]) for i in np.flatnonzero(linked.any(axis=1))]
+    left = np.ones(len(others), bool)  # columns that no row of an earlier walk has reached
+    todo = set(np.flatnonzero(linked.any(axis=1)).tolist())
+    out = []
+    while todo:
+        wave = [todo.pop()]
+        while wave:
+            i = wave.pop()
+            fresh = np.flatnonzero(linked[i] & left)
+            left[fresh] = False
+            for j in fresh.tolist():
+                out.append((ids[i], others[j]))
+                for k in np.flatnonzero(linked[:, j]).tolist():
+                    if k in todo:
+                        todo.discard(k)
+                        wave.append(k)
+                        out.append((ids[k], others[j]))
+    return out
+
+
+def _compare(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        found: list[tuple[int, int]] = []
+        for r in range(batch.num_rows):
+            ids, others, sets = [], [], []
+            for name, into in (("a", ids), ("b", others)):
+                block = batch.column(batch.schema.get_field_index(name))[r].values
+                into += block.field("id").to_pylist()
+                lists = block.field("members")
+                sets.append([lists[k].values.to_numpy() for k in range(len(lists))])
+            both = shared_counts(*sets)
+            sizes = np.add.outer([len(s) for s in sets[0]], [len(s) for s in sets[1]])
+            linked = both * 100 >= (sizes - both) * percent
+            linked &= np.not_equal.outer(ids, others)
+            found += _forest(linked, ids, others, bool(batch.column(batch.schema.get_field_index("joined"))[r].as_py()))
+        if found:
+            u, v = map(np.array, zip(*found))
+            yield pa.RecordBatch.from_arrays([pa.array(np.maximum(u, v)), pa.array(np.minimum(u, v))], names=["u", "v"])
+
+
+def _links_across(members: DataFrame, labels: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links between members of one bucket that the first components leave apart.
+
+    In every such bucket one component has most members. Documents of other components that share a
+    bucket with it are compared, in blocks of bounded size, with its members in such buckets and with
+    each other: exactly, on full sets. Only links that connect are returned.
+    """
+    placed = members.join(labels, "id", "left").select("bucket", "id", F.coalesce("component", "id").alias("comp"))
+    counts = placed.groupBy("bucket", "comp").agg(F.count("*").alias("k"))
+    split = counts.groupBy("bucket").agg(F.max(F.struct("k", "comp")).alias("top"), F.count("*").alias("parts")).where("parts > 1")
+    apart = placed.join(split.select("bucket", F.col("top.comp").alias("main")), "bucket")
+    sided = settle(apart.select("main", "id", (F.col("comp") == F.col("main")).alias("own")).distinct(), "apart")
+    held = sided.join(sets, "id")
+    size = F.size("members")
+    room = sided.join(sets.select("id", size.alias("n")), "id").groupBy("main", "own").agg(F.count("*").alias("k"), F.sum("n").alias("n"))
+    room = room.select("main", "own", F.ceil(F.greatest(F.col("k") / BLOCK_SETS, F.col("n") / BLOCK_VALUES)).cast("long").alias("blocks"))
+    dealt = held.join(room, ["main", "own"]).withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")))
+    blocks = settle(dealt.groupBy("main", "own", "block").agg(F.collect_list(F.struct("id", "members")).alias("part")), "blocks")
+    x = blocks.where("not own").select("main", F.col("block").alias("i"), F.col("part").alias("a"))
+    y = blocks.select("main", F.col("own").alias("joined"), F.col("block").alias("j"), F.col("part").alias("b"))
+    pairs = x.join(y, "main").where("joined or i <= j").select("a", "b", "joined")
+    return pairs.mapInArrow(lambda it: _compare(it, percent), "u long, v long").distinct()
+
+
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, groups: int = 16, rows: int = 3) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) of every row of ``docs`` (doc_id, text).
 
@@ -165,30 +257,9 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, groups:
     links = settle(_confirm(first, sets, percent), "links")
     labels = connected(links)
 
-    # members of a bucket that are still apart: all pairs across components are confirmed too
-    placed = members.join(labels, "id", "left").select("bucket", "id", F.coalesce("component", "id").alias("comp"))
-    counts = placed.groupBy("bucket", "comp").agg(F.count("*").alias("k"))
-    split = counts.groupBy("bucket").agg(F.max(F.struct("k", "comp")).alias("top"), F.count("*").alias("parts")).where("parts > 1")
-    apart = settle(placed.join(split.select("bucket", F.col("top.comp").alias("main")), "bucket"), "apart")
-    x, y = apart.where("comp <> main").alias("x"), apart.alias("y")
-    rest = (
-        x.join(y, F.expr("x.bucket = y.bucket and x.comp <> y.comp and (y.comp = y.main or x.id > y.id)"))
-        .select(F.greatest("x.id", "y.id").alias("u"), F.least("x.id", "y.id").alias("v"))
-        .distinct()
-        .join(first, ["u", "v"], "left_anti")
-    )
-    sizes = sets.select("id", F.size("members").alias("n"))
-    rest = (
-        rest.join(sizes.select(F.col("id").alias("u"), F.col("n").alias("nu")), "u")
-        .join(sizes.select(F.col("id").alias("v"), F.col("n").alias("nv")), "v")
-        .where(F.least("nu", "nv") * 100 >= F.greatest("nu", "nv") * percent)
-        .select("u", "v")
-    )
-    rest = settle(rest, "rest")
-    if not rest.isEmpty():
-        more = settle(_confirm(rest, sets, percent), "links")
-        if not more.isEmpty():
-            labels = connected(labels.select(F.col("id").alias("u"), F.col("component").alias("v")).unionByName(more))
+    more = settle(_links_across(members, labels, sets, percent), "links")
+    if not more.isEmpty():
+        labels = connected(labels.select(F.col("id").alias("u"), F.col("component").alias("v")).unionByName(more))
 
     roots = settle(
         classes.join(labels, "id", "left").select("fp1", "fp2", F.coalesce("component", "id").alias("component_id")), "roots"
