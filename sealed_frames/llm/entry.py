@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import minhash, mixing, ngram_lm, sentencepiece_codec, toxicity, url_filter, warc
+from . import embedding_dedup, minhash, mixing, ngram_lm, sentencepiece_codec, toxicity, url_filter, warc
 from .runtime import read
 
 TOKENIZERS = "/opt/tokenizers"
@@ -141,3 +141,23 @@ h AS (SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*'), 'ABCDEFGHIJKLM
 r AS (SELECT *, CASE {_FITS} END AS hit FROM h)
 SELECT page_id, host, path, split_part(hit, ' ', 2) AS rule, CASE WHEN hit IS NULL THEN 'allow' ELSE split_part(hit, ' ', 1) END AS verdict FROM r
 """
+
+
+@query
+def op10_embedding_dedup(spark, sf_dir):
+    """Links and components of all vectors at cosine 0.95."""
+    return embedding_dedup.close_vectors(read(spark, sf_dir, "embeddings"))
+
+
+SQL["op10_embedding_dedup"] = """
+WITH RECURSIVE v AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM embeddings),
+ok AS (SELECT vec_id, e FROM v WHERE e IS NOT NULL AND len(e) > 0 AND len(list_filter(e, lambda x: x IS NULL OR NOT isfinite(x))) = 0
+       AND list_dot_product(e, e) > 0),
+u AS (SELECT vec_id, list_transform(e, lambda x: x / sqrt(list_dot_product(e, e))) AS e FROM ok),
+links AS (SELECT a.vec_id AS x, b.vec_id AS y FROM u a JOIN u b ON a.vec_id <> b.vec_id AND list_dot_product(a.e, b.e) >= 0.95),
+reach AS (SELECT x AS vec_id, x AS r FROM links UNION SELECT l.y, reach.r FROM reach JOIN links l ON l.x = reach.vec_id),
+roots AS (SELECT vec_id, min(r) AS root FROM reach GROUP BY vec_id),
+counts AS (SELECT x AS vec_id, count(*) AS n FROM links GROUP BY x)
+SELECT v.vec_id, coalesce(n, 0) AS n_links, coalesce(root, v.vec_id) AS component_id, coalesce(root, v.vec_id) = v.vec_id AS kept
+FROM v LEFT JOIN counts USING (vec_id) LEFT JOIN roots USING (vec_id)
+"""
