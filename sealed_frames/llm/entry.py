@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import embedding_dedup, minhash, mixing, ngram_lm, sentencepiece_codec, toxicity, url_filter, warc
+from . import ann, embedding_dedup, minhash, mixing, ngram_lm, sentencepiece_codec, toxicity, url_filter, warc
 from .runtime import read
 
 TOKENIZERS = "/opt/tokenizers"
@@ -161,3 +161,9 @@ counts AS (SELECT x AS vec_id, count(*) AS n FROM links GROUP BY x)
 SELECT v.vec_id, coalesce(n, 0) AS n_links, coalesce(root, v.vec_id) AS component_id, coalesce(root, v.vec_id) = v.vec_id AS kept
 FROM v LEFT JOIN counts USING (vec_id) LEFT JOIN roots USING (vec_id)
 """
+
+
+@query
+def op8_nearest_neighbours(spark, sf_dir):
+    """20 neighbours by inner product of every 20th vector."""
+    return ann.neighbours(read(spark, sf_dir, "embeddings"))
