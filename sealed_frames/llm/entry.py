@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import ann, embedding_dedup, minhash, mixing, ngram_lm, sentencepiece_codec, toxicity, url_filter, warc
+from . import ann, embedding_dedup, html_extract, minhash, mixing, ngram_lm, sentencepiece_codec, toxicity, url_filter, warc
 from .runtime import read
 
 TOKENIZERS = "/opt/tokenizers"
@@ -29,6 +29,12 @@ def query(fn):
     return fn
 
 
+@query
+def op1_html_extraction(spark, sf_dir):
+    """Main text of every page."""
+    return html_extract.main_text(read(spark, sf_dir, "pages"))
+
+
 @query
 def op2_toxicity(spark, sf_dir):
     """Toxicity of every document, learnt from the labelled rows outside the held-out fold."""

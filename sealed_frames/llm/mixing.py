@@ -34,13 +34,18 @@ def _sizes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             )
 
 
+def place_of(doc_id: str):
+    """The leading 60 bits of the MD5 of the id's text (of the empty text for null)."""
+    text = F.coalesce(F.col(doc_id).cast("long").cast("string"), F.lit("")).cast("binary")
+    return F.conv(F.substring(F.md5(text), 1, 15), 16, 10).cast("long")
+
+
 def sized(docs: DataFrame) -> DataFrame:
     """(doc_id, source, size, place) of every row; size: words of the text."""
     ship(docs.sparkSession)
     picked = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), F.col("text").cast("string").alias("text"))
     found = picked.mapInArrow(_sizes, "doc_id long, source string, size long")
-    place = F.conv(F.substring(F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")), 1, 15), 16, 10).cast("long")
-    return found.withColumn("place", place)
+    return found.withColumn("place", place_of("doc_id"))
 
 
 def targets(sums: DataFrame, weights: tuple[float, ...] = (5, 2, 1), most: int = 3) -> DataFrame:
@@ -86,6 +91,24 @@ def thresholds(rows: DataFrame, budgets: DataFrame) -> DataFrame:
     )
 
 
+def plan(rows: DataFrame, weights: tuple[float, ...], most: int) -> DataFrame:
+    """Per source (s): source_size, target, whole passes, and the threshold of the rest."""
+    sums = settle(rows.groupBy("source").agg(F.sum("size").alias("source_size")), "sources")
+    aims = targets(sums, weights, most)
+    passes = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0)).cast("long")
+    aims = settle(aims.withColumn("passes", passes).withColumn("budget", F.col("target") - (F.col("passes") * F.col("source_size")).cast("double")), "aims")
+    edges = thresholds(rows, aims.select("source", "budget"))
+    known = aims.join(edges.withColumnRenamed("source", "es"), F.col("source").eqNullSafe(F.col("es")), "left")
+    return settle(known.select(F.col("source").alias("s"), "source_size", "target", "passes", "edge", "inclusive"), "known")
+
+
+def _times(place, prefix: str = ""):
+    """How often the mix takes a document that meets its source's plan."""
+    edge, inclusive, passes = (F.col(prefix + c) for c in ("edge", "inclusive", "passes"))
+    once = edge.isNull() | (place < edge) | ((place == edge) & inclusive)
+    return passes + F.when(once, 1).otherwise(0)
+
+
 def mix(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), most: int = 3) -> DataFrame:
     """(doc_id, source, size, source_size, target, taken) of every row of ``docs`` (doc_id, source, text).
 
@@ -94,27 +117,18 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), most: int = 3)
     null is a source like others; a source of size 0 has target 0. Further columns are ignored.
     """
     rows = settle(sized(docs), "sized")
-    sums = settle(rows.groupBy("source").agg(F.sum("size").alias("source_size")), "sources")
-    aims = targets(sums, weights, most)
-    passes = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0)).cast("long")
-    aims = settle(aims.withColumn("passes", passes).withColumn("budget", F.col("target") - (F.col("passes") * F.col("source_size")).cast("double")), "aims")
-    edges = thresholds(rows, aims.select("source", "budget"))
-    known = aims.join(edges.withColumnRenamed("source", "es"), F.col("source").eqNullSafe(F.col("es")), "left")
-    known = settle(known.select(F.col("source").alias("s"), "source_size", "target", "passes", "edge", "inclusive"), "known")
+    known = plan(rows, weights, most)
     met = rows.join(small_side(known, BROADCAST_SOURCES), F.col("source").eqNullSafe(F.col("s")))
-    once = F.col("edge").isNull() | (F.col("place") < F.col("edge")) | ((F.col("place") == F.col("edge")) & F.col("inclusive"))
-    return met.select(
-        "doc_id", "source", "size", "source_size", "target", (F.col("size") * (F.col("passes") + F.when(once, 1).otherwise(0))).alias("taken")
-    )
+    return met.select("doc_id", "source", "size", "source_size", "target", (F.col("size") * _times(F.col("place"))).alias("taken"))
 
 
 def mixed_documents(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), most: int = 3) -> DataFrame:
     """The mixture itself: each row of ``docs`` as often as its words are taken, all columns as they were.
 
-    A row of size 0 is never taken. Rows of one doc_id are told apart by source and size.
+    Documents meet only their source's plan, so texts are not moved. A row without words is never taken.
     """
-    found = mix(docs, weights, most).where("taken > 0").select("doc_id", "source", (F.col("taken") / F.col("size")).cast("int").alias("times"))
-    times = settle(found.distinct(), "times")
-    right = small_side(times.select(F.col("doc_id").alias("d"), F.col("source").alias("s"), "times"), 1_000_000)
-    met = docs.join(right, F.col("doc_id").eqNullSafe(F.col("d")) & F.col("source").eqNullSafe(F.col("s")))
-    return met.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("times")))).select(*docs.columns)
+    known = small_side(plan(settle(sized(docs), "sized"), weights, most), BROADCAST_SOURCES)
+    known = known.select(*[F.col(c).alias(f"mix plan {c}") for c in known.columns])
+    met = docs.where(F.col("text").rlike(r"[^\x20\x09-\x0D]")).join(known, F.col("source").cast("string").eqNullSafe(F.col("mix plan s")))
+    met = met.withColumn("mix times", _times(place_of("doc_id"), "mix plan ").cast("int")).where("`mix times` > 0")
+    return met.withColumn("mix copy", F.explode(F.sequence(F.lit(1), F.col("mix times")))).select(*docs.columns)
