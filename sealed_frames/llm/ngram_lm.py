@@ -6,7 +6,7 @@ holds, under each word pair, the *positions of the third word among the successo
 a far smaller range than word numbers. Each level is one monotone Elias-Fano sequence (every range
 is shifted by the end of the range before it) with Elias-Fano pointers to the ranges, and one byte
 per entry for its quantised discounted probability and for the mass left to shorter contexts. A
-lookup goes to the high-bit bucket of the value sought and steps through its few entries.
+lookup goes to the high-bit bucket of the value sought and halves it.
 
 Probability of a word after two words: discounted share of the triple, plus the mass left of the
 pair times the same for the second word alone, plus the mass left of that word times the smoothed
@@ -37,6 +37,8 @@ _U = np.uint64
 END, START = (K.mix(np.array([11, 23], _U)) | _U(1)).tolist()
 #: Words a shard holds, about; held counts of a task before it hands them on.
 SHARD_WORDS, HELD = 1 << 18, 1 << 22
+#: Text bytes that are looked up at a time: each distinct pair and triple of them once.
+SLICE = 3 << 20
 #: The smallest log10 that a byte can stand for; codes lie on a square scale, finest near probability 1.
 FLOOR = -9.0
 
@@ -82,20 +84,15 @@ class EliasFano:
     def _select(self, k: np.ndarray, before: np.ndarray, flip: bool) -> np.ndarray:
         """Bit position of the k-th (from 0) set bit, or clear bit with flip."""
         word = np.searchsorted(before, k, "right") - 1
-        left = k - before[word]
-        at = word * 8
-        done = np.zeros(len(k), bool)
-        out = np.zeros(len(k), np.int64)
-        for _ in range(8):
-            byte = self.bytes[at]
-            byte = ~byte if flip else byte
-            here = _POP[byte]
-            hit = ~done & (left < here)
-            out[hit] = at[hit] * 8 + _NTH[byte[hit], left[hit]]
-            done |= hit
-            left = np.where(done, left, left - here)
-            at = np.where(done, at, np.minimum(at + 1, len(self.bytes) - 1))
-        return out
+        inside = self.bytes.reshape(-1, 8)[word]
+        if flip:
+            inside = ~inside
+        upto = _POP[inside].cumsum(axis=1, dtype=np.uint8)
+        left = (k - before[word]).astype(np.uint8)
+        byte = (upto <= left[:, None]).sum(axis=1)
+        rows = np.arange(len(k))
+        left -= np.where(byte > 0, upto[rows, byte - 1], 0).astype(np.uint8)
+        return word * 64 + byte * 8 + _NTH[inside[rows, byte], left]
 
     def low_at(self, i: np.ndarray) -> np.ndarray:
         if not self.low_bits:
@@ -120,21 +117,23 @@ class EliasFano:
         high, low = value >> self.low_bits, (value & ((1 << self.low_bits) - 1)).astype(_U)
         inside = (stop > first) & (high < self.zeros[-1])
         live = np.flatnonzero(inside)
-        h = high[live]
-        at = np.where(h > 0, self._select(np.maximum(h - 1, 0), self.zeros, True) + 1, 0)
-        i = at - h
-        skip = np.maximum(first[live] - i, 0)  # entries of the bucket that belong to earlier ranges
-        at, i = at + skip, i + skip
-        while len(live):
-            good = (i < stop[live]) & ((self.bytes[np.minimum(at >> 3, len(self.bytes) - 1)] >> (at & 7)) & 1 == 1)
-            live, at, i = live[good], at[good], i[good]
-            if not len(live):
+        h, low = high[live], low[live]
+        lo = np.where(h > 0, self._select(np.maximum(h - 1, 0), self.zeros, True) + 1 - h, 0)
+        hi = self._select(h, self.zeros, True) - h
+        lo, hi = np.maximum(lo, first[live]), np.minimum(hi, stop[live])
+        on = lo < hi
+        live, lo, hi, low = live[on], lo[on], hi[on], low[on]
+        end = hi.copy()
+        while True:  # most buckets hold an entry or two; those of dense ranges are halved
+            wide = np.flatnonzero(hi - lo > 1)
+            if not len(wide):
                 break
-            found = self.low_at(i)
-            hit = found == low[live]
-            out[live[hit]] = i[hit]
-            on = found < low[live]
-            live, at, i = live[on], at[on] + 1, i[on] + 1
+            middle = (lo[wide] + hi[wide]) >> 1
+            right = self.low_at(middle) <= low[wide]
+            lo[wide[right]] = middle[right]
+            hi[wide[~right]] = middle[~right]
+        hit = (lo < end) & (self.low_at(np.minimum(lo, self.n - 1)) == low)
+        out[live[hit]] = lo[hit]
         return out
 
 
@@ -172,7 +171,7 @@ def _get(fs_path: str) -> dict[str, np.ndarray]:
     from pyarrow import fs
 
     if urlparse(fs_path).scheme in ("", "file"):
-        raw = np.memmap(urlparse(fs_path).path, np.uint8, mode="r")
+        raw = np.memmap(urlparse(fs_path).path, np.uint8, mode="r").view(np.ndarray)
     else:
         system, path = fs.FileSystem.from_uri(fs_path)
         with system.open_input_stream(path) as f:
@@ -338,7 +337,7 @@ def _tally(stream: Iterator[np.ndarray], names: list[str]) -> Iterator[pa.Record
 
 
 def _word_tally(batches):
-    return _tally((_tokens(body, offsets)[0] for batch in batches for _, _, body, offsets in K.slices(batch, "text")), ["word", "n"])
+    return _tally((_tokens(body, offsets)[0] for batch in batches for _, _, body, offsets in K.slices(batch, "text", SLICE)), ["word", "n"])
 
 
 class _Lookup:
@@ -381,7 +380,7 @@ class _Lookup:
 
 def _pair_tally(batches, layout):
     trie = Trie(layout)
-    return _tally((_Lookup(trie, body, offsets).pair_keys() for batch in batches for _, _, body, offsets in K.slices(batch, "text")), ["key", "n"])
+    return _tally((_Lookup(trie, body, offsets).pair_keys() for batch in batches for _, _, body, offsets in K.slices(batch, "text", SLICE)), ["key", "n"])
 
 
 def _triple_tally(batches, layout):
@@ -389,7 +388,7 @@ def _triple_tally(batches, layout):
 
     def keys():
         for batch in batches:
-            for _, _, body, offsets in K.slices(batch, "text"):
+            for _, _, body, offsets in K.slices(batch, "text", SLICE):
                 one = _Lookup(trie, body, offsets)
                 one.find_pairs()
                 yield one.triple_keys()
@@ -503,7 +502,7 @@ def _score(batches: Iterator[pa.RecordBatch], layout: Layout) -> Iterator[pa.Rec
     trie = Trie(layout)
     floor = layout.total + 0.1 * (layout.distinct + 1)
     for batch in batches:
-        for i, j, body, offsets in K.slices(batch, "text"):
+        for i, j, body, offsets in K.slices(batch, "text", SLICE):
             one = _Lookup(trie, body, offsets)
             one.find_pairs()
             at = one.at
