@@ -2,8 +2,9 @@
 
 from __future__ import annotations
 
-from .workloads import prior, tpch
+from .baselines import queries as baselines
+from .workloads import micro, prior, surrounding, tpch
 
-_MODULES = (tpch, prior)
+_MODULES = (tpch, prior, micro, surrounding, baselines)
 QUERIES = {k: v for m in _MODULES for k, v in m.QUERIES.items()}
 SQL = {k: v for m in _MODULES for k, v in m.SQL.items()}

@@ -1,6 +1,7 @@
 """Dense row positions without a window over the whole table.
 
-Rows are range-partitioned and sorted; a count per partition gives each partition's offset (one small
+Rows are range-partitioned and sorted (and checkpointed, since range bounds come from samples that a second
+reading of the plan may draw otherwise); a count per partition gives each partition's offset (one small
 row per partition, broadcast); the position is the offset plus the rank within the partition.
 """
 
@@ -9,13 +10,15 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .session import checkpointed
+
 POS = "__pos"
 
 
 def with_positions(df: DataFrame, order: list[Column], blocks: int | None = None, name: str = POS) -> DataFrame:
     """Add ``name``: 0, 1, 2, ... along ``order``; ties are broken by chance unless the order is total."""
     dealt = df.repartitionByRange(blocks, *order) if blocks else df.repartitionByRange(*order)
-    dealt = dealt.withColumn("__part", F.spark_partition_id())
+    dealt = checkpointed(dealt.withColumn("__part", F.spark_partition_id()))
     ranked = dealt.withColumn("__rank", F.row_number().over(Window.partitionBy("__part").orderBy(*order)) - 1)
     counts = dealt.groupBy("__part").agg(F.count("*").alias("__n"))
     before = counts.select(F.col("__part").alias("__p"), F.coalesce(F.sum("__n").over(Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("__before"))

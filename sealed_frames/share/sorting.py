@@ -117,23 +117,27 @@ def bitwise_sort(p: Protocol, key: Shared, bits: int, skip: int = 0, variant: st
     return now, total
 
 
-def pivot_sort(p: Protocol, key: Shared, ell: int = 64, seed: int = 7, signed: bool = False) -> tuple[Shared, int]:
+def pivot_sort(p: Protocol, key: Shared, ell: int = 64, seed: int = 7, signed: bool = False) -> tuple[Shared, int, int]:
     """Shuffle, then quicksort level by level: every element is compared with the pivot at or before it,
-    outcomes are opened, segments split (L409-461). Keys must be distinct; (sorted key, levels)."""
+    outcomes are opened, segments split (L409-461). Keys must be distinct; (sorted key, levels,
+    comparisons). Finished elements are compared no more."""
     n = len(key)
     now = shuffle(p, key, seed)
     pivot = np.zeros(n, bool)
     if n:
         pivot[0] = True
-    levels = 0
+    levels = compared = 0
     placed = np.zeros(n, bool)  # elements that are their own finished segment
     while n and not placed.all():
         levels += 1
         at = np.maximum.accumulate(np.where(pivot, np.arange(n), 0))
-        less = p.open(greater(p, Shared(now.terms[:, at], True), now, ell, signed), 1).astype(bool)  # pivot > element
+        active = np.flatnonzero(at != np.arange(n))
+        compared += len(active)
+        less = np.zeros(n, bool)  # pivot > element
+        less[active] = p.open(greater(p, Shared(now.terms[:, at[active]], True), Shared(now.terms[:, active], True), ell, signed), 1)
         dest, pivot, placed = split_segments(less, pivot, placed)
         now = Shared(apply(dest, now.terms), now.boolean)
-    return now, levels
+    return now, levels, compared
 
 
 def split_segments(less: np.ndarray, pivot: np.ndarray, placed: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -229,7 +233,7 @@ def sort_vector(p: Protocol, key: Shared, order: str = "asc", base: str = "pivot
     low = index if order == "asc" else (1 << PAD_BITS) - 1 - index
     padded = p.xor(p.shift(key, PAD_BITS), p.public(low, True))
     if base == "pivot":
-        out, _ = pivot_sort(p, padded, PAD_BITS + bits, seed)
+        out, _, _ = pivot_sort(p, padded, PAD_BITS + bits, seed)
     elif base == "bitwise":
         # a stable sort by the key's bits needs no pass over the index
         source = padded if order == "asc" else Shared(padded.terms[:, ::-1], True)
