@@ -7,11 +7,15 @@ random byte values), finalised with its length; equal words have equal hashes on
 
 from __future__ import annotations
 
+import ctypes
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-SLICE_BYTES = 2 << 20
+SLICE_BYTES = 1 << 20
+# A worker gives back what it frees: Arrow's own pools keep it for a process's life.
+pa.set_memory_pool(pa.system_memory_pool())
 _U = np.uint64
 _BASE = 0x9E3779B97F4A7C15 | 1
 _INV = pow(_BASE, -1, 1 << 64)
@@ -35,12 +39,22 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 _BYTE = mix(np.arange(1, 257, dtype=_U) * _U(0xA0761D6478BD642F))
 _BYTE_LOWER = _BYTE[LOWER]
+
+
+def give_back() -> None:
+    """Return freed heap pages to the system, where the C library can."""
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        pass
+
+
 _powers: dict[str, np.ndarray] = {"up": np.ones(1, _U), "down": np.ones(1, _U)}
 
 
 def _power(n: int) -> tuple[np.ndarray, np.ndarray]:
     if len(_powers["up"]) < n:
-        size = 1 << max(16, int(n - 1).bit_length())
+        size = -(-n // 65536) * 65536
         for key, base in (("up", _BASE), ("down", _INV)):
             steps = np.full(size, base, _U)
             steps[0] = 1
@@ -69,6 +83,8 @@ def slices(batch: pa.RecordBatch, column: str, most: int = SLICE_BYTES):
         j = max(i + 1, int(np.searchsorted(offsets, offsets[i] + most, "right")) - 1)
         yield i, j, body[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]
         i = j
+    del body, offsets
+    give_back()
 
 
 def words(body: np.ndarray, offsets: np.ndarray, lower: bool = True):

@@ -204,10 +204,11 @@ def drop_toxic(docs: DataFrame, model: FactorizationMachine, threshold: float =
 
     def keep(batches):
         for batch in batches:
-            text = batch.schema.get_field_index("text")
-            alone = pa.RecordBatch.from_arrays([pa.array(range(batch.num_rows)), batch.column(text)], names=["row", "text"])
-            for out in _score([alone], model):
-                stay = out.column(0).filter(pa.array(out.column(1).to_numpy() < threshold))
-                yield batch.take(stay).select(names)
+            text = pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index("text"))], names=["text"])
+            at = 0
+            for out in _score([text], model):
+                stay = pa.array(out.column(0).to_numpy() < threshold)
+                yield batch.slice(at, out.num_rows).filter(stay).select(names)
+                at += out.num_rows
 
     return docs.mapInArrow(keep, schema)
