@@ -38,7 +38,7 @@ END, START = (K.mix(np.array([11, 23], _U)) | _U(1)).tolist()
 #: Words a shard holds, about; held counts of a task before it hands them on.
 SHARD_WORDS, HELD = 1 << 18, 1 << 22
 #: Text bytes that are looked up at a time: each distinct pair and triple of them once.
-SLICE = 3 << 20
+SLICE = 2 << 20
 #: The smallest log10 that a byte can stand for; codes lie on a square scale, finest near probability 1.
 FLOOR = -9.0
 
@@ -409,15 +409,16 @@ def _shares(owner: np.ndarray, count: np.ndarray, context: np.ndarray, discount:
 
 def _build_words(part: pd.DataFrame, folder: str) -> pd.DataFrame:
     shard = int(part["shard"].iloc[0])
-    hashes = part["word"].to_numpy().view(_U)
+    part = part[part["n"] > 0]
+    hashes = part["word"].to_numpy(np.int64).view(_U)
     order = np.argsort(hashes)
-    _put(f"{folder}/words-{shard}.bin", {"hash": hashes[order], "count": part["n"].to_numpy()[order]})
+    _put(f"{folder}/words-{shard}.bin", {"hash": hashes[order], "count": part["n"].to_numpy(np.int64)[order]})
     return _sized(shard, len(order))
 
 
 def _build_pairs(part: pd.DataFrame, layout: Layout) -> pd.DataFrame:
     shard = int(part["shard"].iloc[0])
-    part = part[part["key"].notna()]
+    part = part[part["n"] > 0]
     keys = np.sort(part["key"].to_numpy(np.int64).view(_U))
     count = part["n"].to_numpy(np.int64)[np.argsort(part["key"].to_numpy(np.int64).view(_U))]
     owner = (keys >> _U(31)).astype(np.int64) - layout.words_at[shard]
@@ -435,7 +436,7 @@ def _build_pairs(part: pd.DataFrame, layout: Layout) -> pd.DataFrame:
 
 def _build_triples(part: pd.DataFrame, layout: Layout) -> pd.DataFrame:
     shard = int(part["shard"].iloc[0])
-    part = part[part["key"].notna()]
+    part = part[part["n"] > 0]
     keys = part["key"].to_numpy(np.int64).view(_U)
     order = np.argsort(keys)
     keys, count = keys[order], part["n"].to_numpy(np.int64)[order]
@@ -476,7 +477,10 @@ def train(texts: DataFrame, least: int = 3, discount: float = 0.6) -> Layout:
     shards = 1 << bits
     layout = Layout(folder, bits, np.zeros(shards + 1, np.int64), np.zeros(shards + 1, np.int64), int(sums["n"] or 0), int(sums["v"]), discount, least)
     of_word = F.shiftrightunsigned("word", 64 - bits).cast("int") if bits else F.lit(0)
-    built = words.withColumn("shard", of_word).repartition(shards, "shard").groupBy("shard").applyInPandas(lambda p: _build_words(p, folder), "shard int, n long")
+    # every shard has a row that counts nothing, so that its files are there even if it is empty
+    none = spark.createDataFrame([(s, 0, 0) for s in range(shards)], "shard int, word long, n long")
+    dealt = words.select(of_word.alias("shard"), "word", "n").unionByName(none)
+    built = dealt.groupBy("shard").applyInPandas(lambda p: _build_words(p, folder), "shard int, n long")
     layout.words_at = _starts(settle(built, "sizes"), shards)
 
     def shard_of(starts: np.ndarray, number):
@@ -486,7 +490,7 @@ def train(texts: DataFrame, least: int = 3, discount: float = 0.6) -> Layout:
             out = out + (number >= int(starts[s])).cast("int")
         return out
 
-    empty = spark.createDataFrame([(s,) for s in range(shards)], "shard int").withColumn("key", F.lit(None).cast("long")).withColumn("n", F.lit(None).cast("long"))
+    empty = none.withColumnRenamed("word", "key")
     for kind, tally, build, starts, shift in (("pairs", _pair_tally, _build_pairs, layout.words_at, 31), ("triples", _triple_tally, _build_triples, None, 28)):
         starts = layout.pairs_at if starts is None else starts
         now = Layout(**vars(layout))
