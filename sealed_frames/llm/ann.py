@@ -24,7 +24,7 @@ from .embedding_dedup import usable_unit
 from .runtime import settle, ship
 
 #: Vectors that codewords are fitted on; queries of a block; vectors of a chunk; candidates of a chunk.
-SAMPLE, QUERIES, CHUNK, RERANK = 10_000, 4096, 4096, 96
+SAMPLE, QUERIES, CHUNK, RERANK = 10_000, 4096, 4096, 192
 PIECE = 2
 
 
