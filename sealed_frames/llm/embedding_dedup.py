@@ -36,9 +36,11 @@ SLACK = 1e-9
 
 @dataclass
 class Node:
-    """Points first..stop (in tree order) lie within ``reach`` of ``centre``; children's radii are half."""
+    """Points first..stop (in tree order) lie within ``reach`` of ``centre``, and ``reach`` within the level's
+    ``radius``; levels below have half of it, a quarter, ..."""
 
     centre: int
+    radius: float
     reach: float
     first: int
     stop: int
@@ -68,7 +70,7 @@ class CoverTree:
     def _grow(self, rows: np.ndarray, away: np.ndarray, centre: int, radius: float) -> Node:
         first = len(self.order)
         reach = float(away.max(initial=0.0))
-        node = Node(centre, reach, first, first + len(rows), [])
+        node = Node(centre, radius, reach, first, first + len(rows), [])
         if len(rows) <= self.leaf or reach <= 1e-12:
             self.order.extend(rows.tolist())
             return node
