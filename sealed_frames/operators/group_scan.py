@@ -24,7 +24,7 @@ FUNCTIONS = {
 
 def levels(rows: int) -> int:
     """Levels of a scan whose longest group may have ``rows`` rows: distances below rows."""
-    return max(0, (rows - 1).bit_length())
+    return (rows - 1).bit_length() if rows > 1 else 0
 
 
 def group_scan(df: DataFrame, keys: Sequence[str], order: Sequence[str | Column], outputs: Sequence[tuple[str, str, str]], longest: int, variant: str = "segmented", reverse: bool = False) -> DataFrame:
