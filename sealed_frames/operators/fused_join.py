@@ -92,6 +92,10 @@ def fused_join(
     bound = n if how in ("semi", "anti") else (None if None in (n, m) else n + m if how in ("left", "full", "right") else m)
     unique = left.public.unique if how in ("semi", "anti") else right.public.unique if left.is_unique(keys) and how == "inner" else ()
     out = SealedFrame(df, Public(bound, unique, (*left.public.trace, *right.public.trace, f"join {how}"), left.public.tier))
+    if out.public.tier == "padded" and how == "inner" and None not in (n, m) and left.is_unique(keys):
+        from .trim import maybe_trim
+
+        out = maybe_trim(out, n, m, trim)
     return out.aggregate(list(agg_keys or keys), **aggs) if aggs else out
 
 

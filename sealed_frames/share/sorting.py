@@ -229,23 +229,26 @@ def sort_vector(p: Protocol, key: Shared, order: str = "asc", base: str = "pivot
     """Stable sort of non-negative keys of up to ``bits`` bits: the index is put into the low bits, which makes
     keys distinct; descending order uses negated indices and reverses (L495-546, E18). (sorted, destinations)"""
     n = len(key)
+    pad = min(PAD_BITS, 64 - bits)
+    if n > 1 << pad:
+        raise ValueError("key and index need more than 64 bits")
     index = np.arange(n)
-    low = index if order == "asc" else (1 << PAD_BITS) - 1 - index
-    padded = p.xor(p.shift(key, PAD_BITS), p.public(low, True))
+    low = index if order == "asc" else (1 << pad) - 1 - index
+    padded = p.xor(p.shift(key, pad), p.public(low, True))
     if base == "pivot":
-        out, _, _ = pivot_sort(p, padded, PAD_BITS + bits, seed)
+        out, _, _ = pivot_sort(p, padded, pad + bits, seed)
     elif base == "bitwise":
         # a stable sort by the key's bits needs no pass over the index
         source = padded if order == "asc" else Shared(padded.terms[:, ::-1], True)
-        out, _ = bitwise_sort(p, source, bits, PAD_BITS)
+        out, _ = bitwise_sort(p, source, bits, pad)
     else:
         raise ValueError(f"unknown base sort {base!r}")
     if order == "desc":
         out = Shared(out.terms[:, ::-1], True)
-    places = p.value(p.mask(out, (1 << PAD_BITS) - 1)).astype(np.int64)
+    places = p.value(p.mask(out, (1 << pad) - 1)).astype(np.int64)
     p.meter.stage("permute", n)
-    source_of = places if order == "asc" else (1 << PAD_BITS) - 1 - places
-    return p.shift(out, -PAD_BITS), invert(source_of)
+    source_of = places if order == "asc" else (1 << pad) - 1 - places
+    return p.shift(out, -pad), invert(source_of)
 
 
 def sort_table(p: Protocol, columns: dict[str, Shared], keys: list[tuple[str, str]], base: str = "auto", strategy: str = "compose", bits: int = 31) -> dict[str, Shared]:

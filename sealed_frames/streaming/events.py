@@ -42,3 +42,20 @@ def merge_partials(spark: SparkSession, sf_dir: str, path: str) -> DataFrame:
     query = events_stream(spark, sf_dir).writeStream.foreachBatch(write).option("checkpointLocation", f"{path}/log").trigger(availableNow=True).start()
     query.awaitTermination()
     return spark.read.parquet(f"{path}/data").groupBy("user_id").agg(F.sum("mult").alias("mult"))
+
+
+def sliding_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    windowed = events_stream(spark, sf_dir).withWatermark("at", "40 days").groupBy("event_type", F.window("at", "2 hours", "1 hour").alias("w"))
+    return windowed.agg(F.count("*").alias("n")).select("event_type", F.floor(F.unix_micros(F.col("w.start")) / 3_600_000_000).cast("long").alias("hour"), "n")
+
+
+def session_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    windowed = events_stream(spark, sf_dir).withWatermark("at", "40 days").groupBy("user_id", F.session_window("at", "1 hour").alias("w"))
+    return windowed.agg(F.count("*").alias("n")).select("user_id", F.unix_micros(F.col("w.start")).alias("first_us"), "n")
+
+
+def errors_then_purchases(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """State is bounded by both watermarks and the hour."""
+    side = lambda kind, name: events_stream(spark, sf_dir).where(F.col("event_type") == kind).select(F.col("event_id").alias(f"{name}_id"), F.col("user_id").alias(f"{name}_user"), F.col("at").alias(f"{name}_at")).withWatermark(f"{name}_at", "40 days")
+    within = F.expr("error_user = purchase_user and purchase_at >= error_at and purchase_at <= error_at + interval 1 hour")
+    return side("error", "error").join(side("purchase", "purchase"), within).select("error_id", "purchase_id")

@@ -202,6 +202,69 @@ def _mark_first(spark, sf_dir):
 register("distinct_sorted", _mark_first, "SELECT DISTINCT l_suppkey, l_returnflag FROM L")
 
 
+def _join_shared(how: str, protocol: str):
+    """Orders and lines in buckets of the key; each bucket is joined on shares and opened."""
+    from ..share.join import fused_join as on_shares_join
+
+    def one(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        p = PROTOCOLS[protocol](11)
+        word = lambda x: p.share(x.to_numpy(np.int64), True)
+        a = {"k": word(left["o_orderkey"]), "ok": word(left["ok"]), "custkey": word(left["o_custkey"])}
+        b = {"k": word(right["l_orderkey"]), "ok": word(right["ok"]), "qty": word(right["qty"])}
+        out = on_shares_join(p, a, b, "k", how)
+        got = {c: p.open(s).view(np.int64) for c, s in out.items()}
+        keep = got["ok"] == 1
+        return pd.DataFrame({"k": got["k"][keep], "custkey": got["custkey"][keep], "qty": got["qty"][keep]})
+
+    def run(spark, sf_dir):
+        left = table(spark, sf_dir, "orders").df.select("o_orderkey", "o_custkey", (F.col("o_orderstatus") != "P").cast("long").alias("ok"))
+        right = table(spark, sf_dir, "lineitem").df.select("l_orderkey", "qty", (F.col("l_returnflag") == "R").cast("long").alias("ok"))
+        buckets = lambda df, k: df.withColumn("b", F.pmod(F.xxhash64(k), F.lit(64))).groupBy("b")
+        out = buckets(left, "o_orderkey").cogroup(buckets(right, "l_orderkey")).applyInPandas(one, "k long, custkey long, qty long")
+        return out.groupBy("custkey").agg(F.count("*").alias("n"), F.sum("qty").alias("q"), F.sum("k").alias("ks"))
+
+    return run
+
+
+_SHARED_SIDES = "(SELECT * FROM O WHERE o_orderstatus <> 'P') a {} JOIN (SELECT * FROM L WHERE l_returnflag = 'R') b ON o_orderkey = l_orderkey"
+for _how in ("inner", "left", "right", "full"):
+    register(
+        f"join_{_how}_share", _join_shared(_how, {"inner": "2p", "left": "3p", "right": "4p", "full": "3p"}[_how]),
+        f"SELECT coalesce(o_custkey, 0) AS custkey, count(*) AS n, CAST(sum(coalesce(qty, 0)) AS BIGINT) AS q, CAST(sum(coalesce(o_orderkey, l_orderkey)) AS BIGINT) AS ks FROM {_SHARED_SIDES.format(_how.upper())} GROUP BY ALL",
+    )
+for _how in ("semi", "anti"):
+    register(
+        f"join_{_how}_share", _join_shared(_how, "3p"),
+        f"SELECT o_custkey AS custkey, count(*) AS n, CAST(0 AS BIGINT) AS q, CAST(sum(o_orderkey) AS BIGINT) AS ks FROM O WHERE o_orderstatus <> 'P' AND o_orderkey {'NOT ' * (_how == 'anti')}IN (SELECT l_orderkey FROM L WHERE l_returnflag = 'R') GROUP BY ALL",
+    )
+
+
+def _radix(spark, sf_dir):
+    from ..core.position import with_positions
+    from ..operators.radix import radix_sort
+
+    df = table(spark, sf_dir, "orders").df.select("o_orderkey", F.col("o_custkey").alias("k"))
+    out = radix_sort(with_positions(df, [F.asc("o_orderkey")], 8), "k", 17, 9, 1 << 11)
+    return out.select("o_orderkey", F.col("__pos").alias("place"))
+
+
+register("sort_radix_digits", _radix, "SELECT o_orderkey, row_number() OVER (ORDER BY o_custkey, o_orderkey) - 1 AS place FROM O")
+
+
+def _trimmed(spark, sf_dir):
+    """The padded tier: public sizes at every step, the result cut to the right side's size."""
+    from ..core.frame import seal
+
+    o, lines = table(spark, sf_dir, "orders").df.drop("__ok"), table(spark, sf_dir, "lineitem").df.drop("__ok")
+    left = seal(o.select("o_orderkey", "o_orderpriority", "o_orderstatus"), [["o_orderkey"]], o.count(), "padded").filter("o_orderstatus = 'F'")
+    right = seal(lines.select(F.col("l_orderkey").alias("o_orderkey"), "qty"), rows=lines.count(), tier="padded").filter("qty > 10")
+    joined = left.join(right, "o_orderkey", copy=["o_orderpriority"], strategy="stacked", trim="always")
+    return joined.aggregate(["o_orderpriority"], n=("count", "*"), q=("sum", "qty")).reveal()
+
+
+register("join_padded_trimmed", _trimmed, "SELECT o_orderpriority, count(*) AS n, CAST(sum(qty) AS BIGINT) AS q FROM O JOIN L ON o_orderkey = l_orderkey WHERE o_orderstatus = 'F' AND qty > 10 GROUP BY ALL")
+
+
 # -- permutations ----------------------------------------------------------------------------------------
 
 
@@ -283,6 +346,30 @@ for _k, _bits in (("quadratic", lambda e: 2 * e * (e + 2)), ("crt", _crt_bits),
     register(f"triple_{_k}", _triples(_k), "SELECT * FROM (VALUES " + ", ".join(f"(CAST({e} AS BIGINT), CAST(2000 AS BIGINT), CAST(2000 AS BIGINT), CAST({_bits(e)} AS BIGINT))" for e in (8, 16, 32, 64)) + ") t(ell, made, good, bits)", False)
 
 
+def _triple_rates(spark, sf_dir):
+    """Triples per second and bits per triple and per bit, by generator and width."""
+
+    def one(part: pd.DataFrame) -> pd.DataFrame:
+        rows = []
+        for kind, ell in zip(part["kind"], part["ell"]):
+            n, ell, began = 2000, int(ell), time.time()
+            if kind == "boolean":
+                bits = T.boolean_triples(n, ell)[2]
+            else:
+                make = T.ole_quadratic if kind == "quadratic" else T.ole_crt
+                (x, y, b), (u, v, c) = make(n, ell, 1), make(n, ell, 2)
+                T.triples_from_ole((x, y), (u, v), ell)
+                bits = b + c
+            rows.append((kind, ell, n / (time.time() - began), bits / n, bits / n / ell))
+        return pd.DataFrame(rows, columns=["kind", "ell", "per_second", "bits", "bits_per_bit"])
+
+    work = spark.createDataFrame([(k, e) for k in ("quadratic", "crt", "boolean") for e in (8, 16, 32, 64)], "kind string, ell long").repartition(8)
+    return work.groupBy("kind", "ell").applyInPandas(one, "kind string, ell long, per_second double, bits double, bits_per_bit double")
+
+
+register("meter_triples", _triple_rates, None)
+
+
 # -- costs -------------------------------------------------------------------------------------------------
 
 #: Sorts, joins and scans that a query's oblivious plan runs, over which tables.

@@ -231,6 +231,44 @@ def rel_custom_aggregate(t, spark, sf_dir):
     return seal(t("lineitem").select("l_suppkey", "qty")).aggregate(["l_suppkey"], spread=(rule, "qty")).reveal()
 
 
+@rel("SELECT user_id, CAST(sum(CASE WHEN event_type = 'click' THEN val ELSE 0 END) AS BIGINT) AS click, count(DISTINCT event_type) AS kinds FROM E GROUP BY ALL")
+def rel_maps(t, spark, sf_dir):
+    """Per user a map of totals by kind, read and filtered as a map."""
+    sums = t("events").groupBy("user_id", "event_type").agg(F.sum("val").alias("v"))
+    maps = sums.groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "v"))).alias("m"))
+    return maps.select("user_id", F.coalesce(F.element_at("m", "click"), F.lit(0).cast("long")).alias("click"), F.size(F.map_keys("m")).cast("long").alias("kinds"))
+
+
+@rel("SELECT label, vec_id FROM (SELECT e.label, e.vec_id, row_number() OVER (PARTITION BY e.label ORDER BY round(list_dot_product(CAST(e.embedding AS DOUBLE[]), CAST(c.embedding AS DOUBLE[])), 9) DESC, e.vec_id) AS k FROM embeddings e JOIN (SELECT label, arg_min(embedding, vec_id) AS embedding FROM embeddings GROUP BY label) c USING (label)) WHERE k <= 3")
+def rel_vector_top_k(t, spark, sf_dir):
+    """The three vectors of each label nearest to the label's first: dot products as array functions."""
+    e = raw(spark, sf_dir, "embeddings")
+    first = e.groupBy("label").agg(F.min_by("embedding", "vec_id").alias("c"))
+    dot = F.aggregate(F.zip_with("embedding", "c", lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x)
+    near = e.join(F.broadcast(first), "label").withColumn("dot", F.round(dot, 9))
+    return R.top_k_per(near, ["label"], [F.desc("dot"), F.asc("vec_id")], 3).select("label", "vec_id")
+
+
+@rel(None)
+def rel_sample(t, spark, sf_dir):
+    """A sampling operator: about a tenth of the lines, the same ones each time."""
+    return t("lineitem").sample(0.1, seed=3).groupBy("l_returnflag").agg(F.count("*").alias("n"))
+
+
+@rel("SELECT l_suppkey, CAST(sum(qty) AS BIGINT) AS q, count(*) AS n FROM L GROUP BY ALL")
+def rel_grouped_map(t, spark, sf_dir):
+    """applyInPandas over per-supplier partials (bounded by the partial step before it)."""
+    part = t("lineitem").groupBy("l_suppkey", "l_returnflag").agg(F.sum("qty").alias("q"), F.count("*").alias("n"))
+    return part.groupBy("l_suppkey").applyInPandas(lambda p: pd.DataFrame({"l_suppkey": [p["l_suppkey"].iloc[0]], "q": [p["q"].sum()], "n": [p["n"].sum()]}), "l_suppkey long, q long, n long")
+
+
+@rel("SELECT o_orderkey, CASE WHEN o_total % 2 = 0 THEN 'even' ELSE 'odd' END AS parity FROM O")
+def rel_scalar_udf(t, spark, sf_dir):
+    """A row-at-a-time Python function, the slow path that the library itself avoids."""
+    parity = F.udf(lambda x: "odd" if x % 2 else "even", "string")
+    return t("orders").select("o_orderkey", parity("o_total").alias("parity"))
+
+
 # -- Python functions ---------------------------------------------------------------------------------
 
 
@@ -329,3 +367,28 @@ def stream_dedupe(t, spark, sf_dir):
     from ..streaming.events import events_stream, run_available
 
     return run_available(events_stream(spark, sf_dir).withWatermark("at", "40 days").dropDuplicates(["event_id"]).select("event_id"), "append")
+
+
+@rel("SELECT event_type, h - k AS hour, count(*) AS n FROM (SELECT event_type, CAST(floor(epoch_us(ts) / 3600000000) AS BIGINT) AS h, k FROM E, (VALUES (0), (1)) s(k)) GROUP BY ALL")
+def stream_sliding(t, spark, sf_dir):
+    """Windows of two hours, one each hour."""
+    from ..streaming.events import run_available, sliding_counts
+
+    return run_available(sliding_counts(spark, sf_dir), "complete")
+
+
+@rel("""SELECT user_id, CAST(min(us) AS BIGINT) AS first_us, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY us, event_id) AS s FROM (
+  SELECT user_id, event_id, epoch_us(ts) AS us, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts, event_id) < 3600000000 THEN 0 ELSE 1 END AS fresh FROM E)) GROUP BY user_id, s""")
+def stream_sessions(t, spark, sf_dir):
+    """Sessions that end after an hour without an event."""
+    from ..streaming.events import run_available, session_counts
+
+    return run_available(session_counts(spark, sf_dir), "complete")
+
+
+@rel("SELECT a.event_id AS error_id, b.event_id AS purchase_id FROM E a JOIN E b ON a.user_id = b.user_id AND a.event_type = 'error' AND b.event_type = 'purchase' AND b.ts >= a.ts AND epoch_us(b.ts) <= epoch_us(a.ts) + 3600000000")
+def stream_interval_join(t, spark, sf_dir):
+    """Purchases within an hour after an error of the same user: two streams, both with watermarks."""
+    from ..streaming.events import errors_then_purchases, run_available
+
+    return run_available(errors_then_purchases(spark, sf_dir), "append")

@@ -220,3 +220,32 @@ def test_public_vectors_cost_nothing():
     p = PROTOCOLS["4p"]()
     s = p.public(np.arange(5), True)
     assert p.value(s).tolist() == [0, 1, 2, 3, 4] and p.meter.bits == 0 and isinstance(s, Shared)
+
+
+@protocols
+@pytest.mark.parametrize("how", ["inner", "left", "right", "full", "semi", "anti"])
+def test_shared_fused_join(name, how):
+    from sealed_frames.share.join import fused_join
+
+    for seed in range(3):
+        rng = np.random.default_rng(seed)
+        lk = rng.choice(9, 6, replace=how in ("semi", "anti")) + 1
+        lok, rk, rok = rng.integers(0, 2, 6), rng.integers(1, 10, 11), rng.integers(0, 2, 11)
+        p = PROTOCOLS[name](seed)
+        share = lambda x: p.share(np.asarray(x, np.int64), True)
+        left = {"k": share(lk), "ok": share(lok), "a": share(np.arange(6) + 20)}
+        right = {"k": share(rk), "ok": share(rok), "b": share(np.arange(11) + 50)}
+        out = {c: p.value(s).astype(int) for c, s in fused_join(p, left, right, "k", how, 8).items()}
+        got = sorted((out["k"][i], out["a"][i], out["b"][i]) for i in np.flatnonzero(out["ok"]))
+        l = [(k, 20 + i) for i, (k, v) in enumerate(zip(lk, lok)) if v]
+        r = [(k, 50 + i) for i, (k, v) in enumerate(zip(rk, rok)) if v]
+        met = {k for k, _ in r}
+        want = [(k, a, b) for k, a in l for j, b in r if j == k] if how not in ("semi", "anti") else [(k, a, 0) for k, a in l if (k in met) == (how == "semi")]
+        if how in ("left", "full"):
+            want += [(k, a, 0) for k, a in l if k not in met]
+        if how in ("right", "full"):
+            want += [(k, 0, b) for k, b in r if k not in {j for j, _ in l}]
+        assert got == sorted(want)
+        if how == "inner":
+            cut = {c: p.value(s).astype(int) for c, s in fused_join(p, left, right, "k", how, 8, trim=True).items()}
+            assert len(cut["ok"]) == 11 and cut["ok"].sum() == len(want)
