@@ -102,7 +102,8 @@ def fused_join(p: Protocol, left: dict[str, Shared], right: dict[str, Shared], k
     ok = p.mask(ok, 1)
     # a right row that no left row precedes got the columns of a right row, which are zero
     out = {key: table[key], "ok": ok, "origin": table["origin"], "hit": p.mask(down["hit"], 1)}
-    out |= {c: down[c] for c in mine} | {c: table[c] for c in theirs}
+    copied = table if how in ("semi", "anti") else down  # nothing is copied where left keys may repeat
+    out |= {c: copied[c] for c in mine} | {c: table[c] for c in theirs}
     if trim:
         bit = 1 - (p.value(ok) & U(1)).astype(np.int64)  # a one-bit sort by validity, then a cut (L655)
         p.meter.stage("b2a", whole, 1)
