@@ -27,7 +27,9 @@ from .runtime import settle, ship
 
 #: Vectors of a block; centres, at most, that vectors are dealt by; vectors of a node that is not divided;
 #: children of a node, at most.
-BLOCK, CENTRES, LEAF, FAN = 2048, 2048, 96, 48
+BLOCK, CENTRES, LEAF, FAN = 8192, 2048, 96, 48
+#: Rows of the products that leaves are compared by.
+TILE = 2048
 #: Above the error of a single-precision product of unit vectors of up to some thousand components.
 SCREEN = 2e-4
 #: Slack of every pruning bound: bounds decide only where rounding can't matter.
@@ -123,8 +125,8 @@ def close_pairs(a: CoverTree, b: CoverTree | None, cosine: float):
             continue
         if not x.children and not y.children:
             every = rows(other, y)
-            for s in np.split(every, range(BLOCK, len(every), BLOCK)):
-                for r in np.split(rows(a, x), range(BLOCK, x.stop - x.first, BLOCK)):
+            for s in np.split(every, range(TILE, len(every), TILE)):
+                for r in np.split(rows(a, x), range(TILE, x.stop - x.first, TILE)):
                     linked = _linked(a, r, other, s, cosine)
                     if linked is not None:
                         yield r, s, linked, b is None and not same
