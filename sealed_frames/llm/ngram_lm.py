@@ -36,7 +36,7 @@ _U = np.uint64
 #: Hashes of the end token (counted) and of the start of a text (context only).
 END, START = (K.mix(np.array([11, 23], _U)) | _U(1)).tolist()
 #: Words a shard holds, about; held counts of a task before it hands them on.
-SHARD_WORDS, HELD = 1 << 18, 1 << 22
+SHARD_WORDS, HELD = 1 << 17, 1 << 21
 #: Text bytes that are looked up at a time: each distinct pair and triple of them once.
 SLICE = 2 << 20
 #: The smallest log10 that a byte can stand for; codes lie on a square scale, finest near probability 1.
@@ -452,6 +452,14 @@ def _build_triples(part: pd.DataFrame, layout: Layout) -> pd.DataFrame:
     return _sized(shard, len(keys))
 
 
+def _to_shards(batches: Iterator[pa.RecordBatch], starts: np.ndarray, shift: int) -> Iterator[pa.RecordBatch]:
+    """Put before each key the shard that holds its leading number."""
+    for batch in batches:
+        owner = (batch.column(0).to_numpy().view(_U) >> _U(shift)).astype(np.int64)
+        shard = np.searchsorted(starts, owner, "right") - 1
+        yield pa.RecordBatch.from_arrays([pa.array(shard.astype(np.int32)), *batch.columns], names=["shard", "key", "n"])
+
+
 def _with(build, layout: Layout):
     return lambda part: build(part, layout)
 
@@ -483,19 +491,13 @@ def train(texts: DataFrame, least: int = 3, discount: float = 0.6) -> Layout:
     built = dealt.groupBy("shard").applyInPandas(lambda p: _build_words(p, folder), "shard int, n long")
     layout.words_at = _starts(settle(built, "sizes"), shards)
 
-    def shard_of(starts: np.ndarray, number):
-        """The shard whose numbers hold ``number``: a lookup in the few starts."""
-        out = F.lit(0)
-        for s in range(1, shards):
-            out = out + (number >= int(starts[s])).cast("int")
-        return out
-
     empty = none.withColumnRenamed("word", "key")
     for kind, tally, build, starts, shift in (("pairs", _pair_tally, _build_pairs, layout.words_at, 31), ("triples", _triple_tally, _build_triples, None, 28)):
         starts = layout.pairs_at if starts is None else starts
         now = Layout(**vars(layout))
         counted = texts.mapInArrow(lambda it, f=tally, at=now: f(it, at), "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).where(F.col("n") >= least)
-        dealt = counted.select(shard_of(starts, F.shiftrightunsigned("key", shift)).alias("shard"), "key", "n").unionByName(empty)
+        deal = lambda it, s=starts, k=shift: _to_shards(it, s, k)
+        dealt = counted.mapInArrow(deal, "shard int, key long, n long").unionByName(empty)
         sizes = settle(dealt.groupBy("shard").applyInPandas(_with(build, now), "shard int, n long"), "sizes")
         if kind == "pairs":
             layout.pairs_at = _starts(sizes, shards)
