@@ -9,7 +9,9 @@ from sealed_frames.operators import relational as R
 from sealed_frames.operators.aggregate import combine, mark_first, partials
 from sealed_frames.operators.fused_join import aggregate_join, cartesian_join, fused_join, should_trim
 from sealed_frames.operators.group_scan import group_scan, levels
+from sealed_frames.plans.chain import chain_aggregate
 from sealed_frames.plans.classify import Query, acyclic, classify
+from sealed_frames.plans.digest import trace_digest
 
 
 def frame(spark, rows, schema, unique=(), tier="clear"):
@@ -131,7 +133,7 @@ def test_plans_do_not_depend_on_the_data(spark):
     for shift in (0, 50):
         f = frame(spark, [(i, i + shift, True) for i in range(8)], "x long, y long", [["x"]], "padded").filter("y > 20")
         g = f.join(frame(spark, [(i % 3, i, True) for i in range(8)], "x long, z long", tier="padded"), "x", strategy="stacked")
-        plans.append((g.public.trace, g.df.count()))
+        plans.append((g.public.trace, g.df.count(), trace_digest(g)))
     assert plans[0] == plans[1]
 
 
@@ -167,3 +169,22 @@ def test_interval_and_band_joins(spark):
     assert got == {(i, j) for i, s, e in a for j, t, f in b if s <= f and t <= e} and R.overlap_join(x, y, ("s", "e"), ("t", "f"), 5).count() == len(got)
     near = R.band_join(x, y, "s", "t", 3).collect()
     assert sorted((r.i, r.j) for r in near) == sorted((i, j) for i, s, _ in a for j, t, _ in b if abs(s - t) <= 3)
+
+
+def test_chains_against_brute_force(spark):
+    rng = random.Random(8)
+    a = [(rng.randrange(3), rng.randrange(3), rng.randrange(5)) for _ in range(9)]
+    b = [(rng.randrange(3), rng.randrange(4), rng.randrange(5)) for _ in range(10)]
+    c = [(rng.randrange(4), rng.randrange(5)) for _ in range(8)]
+    d = [(rng.randrange(3), rng.randrange(5)) for _ in range(7)]
+    met = [(p, q, r, s) for p in a for q in b for r in c for s in d if p[0] == q[0] and q[1] == r[0] and p[1] == s[0]]
+    tables = {"a": seal(spark.createDataFrame(a, "x long, w long, g long")), "b": seal(spark.createDataFrame(b, "x long, y long, vb long")), "c": seal(spark.createDataFrame(c, "y long, vc long")), "d": seal(spark.createDataFrame(d, "w long, vd long"))}
+    joins = [(("a", "x"), ("b", "x")), (("b", "y"), ("c", "y")), (("a", "w"), ("d", "w"))]
+    got = chain_aggregate(tables, joins, "a", ["g"], {"sb": ("b", "vb"), "sc": ("c", "vc"), "sd": ("d", "vd")}, "n").reveal().collect()
+    want = {}
+    for p, q, r, s in met:
+        sb, sc, sd, n = want.get(p[2], (0, 0, 0, 0))
+        want[p[2]] = (sb + q[2], sc + r[1], sd + s[1], n + 1)
+    assert {r.g: (r.sb, r.sc, r.sd, r.n) for r in got} == want
+    with pytest.raises(ValueError):
+        chain_aggregate(tables, [*joins, (("c", "vc"), ("d", "vd"))], "a", ["g"], count="n")
