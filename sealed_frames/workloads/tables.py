@@ -6,10 +6,9 @@ from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 from ..core.frame import SealedFrame, seal
+from ..functions.integers import cents, day_number, revenue
 
-
-def _cents(name: str):
-    return F.round(F.col(name) * 100).cast("long")
+__all__ = ["PRELUDE", "day_number", "part_supply", "revenue", "table"]
 
 
 def _day(name: str):
@@ -24,39 +23,30 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> SealedFrame:
     if name == "nation":
         return seal(df.select("n_nationkey", "n_name", "n_regionkey"), [["n_nationkey"]])
     if name == "customer":
-        return seal(df.select("c_custkey", "c_name", "c_nationkey", _cents("c_acctbal").alias("c_bal"), "c_mktsegment"), [["c_custkey"]])
+        return seal(df.select("c_custkey", "c_name", "c_nationkey", cents("c_acctbal").alias("c_bal"), "c_mktsegment"), [["c_custkey"]])
     if name == "supplier":
-        return seal(df.select("s_suppkey", "s_name", "s_nationkey", _cents("s_acctbal").alias("s_bal")), [["s_suppkey"]])
+        return seal(df.select("s_suppkey", "s_name", "s_nationkey", cents("s_acctbal").alias("s_bal")), [["s_suppkey"]])
     if name == "part":
         return seal(df.select("p_partkey", "p_name", "p_brand", "p_type", "p_size"), [["p_partkey"]])
     if name == "orders":
-        return seal(df.select("o_orderkey", "o_custkey", "o_orderstatus", _cents("o_totalprice").alias("o_total"), _day("o_orderdate").alias("o_date"), "o_orderpriority"), [["o_orderkey"]])
+        return seal(df.select("o_orderkey", "o_custkey", "o_orderstatus", cents("o_totalprice").alias("o_total"), _day("o_orderdate").alias("o_date"), "o_orderpriority"), [["o_orderkey"]])
     if name == "lineitem":
         return seal(
             df.select(
-                "l_orderkey", "l_partkey", "l_suppkey", F.col("l_quantity").cast("long").alias("qty"), _cents("l_extendedprice").alias("price"), _cents("l_discount").alias("disc"),
-                _cents("l_tax").alias("tax"), "l_returnflag", "l_linestatus", _day("l_shipdate").alias("ship"),
+                "l_orderkey", "l_partkey", "l_suppkey", F.col("l_quantity").cast("long").alias("qty"), cents("l_extendedprice").alias("price"), cents("l_discount").alias("disc"),
+                cents("l_tax").alias("tax"), "l_returnflag", "l_linestatus", _day("l_shipdate").alias("ship"),
             )
         )
     if name == "events":
-        return seal(df.select("event_id", "ts", "user_id", "event_type", _cents("value").alias("val"), "props"), [["event_id"]])
+        return seal(df.select("event_id", "ts", "user_id", "event_type", cents("value").alias("val"), "props"), [["event_id"]])
     raise ValueError(f"unknown table {name!r}")
 
 
-def revenue():
-    """price * (100 - disc): hundredths of a cent, exact."""
-    return F.col("price") * (100 - F.col("disc"))
-
-
 def part_supply(lines: SealedFrame) -> SealedFrame:
     """Stand-in for the missing table of offers: per part and supplier the quantity and the least price."""
     return lines.aggregate(["l_partkey", "l_suppkey"], avail=("sum", "qty"), cost=("min", "price"))
 
 
-def day_number(name: str):
-    return F.datediff(F.col(name), F.lit("1970-01-01").cast("date")).cast("long")
-
-
 #: The same normal form in DuckDB, put before every query's text.
 PRELUDE = """
 WITH L AS (SELECT l_orderkey, l_partkey, l_suppkey, CAST(l_quantity AS BIGINT) AS qty, CAST(round(l_extendedprice * 100) AS BIGINT) AS price,
