@@ -218,7 +218,9 @@ def _links_across(members: DataFrame, labels: DataFrame, sets: DataFrame, percen
     size = F.size("members")
     room = sided.join(sets.select("id", size.alias("n")), "id").groupBy("main", "own").agg(F.count("*").alias("k"), F.sum("n").alias("n"))
     room = room.select("main", "own", F.ceil(F.greatest(F.col("k") / BLOCK_SETS, F.col("n") / BLOCK_VALUES)).cast("long").alias("blocks"))
+    room = small_side(settle(room, "room"), BROADCAST_IDS)
     dealt = held.join(room, ["main", "own"]).withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")))
+    dealt = dealt.repartition("main", "own", "block")  # else a large component's blocks would meet in one task
     blocks = settle(dealt.groupBy("main", "own", "block").agg(F.collect_list(F.struct("id", "members")).alias("part")), "blocks")
     x = blocks.where("not own").select("main", F.col("block").alias("i"), F.col("part").alias("a"))
     y = blocks.select("main", F.col("own").alias("joined"), F.col("block").alias("j"), F.col("part").alias("b"))
