@@ -27,20 +27,30 @@ def levels(rows: int) -> int:
     return (rows - 1).bit_length() if rows > 1 else 0
 
 
-def group_scan(df: DataFrame, keys: Sequence[str], order: Sequence[str | Column], outputs: Sequence[tuple[str, str, str]], longest: int, variant: str = "segmented", reverse: bool = False) -> DataFrame:
-    """outputs: (function, column, out). longest: public bound of a group's length."""
+def longest_group(df: DataFrame, keys: Sequence[str]) -> int:
+    """Rows of the longest group: the largest of the counts per key, which are summed before they are exchanged."""
+    return df.groupBy(*keys).count().agg(F.max("count")).first()[0] or 0
+
+
+def group_scan(df: DataFrame, keys: Sequence[str], order: Sequence[str | Column], outputs: Sequence[tuple[str, str, str]], longest: int | None = None, variant: str = "segmented", reverse: bool = False) -> DataFrame:
+    """outputs: (function, column, out). longest: public bound of a group's length; None: taken from the data.
+
+    Networks have no more levels than the bound needs, so a longer group raises an error.
+    """
     sequence = [F.desc(o) if isinstance(o, str) else o.desc() for o in order] if reverse else list(order)
     spec = Window.partitionBy(*keys).orderBy(*sequence)
     if variant == "segmented":
         frame = spec.rowsBetween(Window.unboundedPreceding, 0)
         return df.select("*", *[FUNCTIONS[f][1](c).over(frame).alias(o) for f, c, o in outputs])
-    df = df.select("*", *[F.col(c).alias(o) for _, c, o in outputs])
+    if longest is None:
+        longest = longest_group(df, keys)
+    over = F.raise_error(F.lit(f"a group has more than {longest} rows, the bound of this scan"))
+    df = df.withColumn("__i", F.row_number().over(spec)).select("*", *[F.when(F.col("__i") > longest, over).otherwise(F.col(c)).alias(o) for _, c, o in outputs])
     if variant == "doubling":
         for k in range(levels(longest)):
             df = _level(df, spec, outputs, 1 << k, None)
-        return df
+        return df.drop("__i")
     if variant == "work_efficient":
-        df = df.withColumn("__i", F.row_number().over(spec))
         top = levels(longest)
         for k in range(top):
             df = _level(df, spec, outputs, 1 << k, F.col("__i") % (2 << k) == 0)

@@ -151,7 +151,7 @@ register("scan_running_sum", _running, "SELECT o_orderkey, CAST(sum(o_total) OVE
 def _scan(variant: str):
     def run(spark, sf_dir):
         df = table(spark, sf_dir, "orders").df.select("o_custkey", "o_orderkey", "o_total")
-        out = group_scan(df, ["o_custkey"], ["o_orderkey"], [("sum", "o_total", "s"), ("min", "o_total", "lo"), ("max", "o_total", "hi"), ("copy", "o_orderkey", "first")], 64, variant)
+        out = group_scan(df, ["o_custkey"], ["o_orderkey"], [("sum", "o_total", "s"), ("min", "o_total", "lo"), ("max", "o_total", "hi"), ("copy", "o_orderkey", "first")], variant=variant)
         return out.select("o_orderkey", "s", "lo", "hi", "first")
 
     return run
@@ -164,7 +164,7 @@ for _v in ("doubling", "work_efficient", "segmented"):
     )
 register(
     "scan_reverse",
-    lambda spark, sf_dir: group_scan(table(spark, sf_dir, "orders").df.select("o_custkey", "o_orderkey", "o_total"), ["o_custkey"], ["o_orderkey"], [("sum", "o_total", "s")], 64, "doubling", True).select("o_orderkey", "s"),
+    lambda spark, sf_dir: group_scan(table(spark, sf_dir, "orders").df.select("o_custkey", "o_orderkey", "o_total"), ["o_custkey"], ["o_orderkey"], [("sum", "o_total", "s")], variant="doubling", reverse=True).select("o_orderkey", "s"),
     "SELECT o_orderkey, CAST(sum(o_total) OVER (PARTITION BY o_custkey ORDER BY o_orderkey DESC) AS BIGINT) AS s FROM O",
 )
 

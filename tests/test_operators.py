@@ -12,6 +12,7 @@ from sealed_frames.operators.group_scan import group_scan, levels
 from sealed_frames.plans.chain import chain_aggregate
 from sealed_frames.plans.classify import Query, acyclic, classify
 from sealed_frames.plans.digest import trace_digest
+from sealed_frames.workloads import micro
 
 
 def frame(spark, rows, schema, unique=(), tier="clear"):
@@ -108,6 +109,28 @@ def test_scans(spark, variant):
     assert [levels(n) for n in (0, 1, 2, 3, 4, 5, 8, 9)] == [0, 0, 1, 2, 2, 3, 3, 4]
 
 
+@pytest.mark.parametrize("name", ["scan_doubling", "scan_work_efficient", "scan_reverse"])
+def test_scan_queries_cover_long_groups(spark, tmp_path, name):
+    """One customer holds 300 orders, more than any in the given tables."""
+    given = spark.read.parquet("/root/testdata/sf0.001/orders.parquet")
+    hot = F.when(F.col("o_orderkey") <= F.lit(1200), F.lit(1)).otherwise(F.col("o_custkey"))
+    given.withColumn("o_custkey", hot.cast(given.schema["o_custkey"].dataType)).write.parquet(f"{tmp_path}/orders.parquet")
+    got = {r.o_orderkey: r.s for r in micro.QUERIES[name](spark, str(tmp_path)).collect()}
+    rows = sorted(micro.table(spark, str(tmp_path), "orders").df.select("o_custkey", "o_orderkey", "o_total").collect(), key=lambda r: r.o_orderkey, reverse=name == "scan_reverse")
+    sums, want = {}, {}
+    for r in rows:
+        want[r.o_orderkey] = sums[r.o_custkey] = sums.get(r.o_custkey, 0) + r.o_total
+    assert sum(r.o_custkey == 1 for r in rows) >= 300 and got == want
+
+
+@pytest.mark.parametrize("variant", ["doubling", "work_efficient"])
+def test_scans_refuse_groups_beyond_their_bound(spark, variant):
+    df = spark.range(65).select(F.lit(0).alias("g"), F.col("id").alias("i"), F.lit(1).alias("v"))
+    with pytest.raises(Exception, match="more than 64 rows"):
+        group_scan(df, ["g"], ["i"], [("sum", "v", "s")], 64, variant).collect()
+    assert group_scan(df.where("i < 64"), ["g"], ["i"], [("sum", "v", "s")], 64, variant).agg(F.max("s")).first()[0] == 64
+
+
 def test_positions_and_running_sums(spark):
     df = spark.range(1000).select((F.col("id") * 37 % 1000).alias("x"))
     placed = with_positions(df, [F.desc("x")], 7)
