@@ -5,7 +5,12 @@ inner products is the part of a vector's residual that is parallel to the vector
 it ``eta`` times; since that part is a sum over all pieces, codes are chosen by rounds of descent
 over pieces, and codewords by weighted least squares. A query turns into a table of 16 products per
 piece; tables of neighbouring pieces are added to tables of a byte, and scanning a vector is one
-lookup per byte. The best of every chunk are scored again on the original vectors.
+lookup per byte. Equal vectors of a chunk are one class, looked up and scored once.
+
+The classes of a chunk that look best are scored on the original vectors; the k-th of these scores is a
+threshold. A rough score is off by no more than the query's norm times the residual's, so every class whose
+rough score comes within that of the threshold is scored too, and what is left out can't be among the k
+best. Classes are then spread to their rows by smallest ids. Codes decide on the work only, not on the result.
 
 Codewords are fitted on a bounded sample; every vector is indexed. Queries are taken in blocks of
 bounded size, each broadcast to one scan of the index.
@@ -20,11 +25,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from . import kernels as K
 from .embedding_dedup import usable_unit
 from .runtime import settle, ship
 
-#: Vectors that codewords are fitted on; queries of a block; vectors of a chunk; candidates of a chunk.
+#: Vectors that codewords are fitted on; queries of a block; vectors of a chunk; classes of a chunk that set its threshold.
 SAMPLE, QUERIES, CHUNK, RERANK = 10_000, 4096, 4096, 192
+#: Numbers of gathered vectors that are held at a time.
+GATHERED = 1 << 21
 PIECE = 2
 
 
@@ -70,6 +78,12 @@ class Quantiser:
                 total = others + rest[:, m]
         return out
 
+    def slack(self, x: np.ndarray, codes: np.ndarray) -> np.ndarray:
+        """Per vector, what a rough score of a query of norm 1 may be off by: the residual's norm, and roundings of single precision."""
+        rest = self.cut(x) - self.codewords[np.arange(self.pieces), codes] if len(x) else np.zeros((0, 1, 1))
+        off, norm = np.sqrt((rest**2).sum(axis=(1, 2))), np.sqrt((x**2).sum(axis=1))
+        return off * (1 + 1e-9) + (self.pieces + 16) * 2.0**-23 * (norm + 2 * off)
+
     def tables(self, queries: np.ndarray) -> np.ndarray:
         """queries x pairs of pieces x 256: products with both codewords of a byte."""
         cut = self.cut(queries)
@@ -134,25 +148,60 @@ def _index(batches: Iterator[pa.RecordBatch], q: Quantiser) -> Iterator[pa.Recor
         for i in range(0, batch.num_rows, CHUNK):
             part = batch.slice(i, CHUNK)
             rows, v = usable_rows(part.column(1), q.dims)
-            codes = pack(q.codes(v)) if len(v) else np.zeros((0, 1), np.uint8)
+            codes = q.codes(v) if len(v) else np.zeros((0, 1), np.int64)
             yield pa.RecordBatch.from_arrays(
-                [part.column(0).take(pa.array(rows)), pa.array([c.tobytes() for c in codes], pa.binary()), pa.array([x.tobytes() for x in v], pa.binary())],
-                names=["vec_id", "code", "vector"],
+                [part.column(0).take(pa.array(rows)), pa.array([c.tobytes() for c in pack(codes)], pa.binary()), pa.array([x.tobytes() for x in v], pa.binary()), pa.array(q.slack(v, codes))],
+                names=["vec_id", "code", "vector", "slack"],
             )
 
 
-def best_of(scores: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
-    """The k largest scores of each row, ties to smaller ids; missing entries have score -inf."""
-    order = np.lexsort((ids, -scores), axis=1)[:, :k]
-    return np.take_along_axis(scores, order, 1), np.take_along_axis(ids, order, 1)
+def exact_scores(v: np.ndarray, queries: np.ndarray, row: np.ndarray, col: np.ndarray) -> np.ndarray:
+    """Inner products of pairs (query row, vector col), each summed in the same order whatever pairs are with it."""
+    out = np.empty(len(row))
+    step = max(1, GATHERED // v.shape[1])
+    for i in range(0, len(row), step):
+        out[i : i + step] = np.einsum("nd,nd->n", v[col[i : i + step]], queries[row[i : i + step]])
+    return out
+
+
+def _classes(vectors: list[bytes], ids: np.ndarray):
+    """(first row, size, start) of each class of equal vectors, rows ordered by class and id, largest number of rows with an id."""
+    number: dict[bytes, int] = {}
+    of = np.array([number.setdefault(x, len(number)) for x in vectors], np.int64)
+    order = np.lexsort((ids, of))
+    size = np.bincount(of)
+    start = np.cumsum(size) - size
+    return of, size, start, order, int(np.unique(ids, return_counts=True)[1].max())
+
+
+class _Top:
+    """The k best rows of each query so far, ties to smaller ids; missing entries have score -inf."""
+
+    def __init__(self, n: int, k: int):
+        self.k = k
+        self.scores, self.ids = np.full((n, k), -np.inf), np.full((n, k), np.iinfo(np.int64).max)
+
+    def add(self, first: int, row: np.ndarray, ids: np.ndarray, scores: np.ndarray) -> None:
+        """Candidates of the queries ``first`` + row."""
+        touched = np.unique(row)
+        old = self.scores[first + touched]
+        row = np.concatenate([row, np.repeat(touched, self.k)])
+        ids = np.concatenate([ids, self.ids[first + touched].ravel()])
+        scores = np.concatenate([scores, old.ravel()])
+        order = np.lexsort((ids, -scores, row))
+        row, ids, scores = row[order], ids[order], scores[order]
+        begin = np.searchsorted(row, row, "left")
+        place = np.arange(len(row)) - begin
+        best = place < self.k
+        self.scores[first + row[best], place[best]], self.ids[first + row[best], place[best]] = scores[best], ids[best]
 
 
 def _scan(batches: Iterator[pa.RecordBatch], shared, k: int, rerank: int) -> Iterator[pa.RecordBatch]:
     q, query_ids, queries = shared.value
     tables = q.tables(queries)
+    norms = np.sqrt((queries**2).sum(axis=1))
     n = len(query_ids)
-    top = np.full((n, k), -np.inf)
-    top_ids = np.full((n, k), np.iinfo(np.int64).max)
+    top = _Top(n, k)
     seen = False
     for batch in batches:
         for i in range(0, batch.num_rows, CHUNK):
@@ -161,30 +210,59 @@ def _scan(batches: Iterator[pa.RecordBatch], shared, k: int, rerank: int) -> Ite
                 continue
             seen = True
             ids = part.column(0).to_numpy()
-            codes = np.frombuffer(b"".join(part.column(1).to_pylist()), np.uint8).reshape(len(ids), -1)
-            v = np.frombuffer(b"".join(part.column(2).to_pylist()), np.float64).reshape(len(ids), -1)
-            keep = min(rerank, len(ids))
+            vectors = part.column(2).to_pylist()
+            of, size, start, order, repeats = _classes(vectors, ids)
+            lead = order[start]
+            codes = np.frombuffer(b"".join(part.column(1).to_pylist()), np.uint8).reshape(len(ids), -1)[lead]
+            v = np.frombuffer(b"".join(vectors), np.float64).reshape(len(ids), -1)[lead]
+            slack = part.column(3).to_numpy()[lead]
+            by_id = np.argsort(ids, kind="stable")
             for a in range(0, n, 256):
                 rows = slice(a, min(a + 256, n))
+                asked, here = query_ids[rows], queries[rows]
                 rough = tables[rows, 0].take(codes[:, 0], axis=1)
                 for byte in range(1, codes.shape[1]):
                     rough += tables[rows, byte].take(codes[:, byte], axis=1)
-                rough[query_ids[rows, None] == ids] = -np.inf
-                near = np.argpartition(rough, len(ids) - keep, axis=1)[:, len(ids) - keep :]
-                exact = np.einsum("qcd,qd->qc", v[near], queries[rows])
-                near_ids = ids[near]
-                exact[near_ids == query_ids[rows, None]] = -np.inf
-                top[rows], top_ids[rows] = best_of(np.concatenate([top[rows], exact], 1), np.concatenate([top_ids[rows], near_ids], 1), k)
+                open_ = np.ones(rough.shape, bool)
+                # a class without rows but the query's own is no candidate
+                lo, hi = np.searchsorted(ids[by_id], asked, "left"), np.searchsorted(ids[by_id], asked, "right")
+                own = np.repeat(np.arange(len(asked)), hi - lo)
+                pairs, count = np.unique(own * len(size) + of[by_id[K.spread(lo, hi - lo)]], return_counts=True)
+                pairs = pairs[count == size[pairs % len(size)]]
+                open_[pairs // len(size), pairs % len(size)] = False
+                rough[~open_] = -np.inf
+                # first the classes that look best
+                keep = min(max(rerank, k), len(size))
+                near = np.argpartition(rough, len(size) - keep, axis=1)[:, len(size) - keep :]
+                row, col = np.repeat(np.arange(len(asked)), keep), near.ravel()
+                exact = np.where(open_[row, col], exact_scores(v, here, row, col), -np.inf)
+                threshold = top.scores[rows, k - 1].copy()
+                if keep >= k:
+                    threshold = np.maximum(threshold, np.partition(exact.reshape(near.shape), keep - k, axis=1)[:, keep - k])
+                # then all that may reach the threshold
+                open_[row, col] = False
+                open_ &= ~(rough + norms[rows, None] * slack < threshold[:, None])
+                more_row, more_col = np.nonzero(open_)
+                if len(more_row):
+                    row, col = np.concatenate([row, more_row]), np.concatenate([col, more_col])
+                    exact = np.concatenate([exact, exact_scores(v, here, more_row, more_col)])
+                good = (exact >= threshold[row]) & np.isfinite(exact)
+                row, col, exact = row[good], col[good], exact[good]
+                members = np.minimum(size[col], k + repeats)
+                at = order[K.spread(start[col], members)]
+                row, exact = np.repeat(row, members), np.repeat(exact, members)
+                other = ids[at] != asked[row]
+                top.add(a, row[other], ids[at][other], exact[other])
     if seen:
-        row, col = np.nonzero(np.isfinite(top))
+        row, col = np.nonzero(np.isfinite(top.scores))
         for i in range(0, len(row), 1 << 16):
             r, c = row[i : i + (1 << 16)], col[i : i + (1 << 16)]
-            yield pa.RecordBatch.from_arrays([pa.array(query_ids[r]), pa.array(top_ids[r, c]), pa.array(top[r, c])], names=["query_id", "vec_id", "score"])
+            yield pa.RecordBatch.from_arrays([pa.array(query_ids[r]), pa.array(top.ids[r, c]), pa.array(top.scores[r, c])], names=["query_id", "vec_id", "score"])
 
 
 def neighbours(vectors: DataFrame, every: int = 20, k: int = 20, sample: int = SAMPLE, rerank: int = RERANK) -> DataFrame:
     """(query_id, rank, vec_id, score): for each vec_id divisible by ``every``, the ``k`` rows of largest inner
-    product found, ties to smaller vec_id; score in double precision on the original vectors.
+    product, ties to smaller vec_id; score in double precision on the original vectors.
 
     Vectors that are null, zero, hold null or non-finite components, or are not of the commonest length,
     take no part, as do rows with a null vec_id. Rows with the query's own vec_id are no candidates; of
@@ -203,7 +281,7 @@ def neighbours(vectors: DataFrame, every: int = 20, k: int = 20, sample: int = S
     if not len(fitting):
         return spark.createDataFrame([], schema)
     q = fit(fitting)
-    index = settle(rows.mapInArrow(lambda it: _index(it, q), "vec_id long, code binary, vector binary"), "index")
+    index = settle(rows.mapInArrow(lambda it: _index(it, q), "vec_id long, code binary, vector binary, slack double"), "index")
     total = index.count()
     scans = index.coalesce(max(1, -(-total // CHUNK)))
     asked = settle(index.where(F.col("vec_id") % every == 0).groupBy("vec_id").agg(F.min("vector").alias("vector")), "queries")

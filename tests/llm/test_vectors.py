@@ -82,6 +82,23 @@ def test_neighbours_recall_and_scores(spark):
     assert got.query_id.nunique() == 150 and hits / (150 * 20) >= 0.95
 
 
+def test_neighbours_among_copies(spark):
+    """A third of the rows are copies, another third near copies: ids are exact all the same, ties to smaller ids."""
+    rng = np.random.default_rng(9)
+    x = rng.normal(size=(3600, 32))
+    kind = rng.permutation(3600) % 3
+    x[kind == 1] = x[kind == 1][0]
+    x[kind == 2] = x[kind == 2][0] + rng.normal(size=((kind == 2).sum(), 32)) * 1e-3
+    x = np.float32(x).astype(float)
+    ids = rng.permutation(3600)
+    got = ann.neighbours(frame(spark, zip(ids.tolist(), x.tolist()))).toPandas()
+    assert got.query_id.nunique() == 180
+    for q, g in got.groupby("query_id"):
+        s = np.einsum("nd,nd->n", x, np.repeat(x[ids == q], 3600, 0))
+        s[ids == q] = -np.inf
+        assert g.sort_values("rank").vec_id.tolist() == ids[np.lexsort((ids, -s))[:20]].tolist()
+
+
 def test_parallel_residuals_shrink():
     """The score-aware codes leave smaller parallel residuals than plain ones, at a larger plain error."""
     rng = np.random.default_rng(4)
