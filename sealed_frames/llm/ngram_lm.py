@@ -10,7 +10,7 @@ lookup goes to the high-bit bucket of the value sought and halves it.
 
 Probability of a word after two words: discounted share of the triple, plus the mass left of the
 pair times the same for the second word alone, plus the mass left of that word times the smoothed
-word frequency. Pairs and triples enter from ``least`` occurrences on. They are counted exactly: a
+word frequency. All pairs and triples enter, or those from ``least`` occurrences on. They are counted exactly: a
 pair can occur that often only if both words do, a triple only if both pairs do, so only such are
 counted, over all training texts. Everything grows with the corpus; nothing of it meets in a task
 but a shard, whose number grows with the corpus.
@@ -35,8 +35,8 @@ from .runtime import new_path, settle, ship
 _U = np.uint64
 #: Hashes of the end token (counted) and of the start of a text (context only).
 END, START = (K.mix(np.array([11, 23], _U)) | _U(1)).tolist()
-#: Words a shard holds, about; held counts of a task before it hands them on.
-SHARD_WORDS, HELD = 1 << 17, 1 << 21
+#: Words a shard holds, about, and the occurrences of words, which bound its pairs; held counts of a task before it hands them on.
+SHARD_WORDS, SHARD_TOKENS, HELD = 1 << 17, 1 << 21, 1 << 21
 #: Text bytes that are looked up at a time: each distinct pair and triple of them once.
 SLICE = 2 << 20
 #: The smallest log10 that a byte can stand for; codes lie on a square scale, finest near probability 1.
@@ -206,7 +206,7 @@ class Layout:
     total: int = 0
     distinct: int = 0
     discount: float = 0.6
-    least: int = 3
+    least: int = 1
 
 
 class Trie:
@@ -472,7 +472,7 @@ def _starts(sizes: DataFrame, shards: int) -> np.ndarray:
     return np.concatenate([[0], np.cumsum(n)])
 
 
-def train(texts: DataFrame, least: int = 3, discount: float = 0.6) -> Layout:
+def train(texts: DataFrame, least: int = 1, discount: float = 0.6) -> Layout:
     """Build the trie of all rows of ``texts`` (text; null is empty) in the shared folder."""
     spark = texts.sparkSession
     ship(spark)
@@ -481,7 +481,7 @@ def train(texts: DataFrame, least: int = 3, discount: float = 0.6) -> Layout:
     words = settle(texts.mapInArrow(_word_tally, "word long, n long").groupBy("word").agg(F.sum("n").alias("n")), "words")
     signed = [x - (1 << 64) if x >= 1 << 63 else x for x in (END, START)]
     sums = words.where(F.col("word") != signed[1]).agg(F.count("*").alias("v"), F.sum("n").alias("n")).first()
-    bits = max(0, int(sums["v"]) // SHARD_WORDS).bit_length()
+    bits = max(int(sums["v"]) // SHARD_WORDS, int(sums["n"] or 0) // SHARD_TOKENS).bit_length()
     shards = 1 << bits
     layout = Layout(folder, bits, np.zeros(shards + 1, np.int64), np.zeros(shards + 1, np.int64), int(sums["n"] or 0), int(sums["v"]), discount, least)
     of_word = F.shiftrightunsigned("word", 64 - bits).cast("int") if bits else F.lit(0)
@@ -501,6 +501,8 @@ def train(texts: DataFrame, least: int = 3, discount: float = 0.6) -> Layout:
         sizes = settle(dealt.groupBy("shard").applyInPandas(_with(build, now), "shard int, n long"), "sizes")
         if kind == "pairs":
             layout.pairs_at = _starts(sizes, shards)
+            if layout.pairs_at[-1] >> 36:
+                raise OverflowError("more pairs than a triple's key can number")
     return layout
 
 
@@ -546,7 +548,7 @@ def score(docs: DataFrame, layout: Layout) -> DataFrame:
     return picked.mapInArrow(lambda it: _score(it, layout), "doc_id long, n_tokens long, n_known long, base_score double, score double")
 
 
-def held_out_scores(docs: DataFrame, folds: int = 10, least: int = 3) -> DataFrame:
+def held_out_scores(docs: DataFrame, folds: int = 10, least: int = 1) -> DataFrame:
     """Train on the rows outside the held-out fold and score all rows.
 
     Null texts are empty: one end token. Rows with a null doc_id train and are not held out; repeated

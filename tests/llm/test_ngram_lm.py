@@ -74,6 +74,14 @@ def test_matches_a_plain_model(spark, tiny):
     check(spark, rows, 3)
 
 
+def test_default_leaves_no_pair_or_triple_out(spark, tiny):
+    docs = spark.read.parquet(f"{tiny}/documents.parquet")
+    want = {r[0]: r for r in plain([(r.doc_id, r.text) for r in docs.collect()], 1, 0.6)}
+    got = L.held_out_scores(docs).collect()
+    assert len(got) == len(want)
+    assert all(abs(g.score - want[g.doc_id][5]) < 0.02 * g.n_tokens + 0.02 for g in got)
+
+
 def test_many_shards(spark, tiny):
     keep, L.SHARD_WORDS = L.SHARD_WORDS, 3000
     try:
