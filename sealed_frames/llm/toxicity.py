@@ -3,9 +3,10 @@
 Terms of a text are its distinct lower-cased words and their 4-, 5- and 6-byte prefixes, each hashed
 to 32 bits. The model adds, to a weight per term, the inner product of two terms' factors for each
 pair of terms present, so that a pair (an insult beside a group mention) can weigh what neither term
-does alone. Only terms whose presence differs between the classes are active; the rest weigh nothing.
+does alone. Every term of at least ``LEAST_ROWS`` fitted rows has a weight and factors, whether or not it
+tells the classes apart by itself; rarer ones weigh nothing. Those that do take longer steps in the fit.
 
-Fitted on at most ``SAMPLE_ROWS`` labelled rows (those first by a hash of doc_id); scoring is one
+Fitted by rounds over blocks of rows on at most ``SAMPLE_ROWS`` labelled rows (those first by a hash of doc_id); scoring is one
 narrow pass over all texts with the small model in the task's closure.
 """
 
@@ -24,8 +25,10 @@ from .runtime import ship
 
 #: Labelled rows that the model is fitted on, at most.
 SAMPLE_ROWS = 10_000
-#: Active terms, at most.
-TERMS = 4096
+#: Rows that a term must be in to be active; rows of a step of the fit; text bytes scored at a time.
+LEAST_ROWS, BLOCK_ROWS, SLICE = 4, 500, 1 << 20
+#: Terms a row, telling little by themselves, up to which their steps have full length; beyond, they move a row together.
+FEW = 20
 PREFIXES = (4, 5, 6)
 _U = np.uint64
 
@@ -73,52 +76,64 @@ class FactorizationMachine:
         return np.where(self.active[at] == term, at, -1)
 
 
-def choose_terms(row: np.ndarray, term: np.ndarray, label: np.ndarray, most: int = TERMS, least_rows: int = 4) -> np.ndarray:
-    """Terms in at least ``least_rows`` rows whose share differs between the classes by 4 standard errors."""
-    if not len(term):
-        return np.zeros(0, np.uint32)
-    distinct, code = np.unique(term, return_inverse=True)
-    here = np.bincount(code, minlength=len(distinct)).astype(float)
-    hits = np.bincount(code, weights=label[row], minlength=len(distinct))
+def choose_terms(term: np.ndarray, least_rows: int = LEAST_ROWS) -> np.ndarray:
+    """Terms in at least ``least_rows`` rows; terms are distinct within a row."""
+    distinct, rows = np.unique(term, return_counts=True)
+    return distinct[rows >= least_rows]
+
+
+def telling(row: np.ndarray, index: np.ndarray, label: np.ndarray, size: int) -> np.ndarray:
+    """Which of the ``size`` active terms have shares that differ between the classes by 4 standard errors."""
+    here = np.bincount(index, minlength=size).astype(float)
+    hits = np.bincount(index, weights=label[row], minlength=size)
     n, p = len(label), label.mean()
     z = (hits - here * p) / np.sqrt(np.maximum(here * p * (1 - p) * (1 - here / n) + 1e-9, 1e-9) + 0.25)
-    good = np.flatnonzero((here >= least_rows) & (np.abs(z) >= 4))
-    best = good[np.argsort(-np.abs(z[good]), kind="stable")[:most]]
-    return np.sort(distinct[best])
+    return np.abs(z) >= 4
 
 
 def fit(row: np.ndarray, term: np.ndarray, label: np.ndarray, factors: int = 8, steps: int = 200, rate: float = 0.05, decay: float = 2e-4) -> FactorizationMachine:
-    """Full-batch Adam on the mean logistic loss; row ascending, terms distinct within a row."""
+    """Adam on the mean logistic loss of blocks of rows; row ascending, terms distinct within a row."""
     label = np.asarray(label, float)
     n = len(label)
     if not n or label.min() == label.max():
         return FactorizationMachine(np.zeros(0, np.uint32), 4.0 if n and label[0] else -4.0, np.zeros(0), np.zeros((0, factors)))
-    model = FactorizationMachine(choose_terms(row, term, label), 0.0, np.zeros(0), np.zeros((0, factors)))
+    model = FactorizationMachine(choose_terms(term), 0.0, np.zeros(0), np.zeros((0, factors)))
     index = model.find(term)
     row, index = row[index >= 0], index[index >= 0]
     size = len(model.active)
     rng = np.random.default_rng(7)
     p = label.mean()
-    state = [np.array([np.log(p / (1 - p))]), np.zeros(size), rng.normal(0, 0.05, (size, factors))]
-    first, second = [np.zeros_like(x) for x in state], [np.zeros_like(x) for x in state]
     counts = np.bincount(row, minlength=n)
+    # terms that tell little by themselves come by hundreds a row and take shorter steps from smaller factors
+    alone = telling(row, index, label, size)
+    pace = np.where(alone, 1.0, 1 / max(1.0, (~alone[index]).sum() / n / FEW))
+    state = [np.array([np.log(p / (1 - p))]), np.zeros(size), rng.normal(0, 0.05, (size, factors)) * np.sqrt(pace)[:, None]]
+    rates = [rate, rate * pace, rate * pace[:, None]]
+    first, second = [np.zeros_like(x) for x in state], [np.zeros_like(x) for x in state]
+    start = np.cumsum(counts) - counts
+    blocks = max(1, -(-n // BLOCK_ROWS))
     for step in range(1, steps + 1):
+        if (step - 1) % blocks == 0:
+            deal = rng.permutation(n)
+        rows = deal[(step - 1) % blocks :: blocks]
+        here_counts = counts[rows]
+        at_index = index[K.spread(start[rows], here_counts)]
         bias, w, v = state
-        at = v[index]
-        total = K.segment_sums(at, counts)
-        margin = bias[0] + K.segment_sums(w[index], counts) + 0.5 * (total**2 - K.segment_sums(at**2, counts)).sum(axis=1)
-        error = (1 / (1 + np.exp(-np.clip(margin, -35, 35))) - label) / n
-        here = error[row]
-        pull = here[:, None] * (total[row] - at)
+        at = v[at_index]
+        total = K.segment_sums(at, here_counts)
+        margin = bias[0] + K.segment_sums(w[at_index], here_counts) + 0.5 * (total**2 - K.segment_sums(at**2, here_counts)).sum(axis=1)
+        error = (1 / (1 + np.exp(-np.clip(margin, -35, 35))) - label[rows]) / len(rows)
+        here = np.repeat(error, here_counts)
+        pull = here[:, None] * (np.repeat(total, here_counts, axis=0) - at)
         gradient = [
             np.array([error.sum()]),
-            np.bincount(index, weights=here, minlength=size) + decay * w / max(size, 1),
-            np.stack([np.bincount(index, weights=pull[:, f], minlength=size) for f in range(factors)], axis=1) + decay * v / max(size, 1) if size else np.zeros((0, factors)),
+            np.bincount(at_index, weights=here, minlength=size) + decay * w / max(size, 1),
+            np.stack([np.bincount(at_index, weights=pull[:, f], minlength=size) for f in range(factors)], axis=1) + decay * v / max(size, 1) if size else np.zeros((0, factors)),
         ]
         for i, g in enumerate(gradient):
             first[i] = 0.9 * first[i] + 0.1 * g
             second[i] = 0.999 * second[i] + 0.001 * g * g
-            state[i] = state[i] - rate * (first[i] / (1 - 0.9**step)) / (np.sqrt(second[i] / (1 - 0.999**step)) + 1e-8)
+            state[i] = state[i] - rates[i] * (first[i] / (1 - 0.9**step)) / (np.sqrt(second[i] / (1 - 0.999**step)) + 1e-8)
     return FactorizationMachine(model.active, float(state[0][0]), state[1], state[2])
 
 
@@ -162,7 +177,7 @@ def _score(batches: Iterator[pa.RecordBatch], model: FactorizationMachine) -> It
     maybe = np.zeros(1 << 20, bool)
     maybe[model.active >> np.uint32(12)] = True
     for batch in batches:
-        for i, j, body, offsets in K.slices(batch, "text"):
+        for i, j, body, offsets in K.slices(batch, "text", SLICE):
             row, term = terms(body, offsets)
             near = np.flatnonzero(maybe[term >> np.uint32(12)])
             row, index = row[near], model.find(term[near])

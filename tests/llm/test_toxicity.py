@@ -31,6 +31,17 @@ def test_pairs_weigh_what_single_terms_do_not():
     assert ((bare > 0) == (np.array(labels) == 1)).mean() < 0.8
 
 
+def test_pairs_count_with_the_choice_of_terms_as_it_is():
+    """No term tells the classes apart by itself, and all the same every one has factors."""
+    rng = random.Random(2)
+    draws = [(rng.random() < 0.5, rng.random() < 0.5) for _ in range(1200)]
+    row, term = np.repeat(np.arange(1200), 2), np.array([sorted({1 if a else 2, 3 if b else 4}) for a, b in draws], np.uint32).ravel()
+    label = np.array([float(a == b) for a, b in draws])
+    model = T.fit(row, term, label, steps=600)
+    assert model.active.tolist() == [1, 2, 3, 4]
+    assert ((model.margins(row, model.find(term), 1200) > 0) == (label == 1)).mean() > 0.99
+
+
 def test_held_out_accuracy(spark):
     sf = "/root/testdata/sf0.1"
     docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
