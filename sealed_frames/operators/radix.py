@@ -14,8 +14,16 @@ from ..core.position import POS
 from ..core.session import checkpointed
 
 
-def radix_sort(df: DataFrame, key: str, bits: int, digit_bits: int = 8, block_rows: int = 1 << 16, pos: str = POS) -> DataFrame:
-    """``df`` has dense positions ``pos``; returns it with positions in stable order of the non-negative key."""
+def radix_sort(df: DataFrame, key: str, bits: int | None = None, digit_bits: int = 8, block_rows: int = 1 << 16, pos: str = POS) -> DataFrame:
+    """``df`` has dense positions ``pos``; returns it with positions in stable order of the non-negative key.
+
+    bits: of the largest key; None: taken from the data. Keys below zero or of more bits raise an error.
+    """
+    low, high = df.agg(F.min(key), F.max(key)).first()
+    need = int(high or 0).bit_length()
+    bits = need if bits is None else bits
+    if (low or 0) < 0 or need > bits:
+        raise ValueError(f"keys from {low} to {high} do not fit {bits} bits")
     for low in range(0, bits, digit_bits):
         digit = F.shiftright(F.col(key), low).bitwiseAND((1 << min(digit_bits, bits - low)) - 1)
         marked = df.withColumn("__d", digit).withColumn("__b", F.floor(F.col(pos) / block_rows))

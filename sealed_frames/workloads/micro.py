@@ -244,7 +244,7 @@ def _radix(spark, sf_dir):
     from ..operators.radix import radix_sort
 
     df = table(spark, sf_dir, "orders").df.select("o_orderkey", F.col("o_custkey").alias("k"))
-    out = radix_sort(with_positions(df, [F.asc("o_orderkey")], 8), "k", 17, 9, 1 << 11)
+    out = radix_sort(with_positions(df, [F.asc("o_orderkey")], 8), "k", digit_bits=9, block_rows=1 << 11)
     return out.select("o_orderkey", F.col("__pos").alias("place"))
 
 

@@ -9,6 +9,7 @@ from sealed_frames.operators import relational as R
 from sealed_frames.operators.aggregate import combine, mark_first, partials
 from sealed_frames.operators.fused_join import aggregate_join, cartesian_join, fused_join, should_trim
 from sealed_frames.operators.group_scan import group_scan, levels
+from sealed_frames.operators.radix import radix_sort
 from sealed_frames.plans.chain import chain_aggregate
 from sealed_frames.plans.classify import Query, acyclic, classify
 from sealed_frames.plans.digest import trace_digest
@@ -139,6 +140,17 @@ def test_positions_and_running_sums(spark):
     assert [r.s for r in sums] == [i * (i + 1) // 2 for i in range(1000)]
 
 
+def test_radix_query_sorts_keys_of_more_than_17_bits(spark, tmp_path):
+    given = spark.read.parquet("/root/testdata/sf0.001/orders.parquet")
+    moved = F.col("o_custkey") + F.when(F.col("o_orderkey") % 2 == 0, 131_072).otherwise(0)
+    given.withColumn("o_custkey", moved.cast(given.schema["o_custkey"].dataType)).write.parquet(f"{tmp_path}/orders.parquet")
+    rows = sorted((r.o_custkey, r.o_orderkey) for r in spark.read.parquet(f"{tmp_path}/orders.parquet").collect())
+    got = {r.o_orderkey: r.place for r in micro.QUERIES["sort_radix_digits"](spark, str(tmp_path)).collect()}
+    assert got == {o: i for i, (_, o) in enumerate(rows)}
+    with pytest.raises(ValueError, match="17 bits"):
+        radix_sort(with_positions(spark.range(131_072, 131_075), [F.asc("id")], 2), "id", 17)
+
+
 def test_filters_and_padding_keep_the_public_size(spark):
     f = frame(spark, [(i, i, True) for i in range(6)], "x long, y long", tier="padded").filter("x > 3").filter(F.col("y") < 5)
     assert f.df.count() == 6 and [r.x for r in f.reveal().collect()] == [4]
