@@ -8,6 +8,8 @@ stray end tags are passed over; what is open at the end of the page is closed.
 from __future__ import annotations
 
 import re
+from bisect import bisect_right
+from functools import lru_cache
 from html import unescape
 
 # Element names of HTML by how they are parsed or laid out.
@@ -33,18 +35,19 @@ ENDS_PARAGRAPH = frozenset(
     "address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre section summary table ul".split()
 )
 
-_TAG = re.compile(r"<(?:!--(.*?)(?:--!?>|\Z)|(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|[!?/][^>]*>)", re.S)
-_LOOSE = re.compile(r"<(?:!--(.*?)(?:--!?>|\Z)|(/?)([a-zA-Z][^\s/>]*)([^>]*)>|[!?/][^>]*>)", re.S)
+_OPEN = re.compile(r"<(?:!--|(/?)([a-zA-Z][^\s/>]*)|[!?/])")
+_COMMENT_END = re.compile(r"--!?>")
+_STOP = re.compile(r">|=\s*([\"'])")
 _ATTRIBUTE = re.compile(r"([^\s=/\"'>]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
 
 
 class Node:
     """An element; ``items`` holds its text pieces (str) and child elements in page order."""
 
-    __slots__ = ("tag", "attributes", "items", "parent", "index")
+    __slots__ = ("tag", "attributes", "items", "index")
 
-    def __init__(self, tag: str, attributes: str = "", parent: Node | None = None):
-        self.tag, self.attributes, self.parent = tag, attributes, parent
+    def __init__(self, tag: str, attributes: str = ""):
+        self.tag, self.attributes = tag, attributes
         self.items: list[Node | str] = []
         self.index = -1
 
@@ -55,64 +58,114 @@ class Node:
         return out
 
 
+def _tag_end(html: str, at: int, last_quote: dict[str, int]) -> int:
+    """Place of the bracket that ends a tag, those in quoted values aside; -1: there is none.
+
+    Quotes count behind an equals sign only, and only if one follows that closes them."""
+    while (m := _STOP.search(html, at)) is not None:
+        if m[1] is None:
+            return m.start()
+        at = m.end() if m.end() > last_quote[m[1]] else html.index(m[1], m.end()) + 1
+    return -1
+
+
+@lru_cache(maxsize=64)
+def _raw_end(name: str) -> re.Pattern:
+    return re.compile(rf"</{re.escape(name)}(?=[\s/>])", re.I)
+
+
 def _pieces(html: str):
-    """(text, end tag?, name, attributes) of each tag with the text before it; name None at the end."""
+    """(text, end tag?, name, attributes) of each tag with the text before it; name None at the end.
+
+    Reads forward only: time is linear in the page, however broken it is. Once a tag has no end outside
+    quotes, quotes mean nothing in the rest of the page."""
+    last, last_quote, quotes = html.rfind(">"), {q: html.rfind(q) for q in "\"'"}, True
     at = 0
-    while True:
-        m = _TAG.search(html, at)
-        # a quote that never closes would swallow the page: read such a tag up to its first bracket
-        if m is None or (m[3] and len(m[4] or "") > 5000):
-            m = _LOOSE.search(html, at)
-        if m is None:
-            yield html[at:], False, None, ""
-            return
-        text, at = html[at : m.start()], m.end()
-        name = m[3]
+    while (m := _OPEN.search(html, at)) is not None:
+        start, after, name = m.start(), m.end(), m[2]
+        if start > last:  # no tag ends any more, but a comment needs no end
+            name, start = None, html.find("<!--", start)
+            if start < 0:
+                break
         if name is None:
-            yield text, False, "", ""
+            yield html[at:start], False, "", ""
+            if html.startswith("<!--", start):
+                end = _COMMENT_END.search(html, start + 4)
+                at = end.end() if end else len(html)
+            else:
+                at = html.index(">", after) + 1
             continue
-        name = name.lower()
-        yield text, bool(m[2]), name, m[4] or ""
-        if not m[2] and name in RAW and not (m[4] or "").rstrip().endswith("/"):
-            end = re.compile(rf"</{re.escape(name)}(?=[\s/>])[^>]*>", re.I).search(html, at)
-            at = end.end() if end else len(html)
+        stop = _tag_end(html, after, last_quote) if quotes else -1
+        if stop < 0:
+            quotes, stop = False, html.index(">", after)
+        name, attributes = name.lower(), html[after:stop]
+        yield html[at:start], bool(m[1]), name, attributes
+        at = stop + 1
+        if not m[1] and name in RAW and not attributes.rstrip().endswith("/"):
+            end = _raw_end(name).search(html, at)
+            at = html.index(">", end.end()) + 1 if end and end.start() < last else len(html)
+    yield html[at:], False, None, ""
+
+
+class _Open:
+    """The open elements, root first, with the places of each name, of blocks and of all but inline ones."""
+
+    def __init__(self, root: Node):
+        self.nodes, self.blocks, self.solid = [root], [], [0]
+        self.places: dict[str, list[int]] = {}
+
+    def push(self, node: Node) -> None:
+        at = len(self.nodes)
+        self.nodes.append(node)
+        self.places.setdefault(node.tag, []).append(at)
+        if node.tag in ENDS_PARAGRAPH:
+            self.blocks.append(at)
+        if node.tag not in INLINE:
+            self.solid.append(at)
+
+    def cut(self, at: int) -> None:
+        """Close the element at a place and all within it."""
+        while len(self.nodes) > at:
+            tag = self.nodes.pop().tag
+            self.places[tag].pop()
+            if tag in ENDS_PARAGRAPH:
+                self.blocks.pop()
+            if tag not in INLINE:
+                self.solid.pop()
+
+    def innermost(self, tags) -> int:
+        return max((p[-1] for t in tags if (p := self.places.get(t))), default=0)
+
+    def outermost_within(self, tags, at: int) -> int:
+        """Place of the first of ``tags`` behind a place; 0: none."""
+        found = []
+        for p in filter(None, map(self.places.get, tags)):
+            if (i := bisect_right(p, at)) < len(p):
+                found.append(p[i])
+        return min(found, default=0)
 
 
 def parse(html: str) -> Node:
     root = Node("#page")
-    now = root
+    opened = _Open(root)
     for text, closing, name, attributes in _pieces(html):
         if text:
-            now.items.append(unescape(text) if "&" in text else text)
+            opened.nodes[-1].items.append(unescape(text) if "&" in text else text)
         if not name:
             continue
         if closing:
-            if name in VOID or name in RAW:
-                continue
-            up = now
-            barrier = name in INLINE
-            while up is not root and up.tag != name and not (barrier and up.tag in ENDS_PARAGRAPH):
-                up = up.parent
-            if up is not root and up.tag == name:
-                now = up.parent
+            at = 0 if name in VOID or name in RAW else opened.innermost((name,))
+            if at and not (name in INLINE and opened.blocks and opened.blocks[-1] > at):
+                opened.cut(at)
             continue
-        if name in ENDS_PARAGRAPH:
-            up = now
-            while up is not root and (up.tag in INLINE):
-                up = up.parent
-            if up.tag == "p":
-                now = up.parent
+        if name in ENDS_PARAGRAPH and opened.nodes[opened.solid[-1]].tag == "p":
+            opened.cut(opened.solid[-1])
         if name in CLOSES:
             shut, stop = CLOSES[name]
-            up, last = now, None
-            while up is not root and up.tag not in stop:
-                if up.tag in shut:
-                    last = up
-                up = up.parent
-            if last is not None:
-                now = last.parent
-        node = Node(name, attributes, now)
-        now.items.append(node)
+            if at := opened.outermost_within(shut, opened.innermost(stop)):
+                opened.cut(at)
+        node = Node(name, attributes)
+        opened.nodes[-1].items.append(node)
         if name not in VOID and name not in RAW and not (attributes.endswith("/") and name in INLINE and name != "a"):
-            now = node
+            opened.push(node)
     return root

@@ -70,23 +70,23 @@ class Page:
         """Own sums per block: text, link text, marks, words, links, pieces, paragraphs, items, headings, images."""
         own = np.zeros((len(self.blocks), 10))
 
-        def walk(node: Node, row: np.ndarray, in_link: bool) -> None:
-            for x in node.items:
-                if isinstance(x, str):
-                    size = len(x) if not x.isspace() else 0
-                    if size:
-                        row[0] += size
-                        row[1] += size * in_link
-                        row[2] += len(_MARKS.findall(x))
-                        row[3] += x.count(" ") + 1
-                        row[5] += 1
-                elif x.tag in INLINE:
-                    row[4] += x.tag == "a"
-                    row[9] += x.tag == "img"
-                    walk(x, row, in_link or x.tag == "a")
-
         for i, node in enumerate(self.blocks):
-            walk(node, own[i], False)
+            row, stack = own[i], [(node, False)]
+            while stack:
+                inline, in_link = stack.pop()
+                for x in inline.items:
+                    if isinstance(x, str):
+                        size = len(x) if not x.isspace() else 0
+                        if size:
+                            row[0] += size
+                            row[1] += size * in_link
+                            row[2] += len(_MARKS.findall(x))
+                            row[3] += x.count(" ") + 1
+                            row[5] += 1
+                    elif x.tag in INLINE:
+                        row[4] += x.tag == "a"
+                        row[9] += x.tag == "img"
+                        stack.append((x, in_link or x.tag == "a"))
             own[i, 6] = node.tag == "p"
             own[i, 7] = node.tag == "li"
             own[i, 8] = node.tag in ("h1", "h2", "h3", "h4", "h5", "h6")

@@ -1,6 +1,7 @@
 import html
 import itertools
 import re
+import time
 
 import numpy as np
 
@@ -25,6 +26,28 @@ def test_parser_supplies_what_is_left_out():
     assert parse("<" * 50_000) and parse("<div>" * 3000)
 
 
+def test_quotes_and_brackets_in_tags():
+    assert shape(parse('<p title=don\'t>a</p><p class="x"">b</p>')) == ("#page", [("p", ["a"]), ("p", ["b"])])
+    assert shape(parse('<a title="never closed>t</a>u')) == ("#page", [("a", ["t"]), "u"])
+    long = parse(f'<div data-x="{"<b>" * 3000}" class="article">t</div>')
+    assert shape(long) == ("#page", [("div", ["t"])]) and long.items[0].named()["class"] == "article"
+    assert shape(parse("<b><p>x</b>y</p>z</b>w")) == ("#page", [("b", [("p", ["x", "y"]), "z"]), "w"])
+
+
+def test_broken_pages_take_linear_time():
+    """A megabyte of each takes seconds, and gives the text that is left."""
+    tool = H.train()
+    body = "<article><h1>Title</h1><p>Some words of the article, with a mark. And some more of them follow here.</p>{}</article>"
+    whole = tool.texts([body.format("")])[0]
+    n = 100_000
+    for inner in ("<span>" * n, "<b>" * n + "</b>" * n, "<span>" * n + "</i>" * n, "<b><div>" + "<i>" * n + "</b>" * n):
+        assert tool.texts([body.format(inner)])[0] == whole
+    for junk in ('<a "' * n, '<a x="' * (n + 1), "<a x='\">" * n, "<a" * n, "<!" * n, "<!--" * n, "<script>" + "</script " * n, "<ul>" + "<i>" * n + "<li>" * n):
+        begin = time.time()
+        assert tool.texts([body.format("") + junk])[0].startswith("Title\n\nSome words")
+        assert time.time() - begin < 30
+
+
 def test_decoding_is_the_best_consistent_choice():
     rng = np.random.default_rng(0)
     for _ in range(60):
