@@ -10,17 +10,21 @@ lookup goes to the high-bit bucket of the value sought and halves it.
 
 Probability of a word after two words: discounted share of the triple, plus the mass left of the
 pair times the same for the second word alone, plus the mass left of that word times the smoothed
-word frequency. All pairs and triples enter, or those from ``least`` occurrences on. They are counted exactly: a
-pair can occur that often only if both words do, a triple only if both pairs do, so only such are
-counted, over all training texts. Everything grows with the corpus; nothing of it meets in a task
-but a shard, whose number grows with the corpus.
+word frequency. All pairs and triples of all training texts enter, or those from ``least`` occurrences on.
+
+Tasks count keys of their own texts by sorting and hand on one block of bytes per shard, not rows. A
+shard of levels 2 and 3 is a range of keys that about ``shard_tokens`` counted tokens fall into: the
+level above knows how often each of its entries is a context. The range of a context that occurs
+more often than that is cut by the following word. So no task's share grows with the corpus; the
+number of shards does.
 """
 
 from __future__ import annotations
 
 import json
+from collections import OrderedDict
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 from urllib.parse import urlparse
 
 import numpy as np
@@ -35,18 +39,43 @@ from .runtime import new_path, settle, ship
 _U = np.uint64
 #: Hashes of the end token (counted) and of the start of a text (context only).
 END, START = (K.mix(np.array([11, 23], _U)) | _U(1)).tolist()
-#: Words a shard holds, about, and the occurrences of words, which bound its pairs; held counts of a task before it hands them on.
-SHARD_WORDS, SHARD_TOKENS, HELD = 1 << 17, 1 << 21, 1 << 21
-#: Text bytes that are looked up at a time: each distinct pair and triple of them once.
-SLICE = 2 << 20
+#: Words that a shard of the first level holds, about; tokens that the entries of a shard of the others count, about.
+SHARD_WORDS, SHARD_TOKENS = 1 << 20, 3 << 20
+#: Keys that a task sorts at a time; text bytes that are looked up at a time; bytes of shards that a task keeps open.
+HELD, SLICE, OPEN_BYTES = 1 << 22, 6 << 20, 256 << 20
 #: The smallest log10 that a byte can stand for; codes lie on a square scale, finest near probability 1.
 FLOOR = -9.0
 
-_POP = np.array([bin(i).count("1") for i in range(256)], np.uint8)
-_NTH = np.full((256, 8), 8, np.uint8)
+_NTH = np.full((256, 8), 8, np.int64)
 for _b in range(256):
     for _k, _p in enumerate(p for p in range(8) if _b >> p & 1):
         _NTH[_b, _k] = _p
+_NTH = _NTH.ravel()
+_ONES, _TOPS = _U(0x0101010101010101), _U(0x8080808080808080)
+
+
+def _byte_sums(x: np.ndarray) -> np.ndarray:
+    """In byte i, the number of set bits of bytes 0 to i."""
+    x = x - ((x >> _U(1)) & _U(0x5555555555555555))
+    x = (x & _U(0x3333333333333333)) + ((x >> _U(2)) & _U(0x3333333333333333))
+    x = (x + (x >> _U(4))) & _U(0x0F0F0F0F0F0F0F0F)
+    x *= _ONES
+    return x
+
+
+def _pack_bits(values: np.ndarray, bits: int) -> np.ndarray:
+    """The low bits of all values, one after the other."""
+    out = np.zeros(len(values) * bits // 64 + 2, _U)
+    if not bits or not len(values):
+        return out
+    low = values & _U((1 << bits) - 1)
+    at = np.arange(len(values), dtype=np.int64) * bits
+    word, shift = at >> 6, (at & 63).astype(_U)
+    starts = np.flatnonzero(np.diff(word, prepend=-1))
+    out[word[starts]] = np.bitwise_or.reduceat(low << shift, starts)
+    over = np.flatnonzero((at & 63) + bits > 64)
+    out[word[over] + 1] |= low[over] >> (_U(64) - shift[over])
+    return out
 
 
 class EliasFano:
@@ -56,7 +85,6 @@ class EliasFano:
         self.n, self.low_bits, self.low, self.high = n, low_bits, low, high
         self.ones = ones.astype(np.int64)  # set bits before each word of high
         self.zeros = 64 * np.arange(len(self.ones), dtype=np.int64) - self.ones
-        self.bytes = high.view(np.uint8)
 
     @staticmethod
     def pack(values: np.ndarray) -> dict[str, np.ndarray]:
@@ -68,13 +96,8 @@ class EliasFano:
         flags = np.zeros(high_len * 64, np.uint8)
         flags[(values >> _U(bits)).astype(np.int64) + np.arange(n)] = 1
         high = np.packbits(flags, bitorder="little").view(_U)
-        low = np.zeros(n * bits // 64 + 2, _U)
-        if bits:
-            grid = ((values[:, None] >> np.arange(bits, dtype=_U)) & _U(1)).astype(np.uint8).ravel()
-            packed = np.packbits(grid, bitorder="little")
-            low.view(np.uint8)[: len(packed)] = packed
-        ones = np.concatenate([[0], np.cumsum(_POP[high.view(np.uint8)].reshape(-1, 8).sum(axis=1, dtype=np.int64))])[:-1]
-        return {"shape": np.array([n, bits], np.int64), "low": low, "high": high, "ones": ones.astype(np.uint32)}
+        ones = np.concatenate([[0], np.cumsum(np.bitwise_count(high), dtype=np.int64)])[:-1]
+        return {"shape": np.array([n, bits], np.int64), "low": _pack_bits(values, bits), "high": high, "ones": ones.astype(np.uint32)}
 
     @classmethod
     def of(cls, parts: dict[str, np.ndarray]) -> EliasFano:
@@ -84,15 +107,15 @@ class EliasFano:
     def _select(self, k: np.ndarray, before: np.ndarray, flip: bool) -> np.ndarray:
         """Bit position of the k-th (from 0) set bit, or clear bit with flip."""
         word = np.searchsorted(before, k, "right") - 1
-        inside = self.bytes.reshape(-1, 8)[word]
+        inside = self.high[word]
         if flip:
             inside = ~inside
-        upto = _POP[inside].cumsum(axis=1, dtype=np.uint8)
-        left = (k - before[word]).astype(np.uint8)
-        byte = (upto <= left[:, None]).sum(axis=1)
-        rows = np.arange(len(k))
-        left -= np.where(byte > 0, upto[rows, byte - 1], 0).astype(np.uint8)
-        return word * 64 + byte * 8 + _NTH[inside[rows, byte], left]
+        upto = _byte_sums(inside)
+        left = (k - before[word]).astype(_U)
+        byte = np.bitwise_count((left * _ONES | _TOPS) - upto & _TOPS).astype(_U)  # bytes that end before it
+        skip = byte << _U(3)
+        left -= (upto << _U(8)) >> skip & _U(255)
+        return (word << 6) + skip.astype(np.int64) + _NTH[((inside >> skip & _U(255)) << _U(3) | left).astype(np.int64)]
 
     def low_at(self, i: np.ndarray) -> np.ndarray:
         if not self.low_bits:
@@ -195,93 +218,121 @@ def _ranges(owner: np.ndarray, value: np.ndarray, owners: int) -> tuple[dict, di
     return EliasFano.pack(pointer), EliasFano.pack(value + 1 + base[owner])
 
 
+@dataclass
+class Level:
+    """Where the shards of successors start: as keys (owner and value) and in the common numbering of entries.
+
+    Owners that are cut into several shards have these for themselves; where their entries start and the
+    mass that they leave stand here."""
+
+    value_bits: int = 1
+    bounds: np.ndarray = field(default_factory=lambda: np.zeros(0, _U))
+    owners: int = 0
+    at: np.ndarray = field(default_factory=lambda: np.zeros(1, np.int64))
+    cut_owner: np.ndarray = field(default_factory=lambda: np.zeros(0, np.int64))
+    cut_first: np.ndarray = field(default_factory=lambda: np.zeros(0, np.int64))
+    cut_left: np.ndarray = field(default_factory=lambda: np.zeros(0))
+
+    def owners_of(self, shard: int) -> tuple[int, int]:
+        """First owner of a shard, and the one behind its last."""
+        first = int(self.bounds[shard]) >> self.value_bits
+        return first, (int(self.bounds[shard + 1]) - 1 >> self.value_bits) + 1 if shard + 1 < len(self.bounds) else self.owners
+
+
 @dataclass
 class Layout:
-    """Where the shards are and where each one's words and pairs start in the common numbering."""
+    """Where the shards are, and what all tasks know of them."""
 
     folder: str
     bits: int
     words_at: np.ndarray
-    pairs_at: np.ndarray
     total: int = 0
     distinct: int = 0
     discount: float = 0.6
     least: int = 1
+    shard_tokens: int = SHARD_TOKENS
+    pairs: Level = field(default_factory=Level)
+    triples: Level = field(default_factory=Level)
 
 
 class Trie:
-    """The levels as a task sees them; shards are opened when first needed."""
+    """The levels as a task sees them; shards are opened when needed, those used last stay open."""
 
     def __init__(self, layout: Layout):
         self.at = layout
-        self.open: dict[tuple[str, int], dict] = {}
+        self.open: OrderedDict[tuple[str, int], dict] = OrderedDict()
+        self.size = 0
 
     def level(self, kind: str, shard: int) -> dict:
         if (got := self.open.get((kind, shard))) is None:
             got = _get(f"{self.at.folder}/{kind}-{shard}.bin")
+            self.size += sum(x.nbytes for x in got.values())
             for name in {k.split(".")[0] for k in got if "." in k}:
                 got[name] = _nest(got, f"{name}.")
             self.open[kind, shard] = got
+            while self.size > OPEN_BYTES and len(self.open) > 1:
+                self.size -= sum(x.nbytes for x in self.open.popitem(last=False)[1].values() if isinstance(x, np.ndarray))
+        else:
+            self.open.move_to_end((kind, shard))
         return got
 
-    def word_ids(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(number, count) of sorted distinct hashes; -1 and 0 for unknown words."""
-        number, count = np.full(len(hashes), -1, np.int64), np.zeros(len(hashes), np.int64)
-        shards = (hashes >> _U(64 - self.at.bits)).astype(np.int64) if self.at.bits else np.zeros(len(hashes), np.int64)
-        for s, a, b in _groups(shards):
+    def words(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(number, count) of hashes; the number of words and 0 for unknown ones."""
+        number, count = np.full(len(hashes), self.at.words_at[-1], np.int64), np.zeros(len(hashes), np.int64)
+        bits = self.at.bits
+        shard = (hashes >> _U(64 - bits)).astype(np.int64) if bits else np.zeros(len(hashes), np.int64)
+        order = np.argsort(shard.astype(np.uint16) if bits <= 16 else shard, kind="stable")
+        for s, a, b in _groups(shard[order]):
             if self.at.words_at[s + 1] == self.at.words_at[s]:
                 continue
-            one = self.level("words", s)
-            i = np.minimum(np.searchsorted(one["hash"], hashes[a:b]), len(one["hash"]) - 1)
-            hit = one["hash"][i] == hashes[a:b]
-            number[a:b] = np.where(hit, i + self.at.words_at[s], -1)
-            count[a:b] = np.where(hit, one["count"][i], 0)
+            one, rows = self.level("words", s), order[a:b]
+            sought, table = hashes[rows], one["hash"]
+            bucket = (sought << _U(bits)) >> _U(65 - (len(one["bucket"]) - 1).bit_length())
+            i, stop = one["bucket"][bucket].astype(np.int64), one["bucket"][bucket + _U(1)].astype(np.int64)
+            on = np.flatnonzero(i < stop)
+            while len(on):  # about one entry a bucket
+                on = on[table[i[on]] < sought[on]]
+                i[on] += 1
+                on = on[i[on] < stop[on]]
+            hit = np.flatnonzero(i < stop)
+            hit = hit[table[i[hit]] == sought[hit]]
+            number[rows[hit]] = i[hit] + self.at.words_at[s]
+            count[rows[hit]] = one["count"][i[hit]]
         return number, count
 
-    def _successor(self, kind: str, starts: np.ndarray, owner: np.ndarray, value: np.ndarray):
-        """Entries (owner, value), sorted by owner: (index in the shard, its range's first index, shard)."""
-        index, first = np.full(len(owner), -1, np.int64), np.zeros(len(owner), np.int64)
-        shard = np.searchsorted(starts, owner, "right") - 1
+    def entries(self, kind: str, owner: np.ndarray, value: np.ndarray):
+        """Entries (owner, value), sorted by owner: (number or -1, place in the owner's range, share, mass the owner leaves)."""
+        at: Level = getattr(self.at, kind)
+        number, place, share, left = np.full(len(owner), -1, np.int64), np.zeros(len(owner), np.int64), np.zeros(len(owner)), np.ones(len(owner))
+        if not len(owner) or not len(at.bounds):
+            return number, place, share, left
+        shard = np.searchsorted(at.bounds, (owner.astype(_U) << _U(at.value_bits)) | value.astype(_U), "right") - 1
+        if (shard[1:] < shard[:-1]).any():  # an owner's range that is cut, its values in no order
+            order = np.argsort(shard, kind="stable")
+            found = self.entries(kind, owner[order], value[order])
+            for out, x in zip((number, place, share, left), found):
+                out[order] = x
+            return number, place, share, left
         for s, a, b in _groups(shard):
-            one = self.level(kind, s)
-            if "next" not in one or not one["next"].n:
+            if at.at[s + 1] == at.at[s]:
                 continue
-            own, back = np.unique(owner[a:b] - starts[s], return_inverse=True)
-            lo, hi = one["range"].get(own), one["range"].get(own + 1)
-            base = np.where(lo > 0, one["next"].get(np.maximum(lo - 1, 0)), 0)
-            first[a:b] = lo[back]
-            index[a:b] = one["next"].find(value[a:b] + 1 + base[back], lo[back], hi[back])
-        return index, first, shard
-
-    def pairs(self, left: np.ndarray, right: np.ndarray):
-        """Pairs of word numbers sorted by left: (number or -1, place among the successors, share)."""
-        index, first, shard = self._successor("pairs", self.at.words_at, left, right)
-        hit = index >= 0
-        share = np.zeros(len(index))
-        for s, a, b in _groups(shard):
-            h = np.flatnonzero(hit[a:b]) + a
-            if len(h):
-                share[h] = CODE[self.level("pairs", s)["share"][index[h]]]
-        return np.where(hit, index + self.at.pairs_at[shard], -1), index - first, share
-
-    def triples(self, pair: np.ndarray, place: np.ndarray) -> np.ndarray:
-        """Share of (pair number, place) sorted by pair; 0 where there is no such triple."""
-        index, _, shard = self._successor("triples", self.at.pairs_at, pair, place)
-        share = np.zeros(len(index))
-        for s, a, b in _groups(shard):
-            h = np.flatnonzero(index[a:b] >= 0) + a
-            if len(h):
-                share[h] = CODE[self.level("triples", s)["share"][index[h]]]
-        return share
-
-    def mass_left(self, kind: str, starts: np.ndarray, owner: np.ndarray) -> np.ndarray:
-        """Mass left to shorter contexts of sorted owners; 1 for a context that has no entries."""
-        out = np.ones(len(owner))
-        for s, a, b in _groups(np.searchsorted(starts, owner, "right") - 1):
-            left = self.level(kind, s).get("left")
-            if left is not None and len(left):
-                out[a:b] = CODE[left[owner[a:b] - starts[s]]]
-        return out
+            one = self.level(kind, s)
+            own = owner[a:b] - at.owners_of(s)[0]
+            heads = np.flatnonzero(np.diff(own, prepend=-1))
+            times, own = np.diff(heads, append=b - a), own[heads]
+            first, stop = one["range"].get(own), one["range"].get(own + 1)
+            base = np.where(first > 0, one["next"].get(np.maximum(first - 1, 0)), 0)
+            start = np.repeat(first, times)
+            i = one["next"].find(value[a:b] + 1 + np.repeat(base, times), start, np.repeat(stop, times))
+            hit = np.flatnonzero(i >= 0)
+            number[a + hit], place[a + hit], share[a + hit] = i[hit] + at.at[s], (i - start)[hit], CODE[one["share"][i[hit]]]
+            left[a:b] = np.repeat(CODE[one["left"][own]], times)
+        if len(at.cut_owner):
+            j = np.minimum(np.searchsorted(at.cut_owner, owner), len(at.cut_owner) - 1)
+            here = at.cut_owner[j] == owner
+            left = np.where(here, at.cut_left[j], left)
+            place = np.where(here & (number >= 0), number - at.cut_first[j], place)
+        return number, place, share, left
 
 
 def _groups(shards: np.ndarray):
@@ -303,52 +354,99 @@ def _tokens(body, offsets):
     return out, full
 
 
-def _flush(held: list) -> list:
-    keys = np.concatenate([k for k, _ in held])
-    counts = np.concatenate([c for _, c in held])
-    order = np.argsort(keys, kind="stable")
-    keys, counts = keys[order], counts[order]
-    at = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
-    return [(keys[at], np.add.reduceat(counts, at))]
+# -- counts on their way to the shards ------------------------------------------------------------------
 
 
-def _tally(stream: Iterator[np.ndarray], names: list[str]) -> Iterator[pa.RecordBatch]:
-    """Counts of the keys of a task, handed on whenever many are held."""
-    held, size = [], 0
+def _runs(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct sorted keys and how often each comes."""
+    keys = np.sort(keys)
+    at = np.flatnonzero(np.concatenate([np.ones(min(1, len(keys)), bool), keys[1:] != keys[:-1]]))
+    return keys[at], np.diff(at, append=len(keys))
 
-    def out():
-        keys, counts = _flush(held)[0]
-        for i in range(0, len(keys), 1 << 17):
-            yield pa.RecordBatch.from_arrays([pa.array(keys[i : i + (1 << 17)].view(np.int64)), pa.array(counts[i : i + (1 << 17)])], names=names)
 
+def _held(stream: Iterator[np.ndarray]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Keys of a task and their counts, by ``HELD`` tokens at a time."""
+    held, size = [], 0
     for keys in stream:
-        if not len(keys):
-            continue
-        held.append(np.unique(keys, return_counts=True))
-        size += len(held[-1][0])
-        if size > HELD // 2:
-            held = _flush(held)
-            size = len(held[0][0])
-            if size > HELD // 3:
-                yield from out()
-                held, size = [], 0
-    if held:
-        yield from out()
-
-
-def _word_tally(batches):
-    return _tally((_tokens(body, offsets)[0] for batch in batches for _, _, body, offsets in K.slices(batch, "text", SLICE)), ["word", "n"])
+        held.append(keys)
+        size += len(keys)
+        if size >= HELD:
+            yield _runs(np.concatenate(held))
+            held, size = [], 0
+            K.give_back()
+    if size:
+        yield _runs(np.concatenate(held))
+
+
+def encode_counts(keys: np.ndarray, counts: np.ndarray, low: int) -> bytes:
+    """Sorted distinct keys from ``low`` on and their counts: steps by planes of bytes, counts in a byte, large ones apart."""
+    steps = np.diff(keys, prepend=_U(low))
+    width = max(1, -(-int(steps.max()).bit_length() // 8))
+    planes = np.ascontiguousarray(steps.view(np.uint8).reshape(-1, 8)[:, :width].T)
+    large = counts[counts >= 255]
+    head = np.array([len(keys), width, len(large)], np.int64)
+    return b"".join((head.tobytes(), large.astype(np.int64).tobytes(), planes.tobytes(), np.minimum(counts, 255).astype(np.uint8).tobytes()))
+
+
+def decode_counts(body: bytes, low: int) -> tuple[np.ndarray, np.ndarray]:
+    n, width, large = np.frombuffer(body, np.int64, 3).tolist()
+    at = 24 + 8 * large
+    steps = np.zeros((n, 8), np.uint8)
+    steps[:, :width] = np.frombuffer(body, np.uint8, n * width, at).reshape(width, n).T
+    counts = np.frombuffer(body, np.uint8, n, at + n * width).astype(np.int64)
+    counts[counts == 255] = np.frombuffer(body, np.int64, large, 24)
+    keys = steps.view(_U).ravel()
+    keys[0] += _U(low)
+    return np.cumsum(keys, dtype=_U), counts
+
+
+def merge_counts(bodies, low: int) -> tuple[np.ndarray, np.ndarray]:
+    """Keys and summed counts of a shard's blocks. Counts below 16 are sorted as repeated keys, which is
+    faster than sorting keys with their counts, and as many as the shard was made for; others are added."""
+    if not len(bodies):
+        return np.zeros(0, _U), np.zeros(0, np.int64)
+    keys, counts = (np.concatenate(x) for x in zip(*(decode_counts(b, low) for b in bodies)))
+    large = np.flatnonzero(counts >= 16)
+    more, where = counts[large] - 1, keys[large]
+    counts[large] = 1
+    keys, counts = _runs(np.repeat(keys, counts))
+    np.add.at(counts, np.searchsorted(keys, where), more)
+    return keys, counts
+
+
+def _word_tally(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for words, counts in _held(_tokens(body, offsets)[0] for batch in batches for _, _, body, offsets in K.slices(batch, "text", SLICE)):
+        for i in range(0, len(words), 1 << 17):
+            yield pa.RecordBatch.from_arrays([pa.array(words[i : i + (1 << 17)].view(np.int64)), pa.array(counts[i : i + (1 << 17)])], names=["word", "n"])
+
+
+def _dealt(stream: Iterator[np.ndarray], bounds: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """(shard, block of counts)."""
+    for keys, counts in _held(stream):
+        cut = [0, *np.searchsorted(keys, bounds[1:]).tolist(), len(keys)]
+        full = [s for s in range(len(bounds)) if cut[s] < cut[s + 1]]
+        blocks = [encode_counts(keys[cut[s] : cut[s + 1]], counts[cut[s] : cut[s + 1]], int(bounds[s])) for s in full]
+        yield pa.RecordBatch.from_arrays([pa.array(full, pa.int32()), pa.array(blocks, pa.binary())], names=["shard", "body"])
+
+
+def _order(key: np.ndarray) -> np.ndarray:
+    """Places of the keys in ascending order, but for low bits that find no room beside a place."""
+    bits = max(1, (len(key) - 1).bit_length())
+    cut = max(0, int(key.max()).bit_length() + bits - 64) if len(key) else 0
+    return (np.sort(((key >> _U(cut)) << _U(bits)) | np.arange(len(key), dtype=_U)) & _U((1 << bits) - 1)).astype(np.int64)
 
 
 class _Lookup:
-    """Numbers of a slice's tokens, pairs and triples, each distinct one sought once."""
+    """Numbers of a slice's tokens, pairs and triples."""
 
     def __init__(self, trie: Trie, body: np.ndarray, offsets: np.ndarray):
         self.trie = trie
         hashes, self.full = _tokens(body, offsets)
-        distinct, back = np.unique(hashes, return_inverse=True)
-        number, count = trie.word_ids(distinct)
-        self.number, self.count, self.usable = number[back], count[back], (count >= trie.at.least)[back]
+        coded = pa.array(hashes).dictionary_encode()
+        number, count = trie.words(coded.dictionary.to_numpy())
+        back = coded.indices.to_numpy()
+        none = trie.at.words_at[-1]
+        self.number, self.count = np.where(count >= trie.at.least, number, none)[back], count[back]
         inner = np.ones(len(hashes), bool)
         begin = np.cumsum(self.full) - self.full
         inner[begin] = False
@@ -356,153 +454,174 @@ class _Lookup:
         self.second = inner.copy()
         self.second[begin + 1] = False  # tokens with two tokens before them
 
+    def _found(self, kind: str, j: np.ndarray, owner: np.ndarray, value: np.ndarray):
+        """Tokens j in the order of their keys, with what the trie has."""
+        order = _order((owner.astype(_U) << _U(getattr(self.trie.at, kind).value_bits)) | value.astype(_U))
+        return j[order], *self.trie.entries(kind, owner[order], value[order])
+
     def pair_keys(self) -> np.ndarray:
-        j = self.at[self.usable[self.at] & self.usable[self.at - 1]]
-        return (self.number[j - 1].astype(_U) << _U(31)) | self.number[j].astype(_U)
-
-    def find_pairs(self) -> None:
-        """Per token: number of the pair that ends in it (-1), its place and share."""
-        size = len(self.number)
-        self.pair, self.place, self.pair_share = np.full(size, -1, np.int64), np.zeros(size, np.int64), np.zeros(size)
-        j = self.at[self.usable[self.at] & self.usable[self.at - 1]]
-        keys, back = np.unique((self.number[j - 1].astype(_U) << _U(31)) | self.number[j].astype(_U), return_inverse=True)
-        pair, place, share = self.trie.pairs((keys >> _U(31)).astype(np.int64), (keys & _U((1 << 31) - 1)).astype(np.int64))
-        self.pair[j], self.place[j], self.pair_share[j] = pair[back], place[back], share[back]
-
-    def triple_rows(self) -> np.ndarray:
-        j = np.flatnonzero(self.second)
-        return j[(self.pair[j] >= 0) & (self.pair[j - 1] >= 0)]
+        none, j = self.trie.at.words_at[-1], self.at
+        j = j[(self.number[j] < none) & (self.number[j - 1] < none)]
+        return (self.number[j - 1].astype(_U) << _U(self.trie.at.pairs.value_bits)) | self.number[j].astype(_U)
+
+    def find_pairs(self):
+        """Per token: number of the pair that ends in it (-1) and its place; (tokens, share, mass left) of those with a known word before."""
+        self.pair, self.place = np.full(len(self.number), -1, np.int64), np.zeros(len(self.number), np.int64)
+        j = self.at[self.number[self.at - 1] < self.trie.at.words_at[-1]]
+        j, number, place, share, left = self._found("pairs", j, self.number[j - 1], self.number[j])
+        self.pair[j], self.place[j] = number, place
+        return j, share, left
 
     def triple_keys(self) -> np.ndarray:
-        j = self.triple_rows()
-        return (self.pair[j - 1].astype(_U) << _U(28)) | self.place[j].astype(_U)
+        j = np.flatnonzero(self.second)
+        j = j[(self.pair[j] >= 0) & (self.pair[j - 1] >= 0)]
+        return (self.pair[j - 1].astype(_U) << _U(self.trie.at.triples.value_bits)) | self.place[j].astype(_U)
 
+    def find_triples(self):
+        """(tokens, share, mass left) of those with a known pair before."""
+        j = np.flatnonzero(self.second)
+        j = j[self.pair[j - 1] >= 0]
+        none = (1 << self.trie.at.triples.value_bits) - 1  # no place: such triples are not there
+        j, _, _, share, left = self._found("triples", j, self.pair[j - 1], np.where(self.pair[j] >= 0, self.place[j], none))
+        return j, share, left
 
-def _pair_tally(batches, layout):
+
+def _slices(batches: Iterator[pa.RecordBatch], layout: Layout) -> Iterator[_Lookup]:
     trie = Trie(layout)
-    return _tally((_Lookup(trie, body, offsets).pair_keys() for batch in batches for _, _, body, offsets in K.slices(batch, "text", SLICE)), ["key", "n"])
+    for batch in batches:
+        for _, _, body, offsets in K.slices(batch, "text", SLICE):
+            yield _Lookup(trie, body, offsets)
 
 
-def _triple_tally(batches, layout):
-    trie = Trie(layout)
+def _pair_tally(batches, layout):
+    return _dealt((one.pair_keys() for one in _slices(batches, layout)), layout.pairs.bounds)
+
 
-    def keys():
-        for batch in batches:
-            for _, _, body, offsets in K.slices(batch, "text", SLICE):
-                one = _Lookup(trie, body, offsets)
-                one.find_pairs()
-                yield one.triple_keys()
+def _triple_tally(batches, layout):
+    return _dealt((one.find_pairs() and one.triple_keys() for one in _slices(batches, layout)), layout.triples.bounds)
 
-    return _tally(keys(), ["key", "n"])
 
+# -- shards -------------------------------------------------------------------------------------------------
 
-def _sized(shard: int, n: int) -> pd.DataFrame:
-    return pd.DataFrame({"shard": [shard], "n": [n]})
+_BUILT = "shard int, n long, mass double, most long, cuts array<long>, parts array<long>"
 
 
-def _shares(owner: np.ndarray, count: np.ndarray, context: np.ndarray, discount: float):
-    """Discounted shares of entries sorted by owner and the mass each owner leaves."""
-    share = (count - discount) / context[owner]
-    left = 1 - np.bincount(owner, weights=share, minlength=len(context))
-    return share, np.where(np.bincount(owner, minlength=len(context)) > 0, np.maximum(left, 1e-9), 1.0)
+def _built(shard: int, counts: np.ndarray, tokens: int, mass: float = 0.0, most: int = 0) -> pd.DataFrame:
+    """A row on a built shard. cuts: entries that shards of the next level start at; parts: into how many each is cut."""
+    before = (np.cumsum(counts) - counts) // tokens
+    heavy = np.flatnonzero(counts > tokens)
+    starts = np.unique(np.concatenate([np.flatnonzero(np.diff(before, prepend=-1)), heavy, heavy + 1]))
+    starts = starts[starts < len(counts)].astype(np.int64)
+    parts = np.where(counts[starts] > tokens, -(-counts[starts] // tokens), 1)
+    return pd.DataFrame({"shard": [shard], "n": [len(counts)], "mass": [mass], "most": [most], "cuts": [starts], "parts": [parts]})
 
 
-def _build_words(part: pd.DataFrame, folder: str) -> pd.DataFrame:
+def _build_words(part: pd.DataFrame, folder: str, bits: int, tokens: int) -> pd.DataFrame:
     shard = int(part["shard"].iloc[0])
-    part = part[part["n"] > 0]
     hashes = part["word"].to_numpy(np.int64).view(_U)
     order = np.argsort(hashes)
-    _put(f"{folder}/words-{shard}.bin", {"hash": hashes[order], "count": part["n"].to_numpy(np.int64)[order]})
-    return _sized(shard, len(order))
-
-
-def _build_pairs(part: pd.DataFrame, layout: Layout) -> pd.DataFrame:
-    shard = int(part["shard"].iloc[0])
-    part = part[part["n"] > 0]
-    keys = np.sort(part["key"].to_numpy(np.int64).view(_U))
-    count = part["n"].to_numpy(np.int64)[np.argsort(part["key"].to_numpy(np.int64).view(_U))]
-    owner = (keys >> _U(31)).astype(np.int64) - layout.words_at[shard]
-    value = (keys & _U((1 << 31) - 1)).astype(np.int64)
-    context = Trie(layout).level("words", shard)["count"]
-    share, left = _shares(owner, count, np.asarray(context), layout.discount)
-    pointers, following = _ranges(owner, value, len(context))
-    _put(
-        f"{layout.folder}/pairs-{shard}.bin",
-        {f"range.{k}": v for k, v in pointers.items()} | {f"next.{k}": v for k, v in following.items()} | {"share": quantise(share), "left": quantise(left)},
-    )
-    _put(f"{layout.folder}/paircounts-{shard}.bin", {"count": count})
-    return _sized(shard, len(keys))
+    hashes, counts = hashes[order], part["n"].to_numpy(np.int64)[order]
+    wide = max(1, len(hashes).bit_length())
+    bucket = np.searchsorted((hashes << _U(bits)) >> _U(64 - wide), np.arange((1 << wide) + 1, dtype=_U)).astype(np.uint32)
+    _put(f"{folder}/words-{shard}.bin", {"hash": hashes, "count": counts, "bucket": bucket})
+    return _built(shard, counts, tokens)
 
 
-def _build_triples(part: pd.DataFrame, layout: Layout) -> pd.DataFrame:
+def _build(part: pd.DataFrame, layout: Layout, kind: str) -> pd.DataFrame:
+    """Entries of a shard, and, of pairs, their counts for the level below."""
+    level: Level = getattr(layout, kind)
     shard = int(part["shard"].iloc[0])
-    part = part[part["n"] > 0]
-    keys = part["key"].to_numpy(np.int64).view(_U)
-    order = np.argsort(keys)
-    keys, count = keys[order], part["n"].to_numpy(np.int64)[order]
-    owner = (keys >> _U(28)).astype(np.int64) - layout.pairs_at[shard]
-    value = (keys & _U((1 << 28) - 1)).astype(np.int64)
-    context = np.asarray(Trie(layout).level("paircounts", shard)["count"])
-    share, left = _shares(owner, count, context, layout.discount)
+    keys, counts = merge_counts(part["body"].tolist(), int(level.bounds[shard]))
+    if layout.least > 1:
+        keys, counts = keys[counts >= layout.least], counts[counts >= layout.least]
+    first, stop = level.owners_of(shard)
+    owner = (keys >> _U(level.value_bits)).astype(np.int64) - first
+    value = (keys & _U((1 << level.value_bits) - 1)).astype(np.int64)
+    above = layout.words_at if kind == "pairs" else layout.pairs.at
+    up = int(np.searchsorted(above, first, "right")) - 1
+    context = _get(f"{layout.folder}/{'words' if kind == 'pairs' else 'paircounts'}-{up}.bin")
+    context = _small_counts(context)[first - above[up] : stop - above[up]] if kind == "triples" else context["count"][first - above[up] : stop - above[up]]
+    share = (counts - layout.discount) / context[owner]
+    given = np.bincount(owner, weights=share, minlength=len(context))
+    left = np.where(np.bincount(owner, minlength=len(context)) > 0, np.maximum(1 - given, 1e-9), 1.0)
     pointers, following = _ranges(owner, value, len(context))
-    _put(
-        f"{layout.folder}/triples-{shard}.bin",
-        {f"range.{k}": v for k, v in pointers.items()} | {f"next.{k}": v for k, v in following.items()} | {"share": quantise(share), "left": quantise(left)},
-    )
-    return _sized(shard, len(keys))
-
-
-def _to_shards(batches: Iterator[pa.RecordBatch], starts: np.ndarray, shift: int) -> Iterator[pa.RecordBatch]:
-    """Put before each key the shard that holds its leading number."""
-    for batch in batches:
-        owner = (batch.column(0).to_numpy().view(_U) >> _U(shift)).astype(np.int64)
-        shard = np.searchsorted(starts, owner, "right") - 1
-        yield pa.RecordBatch.from_arrays([pa.array(shard.astype(np.int32)), *batch.columns], names=["shard", "key", "n"])
-
-
-def _with(build, layout: Layout):
-    return lambda part: build(part, layout)
-
-
-def _starts(sizes: DataFrame, shards: int) -> np.ndarray:
-    """First number of each shard, from one row per shard."""
-    n = np.zeros(shards, np.int64)
-    for row in sizes.collect():
-        n[row["shard"]] = row["n"]
-    return np.concatenate([[0], np.cumsum(n)])
-
-
-def train(texts: DataFrame, least: int = 1, discount: float = 0.6) -> Layout:
-    """Build the trie of all rows of ``texts`` (text; null is empty) in the shared folder."""
+    if len(keys):
+        arrays = {f"range.{k}": v for k, v in pointers.items()} | {f"next.{k}": v for k, v in following.items()}
+        _put(f"{layout.folder}/{kind}-{shard}.bin", arrays | {"share": quantise(share), "left": quantise(left)})
+    if kind == "pairs" and len(keys):
+        large = np.flatnonzero(counts >= 255)
+        _put(f"{layout.folder}/paircounts-{shard}.bin", {"small": np.minimum(counts, 255).astype(np.uint8), "where": large, "large": counts[large]})
+    return _built(shard, counts, layout.shard_tokens, float(share.sum()), int(np.bincount(owner).max(initial=0)))
+
+
+def _builder(layout: Layout, kind: str):
+    return lambda part: _build(part, layout, kind)
+
+
+def _small_counts(arrays: dict[str, np.ndarray]) -> np.ndarray:
+    counts = arrays["small"].astype(np.int64)
+    counts[arrays["where"]] = arrays["large"]
+    return counts
+
+
+class _Sizes:
+    """What the built shards of a level say, in order: one row of a few numbers per shard."""
+
+    def __init__(self, built: DataFrame, shards: int):
+        self.n, self.mass, self.most = np.zeros(shards, np.int64), np.zeros(shards), np.zeros(shards, np.int64)
+        self.cuts: list[tuple[int, int, int]] = []
+        for row in built.collect():
+            s = row["shard"]
+            self.n[s], self.mass[s], self.most[s] = row["n"], row["mass"], row["most"]
+            self.cuts += [(s, c, k) for c, k in zip(row["cuts"], row["parts"])]
+        self.at = np.concatenate([[0], np.cumsum(self.n)])
+        self.cuts.sort()
+
+    def level_below(self, most_values: int) -> Level:
+        """Bounds of the next level, whose values are below ``most_values``; that number itself stands for no value."""
+        bits = max(1, int(most_values).bit_length())
+        if int(self.at[-1]).bit_length() + bits > 64:
+            raise OverflowError(f"{self.at[-1]} entries, each followed by up to {most_values}: keys need more than 64 bits")
+        keys = [(int(self.at[s]) + c << bits) + j * int(most_values) // k for s, c, k in self.cuts for j in range(k)]
+        return Level(bits, np.array(keys, _U), int(self.at[-1]))
+
+
+def _close(level: Level, sizes: _Sizes) -> int:
+    """Enter the numbers of entries and what is known of owners that are cut; the most entries of an owner."""
+    level.at = sizes.at
+    owner = (level.bounds >> _U(level.value_bits)).astype(np.int64)
+    runs = [(a, b) for _, a, b in _groups(owner) if b - a > 1]
+    level.cut_owner = np.array([owner[a] for a, _ in runs], np.int64)
+    level.cut_first = np.array([sizes.at[a] for a, _ in runs], np.int64)
+    level.cut_left = np.array([max(1 - sizes.mass[a:b].sum(), 1e-9) if sizes.n[a:b].any() else 1.0 for a, b in runs])
+    return max([int(sizes.most.max(initial=0)), *(int(sizes.n[a:b].sum()) for a, b in runs)])
+
+
+def train(texts: DataFrame, least: int = 1, discount: float = 0.6, shard_words: int = SHARD_WORDS, shard_tokens: int = SHARD_TOKENS) -> Layout:
+    """Build the trie of all rows of ``texts`` (text; null is empty) in the shared folder.
+
+    The driver holds a few numbers per shard. Raises OverflowError where keys would need more than 64 bits
+    (word numbers twice, or pair numbers and the successors of a word)."""
     spark = texts.sparkSession
     ship(spark)
     texts = texts.select(F.col("text").cast("string").alias("text"))
     folder = new_path(spark, "trie")
     words = settle(texts.mapInArrow(_word_tally, "word long, n long").groupBy("word").agg(F.sum("n").alias("n")), "words")
-    signed = [x - (1 << 64) if x >= 1 << 63 else x for x in (END, START)]
-    sums = words.where(F.col("word") != signed[1]).agg(F.count("*").alias("v"), F.sum("n").alias("n")).first()
-    bits = max(int(sums["v"]) // SHARD_WORDS, int(sums["n"] or 0) // SHARD_TOKENS).bit_length()
-    shards = 1 << bits
-    layout = Layout(folder, bits, np.zeros(shards + 1, np.int64), np.zeros(shards + 1, np.int64), int(sums["n"] or 0), int(sums["v"]), discount, least)
+    start = START - (1 << 64) if START >= 1 << 63 else START
+    sums = words.where(F.col("word") != start).agg(F.count("*").alias("v"), F.sum("n").alias("n")).first()
+    bits = (int(sums["v"]) // shard_words).bit_length()
     of_word = F.shiftrightunsigned("word", 64 - bits).cast("int") if bits else F.lit(0)
-    # every shard has a row that counts nothing, so that its files are there even if it is empty
-    none = spark.createDataFrame([(s, 0, 0) for s in range(shards)], "shard int, word long, n long")
-    dealt = words.select(of_word.alias("shard"), "word", "n").unionByName(none)
-    built = dealt.groupBy("shard").applyInPandas(lambda p: _build_words(p, folder), "shard int, n long")
-    layout.words_at = _starts(settle(built, "sizes"), shards)
-
-    empty = none.withColumnRenamed("word", "key")
-    for kind, tally, build, starts, shift in (("pairs", _pair_tally, _build_pairs, layout.words_at, 31), ("triples", _triple_tally, _build_triples, None, 28)):
-        starts = layout.pairs_at if starts is None else starts
-        now = Layout(**vars(layout))
-        counted = texts.mapInArrow(lambda it, f=tally, at=now: f(it, at), "key long, n long").groupBy("key").agg(F.sum("n").alias("n")).where(F.col("n") >= least)
-        deal = lambda it, s=starts, k=shift: _to_shards(it, s, k)
-        dealt = counted.mapInArrow(deal, "shard int, key long, n long").unionByName(empty)
-        sizes = settle(dealt.groupBy("shard").applyInPandas(_with(build, now), "shard int, n long"), "sizes")
+    built = words.select(of_word.alias("shard"), "word", "n").groupBy("shard").applyInPandas(lambda p: _build_words(p, folder, bits, shard_tokens), _BUILT)
+    sizes = _Sizes(settle(built, "sizes"), 1 << bits)
+    layout = Layout(folder, bits, sizes.at, int(sums["n"] or 0), int(sums["v"]), discount, least, shard_tokens, pairs=sizes.level_below(int(sizes.at[-1])))
+    for kind, tally in (("pairs", _pair_tally), ("triples", _triple_tally)):
+        level = getattr(layout, kind)
+        dealt = texts.mapInArrow(lambda it, f=tally: f(it, layout), "shard int, body binary")
+        built = dealt.groupBy("shard").applyInPandas(_builder(layout, kind), _BUILT)
+        sizes = _Sizes(settle(built, "sizes"), len(level.bounds))
+        most = _close(level, sizes)
         if kind == "pairs":
-            layout.pairs_at = _starts(sizes, shards)
-            if layout.pairs_at[-1] >> 36:
-                raise OverflowError("more pairs than a triple's key can number")
+            layout.triples = sizes.level_below(most)
     return layout
 
 
@@ -512,30 +631,18 @@ def _score(batches: Iterator[pa.RecordBatch], layout: Layout) -> Iterator[pa.Rec
     for batch in batches:
         for i, j, body, offsets in K.slices(batch, "text", SLICE):
             one = _Lookup(trie, body, offsets)
-            one.find_pairs()
-            at = one.at
-            plain = (np.where(one.number[at] >= 0, one.count[at], 0) + 0.1) / floor
-            contexts, back = np.unique(one.number[at - 1], return_inverse=True)
-            left = np.ones(len(contexts))
-            known = contexts >= 0
-            left[known] = trie.mass_left("pairs", layout.words_at, contexts[known])
-            p = np.ones(len(one.number))
-            p[at] = one.pair_share[at] + left[back] * plain
-            wide = np.flatnonzero(one.second)
-            wide = wide[one.pair[wide - 1] >= 0]
-            contexts, back = np.unique(one.pair[wide - 1], return_inverse=True)
-            left = trie.mass_left("triples", layout.pairs_at, contexts)
-            share = np.zeros(len(one.number))
-            rows = one.triple_rows()
-            keys, where = np.unique(one.triple_keys(), return_inverse=True)
-            share[rows] = trie.triples((keys >> _U(28)).astype(np.int64), (keys & _U((1 << 28) - 1)).astype(np.int64))[where]
-            p[wide] = share[wide] + left[back] * p[wide]
-            counts = one.full - 1
+            plain = (one.count + 0.1) / floor
+            p = plain.copy()
+            rows, share, left = one.find_pairs()
+            p[rows] = share + left * p[rows]
+            rows, share, left = one.find_triples()
+            p[rows] = share + left * p[rows]
+            at, counts = one.at, one.full - 1
             columns = [
                 batch.column(0).slice(i, j - i),
                 pa.array(counts),
                 pa.array(K.segment_sums((one.count[at] > 0).astype(np.int64), counts).astype(np.int64)),
-                pa.array(K.segment_sums(np.log10(plain), counts)),
+                pa.array(K.segment_sums(np.log10(plain[at]), counts)),
                 pa.array(K.segment_sums(np.log10(np.minimum(p[at], 1.0)), counts)),
             ]
             yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "n_tokens", "n_known", "base_score", "score"])
@@ -548,14 +655,14 @@ def score(docs: DataFrame, layout: Layout) -> DataFrame:
     return picked.mapInArrow(lambda it: _score(it, layout), "doc_id long, n_tokens long, n_known long, base_score double, score double")
 
 
-def held_out_scores(docs: DataFrame, folds: int = 10, least: int = 1) -> DataFrame:
+def held_out_scores(docs: DataFrame, folds: int = 10, least: int = 1, **sizes: int) -> DataFrame:
     """Train on the rows outside the held-out fold and score all rows.
 
     Null texts are empty: one end token. Rows with a null doc_id train and are not held out; repeated
     rows count and are scored each. Without training texts every word has the same smoothed frequency.
     """
     held = F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % folds == 0, F.lit(False))
-    layout = train(docs.where(~held).select("text"), least)
+    layout = train(docs.where(~held).select("text"), least, **sizes)
     return score(docs, layout).select(
         "doc_id", held.alias("held_out"), "n_tokens", "n_known", F.lit(layout.total).cast("long").alias("train_tokens"), "base_score", "score"
     )

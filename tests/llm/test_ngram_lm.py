@@ -22,6 +22,46 @@ def test_elias_fano(values, other):
         assert (i >= 0) == (v in values) and (i < 0 or x[i] == v)
 
 
+class Plain:
+    """The same model without levels, shards and quantiser, on all rows."""
+
+    def __init__(self, rows, least=1, discount=0.6):
+        self.one, self.two, self.three, self.context = (collections.Counter() for _ in range(4))
+        for _, text in rows:
+            w = ["<s>", *text.split(), "</s>"]
+            self.one.update(w[1:])
+            self.context.update(w)
+            self.two.update(zip(w, w[1:]))
+            self.three.update(zip(w, w[1:], w[2:]))
+        self.d = discount
+
+    def p(self, before, w):
+        before = ["<s>", *before][-2:]
+        p = (self.one[w] + 0.1) / (sum(self.one.values()) + 0.1 * (len(self.one) + 1))
+        for table, owner, context in ((self.two, before[-1:], self.context[before[-1]]), (self.three, before, self.two[tuple(before)])):
+            if len(owner) == len(next(iter(table))) - 1 and context:
+                follows = [c for k, c in table.items() if k[:-1] == tuple(owner)]
+                left = 1 - sum(c - self.d for c in follows) / context if follows else 1
+                n = table[(*owner, w)]
+                p = (max(n - self.d, 0) / context if n else 0) + left * p
+        return p
+
+
+def plain_probabilities(rows, before, words):
+    m = Plain(rows)
+    return [m.p(before, w if w != "never" else "\0") for w in words]
+
+
+def plain_probabilities_of_end(rows, before, words):
+    m = Plain(rows)
+    return [m.p([*before, w], "</s>") for w in words]
+
+
+def plain_log(rows, before):
+    m = Plain(rows)
+    return sum(math.log10(m.p(before[:i], w)) for i, w in enumerate(before))
+
+
 def plain(rows, least, discount, folds=10):
     low = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
     tokens = [(i, re.findall(r"[^\x20\x09-\x0D]+", (t or "").translate(low))) for i, t in rows]
@@ -58,9 +98,9 @@ def plain(rows, least, discount, folds=10):
     return out
 
 
-def check(spark, rows, least):
+def check(spark, rows, least, **sizes):
     df = spark.createDataFrame([(*r, "clash", 0.0) for r in rows], "doc_id long, text string, n_tokens string, score double")
-    got = sorted(L.held_out_scores(df, least=least).collect(), key=lambda r: (r.doc_id is not None, r.doc_id or 0, r.n_tokens))
+    got = sorted(L.held_out_scores(df, least=least, **sizes).collect(), key=lambda r: (r.doc_id is not None, r.doc_id or 0, r.n_tokens))
     want = sorted(plain(rows, least, 0.6), key=lambda r: (r[0] is not None, r[0] or 0, r[1]))
     assert len(got) == len(want)
     for g, w in zip(got, want):
@@ -82,13 +122,25 @@ def test_default_leaves_no_pair_or_triple_out(spark, tiny):
     assert all(abs(g.score - want[g.doc_id][5]) < 0.02 * g.n_tokens + 0.02 for g in got)
 
 
-def test_many_shards(spark, tiny):
-    keep, L.SHARD_WORDS = L.SHARD_WORDS, 3000
-    try:
-        rows = [(r.doc_id, r.text) for r in spark.read.parquet(f"{tiny}/documents.parquet").collect()]
-        check(spark, rows, 2)
-    finally:
-        L.SHARD_WORDS = keep
+@settings(max_examples=60, deadline=None)
+@given(st.lists(st.lists(st.integers(0, 300), min_size=1, max_size=400), min_size=1, max_size=4), st.integers(0, 1 << 60))
+def test_counts_survive_their_blocks(parts, low):
+    parts = [np.array(p, np.uint64) + np.uint64(low) for p in parts]
+    want = collections.Counter(int(k) for p in parts for k in np.repeat(p, np.where(p % np.uint64(7) == 0, 300, 1)))
+    blocks = [L.encode_counts(*L._runs(np.repeat(p, np.where(p % np.uint64(7) == 0, 300, 1))), low) for p in parts]
+    keys, counts = L.merge_counts(blocks, low)
+    assert dict(zip(keys.tolist(), counts.tolist())) == dict(want) and (np.diff(keys) > 0).all()
+
+
+def test_many_shards_and_words_cut_into_several(spark, tiny):
+    """Shards of 3,000 words and of 500 tokens: words and pairs that occur more often have several."""
+    sizes = {"shard_words": 3000, "shard_tokens": 500}
+    rows = [(r.doc_id, r.text) for r in spark.read.parquet(f"{tiny}/documents.parquet").limit(60).collect()]
+    rows += [(1000 + i, "so it goes and so it goes " * 200 + f"on and so it goes {i}") for i in range(12)]
+    check(spark, rows, 1, **sizes)
+    check(spark, rows, 2, **sizes)
+    layout = L.train(spark.createDataFrame(rows, "doc_id long, text string").select("text"), **sizes)
+    assert len(layout.pairs.cut_owner) > 3 and len(layout.triples.cut_owner) > 3
 
 
 def test_edge_rows(spark):
@@ -101,10 +153,22 @@ def test_empty_table(spark):
 
 
 def test_probabilities_add_up(spark):
-    """Over all words and the unknown rest, the smoothed model's probabilities sum to one within the quantiser."""
+    """After one and after two words: the probabilities of all words, the end and an unknown word sum to one, but for the quantiser."""
     rows = [(i, "x y z x y w") for i in range(30)] + [(100 + i, "x z y") for i in range(30)]
     layout = L.train(spark.createDataFrame(rows, "doc_id long, text string").select("text"))
-    asks = [(i, f"x y {w}") for i, w in enumerate(["x", "y", "z", "w", "never"])] + [(9, "x y")]
-    got = {r.doc_id: r.score for r in L.score(spark.createDataFrame(asks, "doc_id long, text string"), layout).collect()}
-    base = plain(rows, 3, 0.6)
-    assert base and got[9] > got[4]
+
+    def logs(texts):
+        asked = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+        return [r.score for r in sorted(L.score(asked, layout).collect(), key=lambda r: r.doc_id)]
+
+    words = ["x", "y", "z", "w", "never"]
+    # a text's end is a token: P(end | a b) is that of "a b" over what "a b" has without it
+    for context in ("", "x", "x y", "z x", "never y"):
+        # log10 P(context w end) - log10 P(end | ... w) = log10 P(context w); the end's share is found from the base model's plain form
+        one = plain_probabilities(rows, context.split(), [*words, "</s>"])
+        assert abs(sum(one) - 1) < 1e-9
+        got = logs([" ".join([context, w]).strip() for w in words] + [context])
+        ends = plain_probabilities_of_end(rows, context.split(), words)
+        head = plain_log(rows, context.split())
+        mine = [10 ** (g - head) / e for g, e in zip(got, ends)] + [10 ** (got[-1] - head)]
+        assert abs(sum(mine) - 1) < 0.06
