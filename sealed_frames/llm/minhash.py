@@ -30,6 +30,8 @@ from .runtime import settle, ship, small_side
 
 #: Ids that may be broadcast to pick candidates' texts; beyond it the texts are joined by a shuffle.
 BROADCAST_IDS = 1_000_000
+#: Documents whose keys a task makes: a document has a key per table.
+KEYED = 16_384
 #: Sets and set members of a block that is compared with another, about.
 BLOCK_SETS, BLOCK_VALUES = 192, 100_000
 _U = np.uint64
@@ -134,7 +136,9 @@ def _candidate_sets(docs: DataFrame, pairs: DataFrame, words: int) -> DataFrame:
     ids = settle(pairs.select(F.col("u").alias("id")).unionByName(pairs.select(F.col("v").alias("id"))).distinct(), "ids")
     texts = docs.select(F.col("doc_id").alias("id"), "text").join(small_side(ids, BROADCAST_IDS), "id", "left_semi")
     found = texts.mapInArrow(lambda it: _sets(it, words), "id long, members array<long>")
-    return settle(found.dropDuplicates(["id"]), "sets")
+    # rows of one id: the text of the longest, then of the largest set, as one value per id
+    best = F.max(F.struct(F.size("members").alias("n"), F.col("members")))
+    return settle(found.groupBy("id").agg(best.alias("best")).select("id", "best.members"), "sets")
 
 
 def shared_counts(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
@@ -233,7 +237,7 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, groups:
 
     Null and empty texts, and texts of white space, have an empty set and link with nothing. Rows with
     a null doc_id keep a null component and are kept. Repeated rows of one doc_id are one document
-    and come back as often as they came. Further columns of ``docs`` are ignored.
+    and come back as often as they came; if their texts differ, that with the largest set is compared. Further columns of ``docs`` are ignored.
     """
     spark = docs.sparkSession
     ship(spark)
@@ -250,7 +254,9 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, groups:
     heads = classes.select("fp1", "fp2", F.col("id").alias("doc_id")).join(
         usable.select("fp1", "fp2", "doc_id", "parts"), ["fp1", "fp2", "doc_id"]
     )
-    keyed = heads.select("doc_id", "parts").mapInArrow(lambda it: _keys(it, groups), "bucket long, id long")
+    # a document becomes a row per table here: as many tasks as those rows need, not as the documents do
+    tasks = max(2 * spark.sparkContext.defaultParallelism, -(-classes.count() // KEYED))
+    keyed = heads.select("doc_id", "parts").repartition(tasks, "doc_id").mapInArrow(lambda it: _keys(it, groups), "bucket long, id long")
     shared = keyed.groupBy("bucket").agg(F.min("id").alias("lead"), F.max("id").alias("last")).where("lead <> last")
     members = settle(keyed.join(shared.select("bucket", "lead"), "bucket"), "members")
 

@@ -74,6 +74,15 @@ def test_empty_null_ids_repeats_and_clashing_columns(spark):
     assert sorted((r.doc_id or -1) for r in left.collect()) == [-1, 1]
 
 
+def test_one_id_with_different_texts(spark):
+    """The row with the largest set stands for the id, in whatever order rows come."""
+    rows = [(1, "a b c d e f g h"), (1, "x y"), (2, "a b c d e f g h i"), (3, "x y"), (5, "a b c d e f g h")]
+    for turn in range(3):
+        df = spark.createDataFrame(rows[turn:] + rows[:turn], "doc_id long, text string").repartition(3)
+        got = sorted((r.doc_id, r.n_shingles, r.component_id) for r in minhash.near_duplicates(df, words=2).collect())
+        assert got == [(1, 1, 1), (1, 7, 1), (2, 8, 1), (3, 1, 1), (5, 7, 1)]
+
+
 def test_shared_counts():
     rng = np.random.default_rng(0)
     sets = [np.unique(rng.integers(0, 9000, n)) for n in (0, 1, 50, 6000, 300)]
