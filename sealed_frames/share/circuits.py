@@ -110,9 +110,34 @@ def divide(p: Protocol, x: Shared, y: Shared, ell: int = 32) -> Shared:
     return out
 
 
-def divide_public(p: Protocol, x: Shared, d: int, ell: int = 32) -> Shared:
-    """By a public divisor: the same steps against a public word."""
-    return divide(p, x, p.public(np.full(len(x), d), True), ell)
+def times_public(p: Protocol, x: Shared, factor: int, ell: int = 64) -> Shared:
+    """x times a public number on boolean shares: shifted copies are added, an addition per set bit but the first;
+    digits are 1, 0 and -1, so that runs of ones cost two."""
+    out, i = None, 0
+    while factor:
+        if factor & 1:
+            digit = 2 - (factor & 3)  # 1, or -1 before another one
+            factor -= digit
+            term = p.mask(p.shift(x, i), (1 << ell) - 1)
+            if digit < 0:
+                term = negate(p, term, ell)
+            out = term if out is None else add(p, out, term, ell)
+        factor >>= 1
+        i += 1
+    return p.public(np.zeros(len(x), np.int64), True) if out is None else out
+
+
+def divide_public(p: Protocol, x: Shared, d: int, ell: int = 31) -> Shared:
+    """floor(x / d) of unsigned ell-bit numbers by a public number: times a rounded-up reciprocal, whose
+    excess stays below one for all of them, and a shift; a few additions instead of a step per bit (L743).
+
+    ell is at most 31, so that the product fits 64 bits."""
+    if not 0 < ell <= 31:
+        raise ValueError("numbers of 1 to 31 bits")
+    if d <= 0:
+        raise ValueError("the divisor must be positive")
+    shift = ell + max(1, (d - 1).bit_length())
+    return p.mask(p.shift(times_public(p, x, -(-(1 << shift) // d), 64), -shift), (1 << ell) - 1)
 
 
 def to_boolean(p: Protocol, x: Shared, ell: int = 64) -> Shared:
@@ -124,14 +149,18 @@ def to_boolean(p: Protocol, x: Shared, ell: int = 64) -> Shared:
     return out
 
 
+def bit_to_arithmetic(p: Protocol, bit: Shared) -> Shared:
+    """Arithmetic shares of bit 0: its terms are bits a, b, which their holders share; a xor b is a + b - 2ab."""
+    parts = [p.share(t & U(1), False) for t in bit.terms]
+    out = parts[0]
+    for other in parts[1:]:
+        out = p.sub(p.add(out, other), p.scale(p.mul(out, other), 2))
+    return out
+
+
 def to_arithmetic(p: Protocol, bits: Shared, ell: int = 64) -> Shared:
-    """Boolean to arithmetic: a bit's terms a, b combine to a + b - 2ab; bits are weighed and added."""
+    """Boolean to arithmetic: bits are converted, weighed and added."""
     total = p.public(np.zeros(len(bits), np.int64), False)
     for i in range(ell):
-        terms = (bits.terms >> U(i)) & U(1)
-        bit = p.share(terms[0], False)
-        for t in terms[1:]:
-            other = p.share(t, False)
-            bit = p.sub(p.add(bit, other), p.scale(p.mul(bit, other), 2))
-        total = p.add(total, p.scale(bit, 1 << i))
+        total = p.add(total, p.scale(bit_to_arithmetic(p, p.shift(bits, -i)), 1 << i))
     return total

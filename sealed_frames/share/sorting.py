@@ -9,7 +9,7 @@ from __future__ import annotations
 import numpy as np
 
 from ..plans.meter import lg
-from .circuits import choose, greater
+from .circuits import bit_to_arithmetic, choose, equal, greater
 from .protocols import Protocol, Random, Shared, U
 
 PAD_BITS = 32
@@ -41,14 +41,26 @@ def sharded_permutation(p: Protocol, n: int, seed: int) -> list[np.ndarray]:
     return [random_permutation(n, seed * 31 + party + 1) for party in range(p.n)]
 
 
-def apply_sharded(p: Protocol, parts: list[np.ndarray], x: Shared) -> Shared:
+def apply_sharded(p: Protocol, parts: list[np.ndarray], x: Shared, width: int = 64) -> Shared:
     """Each party in turn permutes and shares anew (L394-402)."""
+    return apply_sharded_all(p, parts, [x], width)[0]
+
+
+def apply_sharded_all(p: Protocol, parts: list[np.ndarray], xs: list[Shared], width: int = 64) -> list[Shared]:
+    """The same for several vectors, which move in common rounds."""
     for dest in parts:
-        p.meter.stage("permute", len(x))
-        moved = apply(dest, x.terms)
-        fresh = p.share(np.zeros(len(x), np.int64), x.boolean)
-        x = Shared(moved ^ fresh.terms if x.boolean else moved + fresh.terms, x.boolean)
-    return x
+        p.meter.stage("permute", sum(map(len, xs)), width)
+        moved = []
+        for x in xs:
+            terms, fresh = apply(dest, x.terms), p.share(np.zeros(len(x), np.int64), x.boolean).terms
+            moved.append(Shared(terms ^ fresh if x.boolean else terms + fresh, x.boolean))
+        xs = moved
+    return xs
+
+
+def invert_sharded(parts: list[np.ndarray]) -> list[np.ndarray]:
+    """The parties' parts undone, last one first."""
+    return [invert(d) for d in reversed(parts)]
 
 
 def shuffle(p: Protocol, x: Shared, seed: int) -> Shared:
@@ -57,9 +69,15 @@ def shuffle(p: Protocol, x: Shared, seed: int) -> Shared:
 
 def apply_elementwise(p: Protocol, dest: Shared, x: Shared, seed: int) -> Shared:
     """A permutation whose destinations are shared: shuffle both alike, open the destinations, move (L400)."""
-    parts = sharded_permutation(p, len(x), seed)
-    opened = p.open(apply_sharded(p, parts, dest)).astype(np.int64)
-    return Shared(apply(opened, apply_sharded(p, parts, x).terms), x.boolean)
+    return apply_elementwise_all(p, dest, [x], seed)[0]
+
+
+def apply_elementwise_all(p: Protocol, dest: Shared, xs: list[Shared], seed: int) -> list[Shared]:
+    """One shuffle and one opening for all columns of a table."""
+    parts = sharded_permutation(p, len(dest), seed)
+    hidden, *moved = apply_sharded_all(p, parts, [dest, *xs])
+    opened = p.open(hidden).astype(np.int64)
+    return [Shared(apply(opened, x.terms), x.boolean) for x in moved]
 
 
 def invert_elementwise(p: Protocol, dest: Shared, seed: int) -> Shared:
@@ -68,6 +86,22 @@ def invert_elementwise(p: Protocol, dest: Shared, seed: int) -> Shared:
     return apply_elementwise(p, dest, identity, seed)
 
 
+def compose_elementwise(p: Protocol, first: Shared, then: Shared, seed: int) -> Shared:
+    """Shared destinations of ``first`` followed by ``then``: the first ones are shuffled and opened, say where to
+    look in the second, and the outcome is shuffled back."""
+    parts = sharded_permutation(p, len(first), seed)
+    opened = p.open(apply_sharded(p, parts, first)).astype(np.int64)
+    return apply_sharded(p, invert_sharded(parts), Shared(then.terms[:, opened], then.boolean))
+
+
+def convert_elementwise(p: Protocol, dest: Shared, seed: int) -> Shared:
+    """A shared permutation in the other kind of shares: shuffled it may be opened, is shared anew for
+    nothing as a public vector, and shuffled back (S6)."""
+    parts = sharded_permutation(p, len(dest), seed)
+    opened = p.open(apply_sharded(p, parts, dest))
+    return apply_sharded(p, invert_sharded(parts), p.public(opened.view(np.int64), not dest.boolean))
+
+
 def permutation_correlation(n: int, seed: int):
     """(dest, b0) of one party and (a, b1) of the other with dest(a) = b0 + b1 (L334-341)."""
     r = Random(seed)
@@ -81,40 +115,57 @@ def permute_with(correlation, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return apply(dest, x - a) + b0, b1
 
 
-def bit_destinations(bit: np.ndarray) -> np.ndarray:
-    """Stable destinations by one bit: two running counts (L470, L493)."""
-    ones = np.cumsum(bit)
-    zeros = np.cumsum(1 - bit)
-    return np.where(bit == 1, zeros[-1] + ones - 1, zeros - 1).astype(np.int64) if len(bit) else np.zeros(0, np.int64)
+def bit_destinations(p: Protocol, bit: Shared) -> Shared:
+    """Shared stable destinations by bit 0: two running sums of arithmetic shares, joined by one product (L470, L493)."""
+    return _destinations(p, bit_to_arithmetic(p, bit))
+
+
+def _destinations(p: Protocol, one: Shared) -> Shared:
+    n = len(one)
+    if not n:
+        return one
+    ones = Shared(np.cumsum(one.terms, axis=1, dtype=U), False)
+    zeros = p.sub(p.public(np.arange(1, n + 1), False), ones)
+    all_zeros = Shared(np.repeat(zeros.terms[:, -1:], n, axis=1), False)
+    back = p.sub(p.add(all_zeros, ones), zeros)  # how much further an element with the bit set goes
+    return p.add(p.sub(zeros, p.public(np.ones(n, np.int64), False)), p.mul(one, back))
 
 
-def bitwise_sort(p: Protocol, key: Shared, bits: int, skip: int = 0, variant: str = "hybrid", seed: int = 7) -> tuple[Shared, np.ndarray]:
-    """Stable sort by ``bits`` bits of the key above the lowest ``skip``; (sorted key, destinations).
+def bitwise_sort(p: Protocol, key: Shared, bits: int, skip: int = 0, variant: str = "hybrid", seed: int = 7) -> Shared:
+    """Stable sort by ``bits`` bits of the key above the lowest ``skip``.
 
-    hybrid: permutation of each bit found and applied at once to the whole vector. eager: every remaining
-    bit is moved by itself. composed: bit permutations are composed, the vector moved once at the end.
+    hybrid: each bit's permutation is found on the vector as it is and applied to it. eager: the key is
+    taken apart into a vector per bit first, and every pass moves all that are still needed. composed:
+    passes move one bit only, permutations are composed, and the vector moves once at the end.
     """
     n = len(key)
-    total = np.arange(n)
-    now = key
-    for i in range(skip, skip + bits):
-        source = now
-        bit = ((p.value(source) >> U(i)) & U(1)).astype(np.int64)
-        if variant == "composed":
-            bit = apply(total, ((p.value(key) >> U(i)) & U(1)).astype(np.int64))
-        p.meter.stage("b2a", n, 1)
-        p.meter.stage("mux", n)
-        dest = bit_destinations(bit)
-        moves = {"hybrid": 1, "eager": bits + skip - i, "composed": 1}[variant]
-        for _ in range(moves if variant != "composed" else 1):
-            p.meter.stage("permute", n, 64 if variant == "hybrid" else 32 if variant == "composed" else 64)
-        total = compose(total, dest)
-        if variant != "composed":
-            now = Shared(apply(dest, now.terms), now.boolean)
-    if variant == "composed":
-        p.meter.stage("permute", n)
-        now = Shared(apply(total, key.terms), key.boolean)
-    return now, total
+    seeds = range(seed, seed + bits + skip + 1)
+    bit_of = lambda x, i: p.mask(p.shift(x, -i), 1)
+    if not n or not bits:
+        return key
+    if variant == "hybrid":
+        for i in range(skip, skip + bits):
+            key = apply_elementwise(p, bit_destinations(p, bit_of(key, i)), key, seeds[i])
+        return key
+    if variant == "eager":
+        columns = [bit_of(key, i) for i in range(64)]
+        for i in range(skip, skip + bits):
+            columns = apply_elementwise_all(p, bit_destinations(p, columns[i]), columns, seeds[i])
+        out = columns[0]
+        for i, c in enumerate(columns[1:], 1):
+            out = p.xor(out, p.shift(c, i))
+        return out
+    if variant != "composed":
+        raise ValueError(f"unknown variant {variant!r}")
+    total = bit_destinations(p, bit_of(key, skip))
+    for i in range(skip + 1, skip + bits):
+        # the permutation so far, shuffled and opened, moves the bit; what the bit adds is shuffled back
+        parts = sharded_permutation(p, n, seeds[i])
+        hidden, bit = apply_sharded_all(p, parts, [total, bit_of(key, i)])
+        opened = p.open(hidden).astype(np.int64)
+        dest = bit_destinations(p, Shared(apply(opened, bit.terms), True))
+        total = apply_sharded(p, invert_sharded(parts), Shared(dest.terms[:, opened], False))
+    return apply_elementwise(p, total, key, seeds[skip + bits])
 
 
 def pivot_sort(p: Protocol, key: Shared, ell: int = 64, seed: int = 7, signed: bool = False) -> tuple[Shared, int, int]:
@@ -225,10 +276,14 @@ def network_sort(p: Protocol, key: Shared, kind: str = "bitonic", ell: int = 64,
     return Shared(terms, True), count
 
 
-def sort_vector(p: Protocol, key: Shared, order: str = "asc", base: str = "pivot", bits: int = 31, seed: int = 7) -> tuple[Shared, np.ndarray]:
-    """Stable sort of non-negative keys of up to ``bits`` bits: the index is put into the low bits, which makes
-    keys distinct; descending order uses negated indices and reverses (L495-546, E18). (sorted, destinations)"""
+def sort_vector(p: Protocol, key: Shared, order: str = "asc", base: str = "pivot", bits: int = 31, seed: int = 7) -> tuple[Shared, Shared]:
+    """Stable sort of non-negative keys of up to ``bits`` bits: (sorted key, shared destinations).
+
+    The index is put into the low bits, which makes keys distinct and comes back as the inverse of the
+    sorting permutation. Descending order puts in negated indices and reverses (L495-546, E18)."""
     n = len(key)
+    p.meter.local("sort", 1)
+    p.meter.rows(n)
     pad = min(PAD_BITS, 64 - bits)
     if n > 1 << pad:
         raise ValueError("key and index need more than 64 bits")
@@ -240,50 +295,50 @@ def sort_vector(p: Protocol, key: Shared, order: str = "asc", base: str = "pivot
     elif base == "bitwise":
         # a stable sort by the key's bits needs no pass over the index
         source = padded if order == "asc" else Shared(padded.terms[:, ::-1], True)
-        out, _ = bitwise_sort(p, source, bits, pad)
+        out = bitwise_sort(p, source, bits, pad, seed=seed)
     else:
         raise ValueError(f"unknown base sort {base!r}")
     if order == "desc":
         out = Shared(out.terms[:, ::-1], True)
-    places = p.value(p.mask(out, (1 << pad) - 1)).astype(np.int64)
-    p.meter.stage("permute", n)
-    source_of = places if order == "asc" else (1 << pad) - 1 - places
-    return p.shift(out, -pad), invert(source_of)
+    places = p.mask(out, (1 << pad) - 1)
+    if order == "desc":  # converted, so that negating is an addition
+        places = p.sub(p.public(np.full(n, (1 << pad) - 1), False), convert_elementwise(p, places, seed + 1))
+    return p.shift(out, -pad), invert_elementwise(p, places, seed + 2)
 
 
-def sort_table(p: Protocol, columns: dict[str, Shared], keys: list[tuple[str, str]], base: str = "auto", strategy: str = "compose", bits: int = 31) -> dict[str, Shared]:
+def sort_table(p: Protocol, columns: dict[str, Shared], keys: list[tuple[str, str]], base: str = "auto", strategy: str = "compose", bits: int = 31, seed: int = 7) -> dict[str, Shared]:
     """Sort by several keys: vector sorts from the last key to the first, permutations composed, every column
     moved once (L552-578); ``per_key`` moves the whole table after every key."""
-    n = len(next(iter(columns.values())))
-    total = np.arange(n)
-    now = dict(columns)
     chosen = base if base != "auto" else "bitwise" if bits <= 32 else "pivot"
-    for name, order in reversed(keys):
-        column = Shared(apply(total, columns[name].terms), True) if strategy == "compose" else now[name]
-        p.meter.stage("permute", n)
-        _, dest = sort_vector(p, column, order, chosen, bits)
-        total = compose(total, dest)
+    now, total = dict(columns), None
+    for step, (name, order) in enumerate(reversed(keys)):
+        at = seed + 100 * step
+        column = now[name] if total is None else apply_elementwise(p, total, columns[name], at)
+        _, dest = sort_vector(p, column, order, chosen, bits, at + 1)
         if strategy == "per_key":
-            for c in now:
-                p.meter.stage("permute", n)
-                now[c] = Shared(apply(dest, now[c].terms), now[c].boolean)
-    if strategy == "compose":
-        for c in now:
-            p.meter.stage("permute", n)
-        now = {c: Shared(apply(total, s.terms), s.boolean) for c, s in columns.items()}
+            now = dict(zip(now, apply_elementwise_all(p, dest, list(now.values()), at + 5)))
+        else:
+            total = dest if total is None else compose_elementwise(p, total, dest, at + 6)
+    if strategy == "compose" and total is not None:
+        now = dict(zip(columns, apply_elementwise_all(p, total, list(columns.values()), seed + 99)))
     return now
 
 
-def group_scan(p: Protocol, same: np.ndarray, value: Shared, variant: str = "doubling") -> Shared:
-    """Inclusive sums within runs of equal keys on arithmetic shares; same(i, d): rows i-d and i of one group.
-
-    ``same`` is the opened run number of each row, for simulation; its equality bits are metered."""
+def group_scan(p: Protocol, keys: Shared, value: Shared, key_bits: int = 64) -> Shared:
+    """Inclusive sums within runs of equal shared keys, on arithmetic shares: neighbours are compared on
+    shares, and partners at doubling distances added where no run begins between (L353-387)."""
     n = len(value)
-    terms = value.terms.copy()
+    if n < 2:
+        return value
+    same = equal(p, Shared(keys.terms[:, 1:], True), Shared(keys.terms[:, :-1], True), key_bits)
+    starts = np.concatenate([p.public(np.ones(1, np.int64), True).terms, p.mask(p.not_(same), 1).terms], axis=1)
+    now, flag = value, Shared(starts, True)
     for k in range(lg(n)):
         d = 1 << k
-        p.meter.stage("mux", n - d)
-        hit = same[d:] == same[:-d]
-        old = terms.copy()
-        terms[:, d:] += np.where(hit, old[:, :-d], U(0))
-    return Shared(terms, value.boolean)
+        joined = bit_to_arithmetic(p, p.mask(p.not_(Shared(flag.terms[:, d:], True)), 1))
+        more = p.mul(joined, Shared(now.terms[:, :-d], False))
+        terms, spread = now.terms.copy(), flag.terms.copy()
+        terms[:, d:] += more.terms
+        spread[:, d:] = p.or_(Shared(flag.terms[:, d:], True), Shared(flag.terms[:, :-d], True), 1).terms
+        now, flag = Shared(terms, False), Shared(spread, True)
+    return now

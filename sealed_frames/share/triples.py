@@ -16,19 +16,29 @@ TRANSFER_BITS = 2
 
 
 def _low(x: np.ndarray, ell: int) -> np.ndarray:
-    return x & U((1 << ell) - 1)
+    return x & ((1 << ell) - 1 if x.dtype == object else U((1 << ell) - 1))
+
+
+def _words(r: Random, n: int, ell: int) -> np.ndarray:
+    """Random numbers of ell bits: words up to 64 bits, Python integers beyond."""
+    if ell <= 64:
+        return _low(r.words(n), ell)
+    out = np.zeros(n, object)
+    for at in range(0, ell, 64):
+        out += r.words(n).astype(object) << at
+    return _low(out, ell)
 
 
 def ole_quadratic(n: int, ell: int, seed: int = 1):
     """((x, z), (y, w), bits sent): one transfer of an ell-bit word for each bit of x."""
     r = Random(seed)
-    x, y, z = _low(r.words(n), ell), _low(r.words(n), ell), np.zeros(n, U)
-    w = np.zeros(n, U)
+    x, y = _words(r, n, ell), _words(r, n, ell)
+    z, w = np.zeros_like(x), np.zeros_like(x)
     for i in range(ell):
-        mask = _low(r.words(n), ell)  # the sender offers mask and mask + 2^i y; x's bit chooses
-        got = np.where((x >> U(i)) & U(1) == 1, mask + (y << U(i)), mask)
-        w += got
-        z += mask
+        step = i if x.dtype == object else U(i)
+        mask = _words(r, n, ell)  # the sender offers mask and mask + 2^i y; x's bit chooses
+        w = w + np.where((x >> step) & (1 if x.dtype == object else U(1)) == 1, mask + (y << step), mask)
+        z = z + mask
     return (x, _low(z, ell)), (y, _low(w, ell)), n * ell * (ell + TRANSFER_BITS)
 
 
@@ -43,12 +53,22 @@ def primes_above(count_bits: int) -> list[int]:
     return out
 
 
+def prime_bits(p: int) -> int:
+    """Bits sent for one evaluation modulo p."""
+    return p.bit_length() * (p.bit_length() + TRANSFER_BITS)
+
+
+def _residue(x: np.ndarray, p: int) -> np.ndarray:
+    return (x % (p if x.dtype == object else U(p))).astype(np.int64)
+
+
 def ole_crt(n: int, ell: int, seed: int = 1):
     """As ole_quadratic, by residues: w - z = x*y over the integers, recombined, then cut to ell bits.
 
-    Numbers of up to 2 ell + 40 bits are recombined with Python integers."""
+    Modulo a prime of b bits the quadratic generator sends b words of b bits, each with its transfer. Numbers of
+    up to 2 ell + 40 bits are recombined with Python integers."""
     r = Random(seed)
-    x, y = _low(r.words(n), ell), _low(r.words(n), ell)
+    x, y = _words(r, n, ell), _words(r, n, ell)
     primes = primes_above(2 * ell + 41)
     product = 1
     for p in primes:
@@ -58,16 +78,17 @@ def ole_crt(n: int, ell: int, seed: int = 1):
     bits = 0
     for p in primes:
         z = (r.words(n) % U(p)).astype(np.int64)
-        w = ((x % U(p)).astype(np.int64) * (y % U(p)).astype(np.int64) + z) % p
+        w = (_residue(x, p) * _residue(y, p) + z) % p
         m = product // p
         weight = m * pow(m, -1, p)
         total = (total + w.astype(object) * weight) % product
         masks = (masks + z.astype(object) * weight) % product
-        bits += n * p.bit_length() * (TRANSFER_BITS + 2)
+        bits += n * prime_bits(p)
     # x*y < 2^(2 ell) is far below the product: a wrap shows as w < z and is taken back
     wrapped = np.array([int(a) < int(b) for a, b in zip(total, masks)])
-    w = np.array([(int(a) + product * int(k)) % (1 << ell) for a, k in zip(total, wrapped)], dtype=U)
-    z = np.array([int(b) % (1 << ell) for b in masks], dtype=U)
+    kind = U if ell <= 64 else object
+    w = np.array([(int(a) + product * int(k)) % (1 << ell) for a, k in zip(total, wrapped)], dtype=kind)
+    z = np.array([int(b) % (1 << ell) for b in masks], dtype=kind)
     return (x, z), (y, w), bits
 
 
@@ -84,7 +105,7 @@ def triples_from_ole(first, second, ell: int):
 def boolean_triples(n: int, ell: int, seed: int = 1):
     """The same over bits: cross products are xor shares; (two parties' terms, bits sent)."""
     r = Random(seed)
-    a0, b0, a1, b1, m1, m2 = (_low(r.words(n), ell) for _ in range(6))
+    a0, b0, a1, b1, m1, m2 = (_words(r, n, ell) for _ in range(6))
     c0 = (a0 & b0) ^ m1 ^ m2
     c1 = (a1 & b1) ^ (a0 & b1) ^ m1 ^ (a1 & b0) ^ m2
     return (a0, b0, c0), (a1, b1, c1), TRANSFER_BITS * n * ell

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import time
 
 import numpy as np
 import pandas as pd
@@ -12,8 +11,7 @@ from ..operators.group_scan import group_scan
 from ..plans import meter as M
 from ..share import circuits as C
 from ..share import sorting as S
-from ..share import triples as T
-from ..share.blocks import on_shares, sort_groups
+from ..share.blocks import on_shares, seed_of, sort_groups
 from ..share.protocols import PROTOCOLS, U
 from .tables import PRELUDE, table
 
@@ -28,6 +26,19 @@ def _importable(spark) -> None:
         env["PYTHONPATH"] = ":".join(x for x in (ROOT, env.get("PYTHONPATH")) if x)
 
 
+#: Rows of a group that is one shared vector or table.
+GROUP_ROWS = 1 << 13
+
+
+def buckets(*frames) -> int:
+    """Groups that tables are dealt to, so that one holds about ``GROUP_ROWS`` rows."""
+    return max(1, -(-sum(df.count() for df in frames) // GROUP_ROWS))
+
+
+def bucket(key: str, n: int):
+    return F.pmod(F.xxhash64(key), F.lit(n))
+
+
 def register(name: str, run, sql: str | None, prelude: bool = True) -> None:
     def guarded(spark, sf_dir):
         _importable(spark)
@@ -51,7 +62,7 @@ _GATES = {
     "add_ripple": (["price", "qty"], lambda p, s: C.add(p, s[0], s[1], kind="ripple"), True, "price + qty"),
     "multiply": (["price", "disc"], lambda p, s: p.mul(s[0], s[1]), False, "price * disc"),
     "divide": (["price", "qty"], lambda p, s: C.divide(p, s[0], s[1], 32), True, "price // qty"),
-    "divide_public": (["price"], lambda p, s: C.divide_public(p, s[0], 7, 32), True, "price // 7"),
+    "divide_public": (["price"], lambda p, s: C.divide_public(p, s[0], 7), True, "price // 7"),
     "mux": (["price", "limit"], lambda p, s: C.choose(p, C.greater(p, s[0], s[1], 64, True), s[0], s[1]), True, "least(price, limit_)"),
     "or": (["price", "qty"], lambda p, s: p.or_(s[0], s[1]), True, "price | qty"),
     "to_boolean": (["price"], lambda p, s: C.to_boolean(p, s[0]), False, "price"),
@@ -85,24 +96,37 @@ for _k in ("add_ripple", "divide", "divide_public", "or", "to_boolean", "to_arit
 
 def _network(kind):
     def sort(p, keys):
-        size = M.padded(max(len(keys), 1))
-        filled = np.concatenate([keys, np.full(size - len(keys), 1 << 40)])
-        return p.open(S.network_sort(p, p.share(filled, True), kind, 41)[0]).astype(np.int64)[: len(keys)]
+        size, bits = M.padded(max(len(keys), 1)), key_width(keys)
+        filled = np.concatenate([keys, np.full(size - len(keys), 1 << bits)])
+        return p.open(S.network_sort(p, p.share(filled, True), kind, bits + 1)[0]).astype(np.int64)[: len(keys)]
 
     return sort
 
 
+def key_width(keys) -> int:
+    """Bits of the keys: public, as a column's width is."""
+    return max(1, int(keys.max(initial=0)).bit_length())
+
+
+def _by_bits(variant):
+    return lambda p, k: p.open(S.bitwise_sort(p, p.share(k, True), key_width(k), variant=variant)).astype(np.int64)
+
+
+def _by_vector(order):
+    return lambda p, k: p.open(S.sort_vector(p, p.share(k, True), order, "pivot", key_width(k))[0]).astype(np.int64)
+
+
+def _by_rank(p, keys):
+    """The owner hands in dense ranks of lg n bits in place of 64-bit keys, and keeps the list of keys."""
+    values, ranks = np.unique(keys, return_inverse=True)
+    return values[p.open(S.bitwise_sort(p, p.share(ranks, True), max(1, M.lg(len(keys))))).astype(np.int64)]
+
+
 _SORTS = {
-    "pivot": lambda p, k: p.open(S.sort_vector(p, p.share(k, True), "asc", "pivot", 31)[0]).astype(np.int64),
-    "bitwise": lambda p, k: p.open(S.bitwise_sort(p, p.share(k, True), 24)[0]).astype(np.int64),
-    "eager": lambda p, k: p.open(S.bitwise_sort(p, p.share(k, True), 24, variant="eager")[0]).astype(np.int64),
-    "composed": lambda p, k: p.open(S.bitwise_sort(p, p.share(k, True), 24, variant="composed")[0]).astype(np.int64),
-    "bitonic": _network("bitonic"),
-    "pairwise": _network("pairwise"),
-    "odd_even": _network("odd_even"),
-    "desc": lambda p, k: p.open(S.sort_vector(p, p.share(k, True), "desc", "pivot", 31)[0]).astype(np.int64),
-    "dense_rank": lambda p, k: np.unique(k)[p.open(S.bitwise_sort(p, p.share(np.unique(k, return_inverse=True)[1], True), max(1, M.lg(len(k))))[0]).astype(np.int64)],
-}
+    "pivot": _by_vector("asc"), "bitwise": _by_bits("hybrid"), "eager": _by_bits("eager"), "composed": _by_bits("composed"), "bitonic": _network("bitonic"), "pairwise": _network("pairwise"),
+    "odd_even": _network("odd_even"), "desc": _by_vector("desc"), "dense_rank": _by_rank,
+    "wide": lambda p, k: p.open(S.bitwise_sort(p, p.share(k, True), 64)).astype(np.int64),
+}
 for _name, _sort in _SORTS.items():
     register(
         f"sort_{_name}", lambda spark, sf_dir, s=_sort: sort_groups(_lines(spark, sf_dir), "l_suppkey", "price", s),
@@ -112,7 +136,7 @@ for _name, _sort in _SORTS.items():
 
 def _sort_table(spark, sf_dir):
     def run(part: pd.DataFrame) -> pd.DataFrame:
-        p = PROTOCOLS["3p"](5)
+        p = PROTOCOLS["3p"](seed_of(part["l_suppkey"].iloc[0]))
         columns = {c: p.share(part[c].to_numpy(np.int64), True) for c in ("disc", "qty", "price")}
         out = S.sort_table(p, columns, [("disc", "desc"), ("qty", "asc"), ("price", "asc")], bits=31)
         got = {c: p.open(s).astype(np.int64) for c, s in out.items()}
@@ -171,13 +195,13 @@ register(
 
 def _scan_shared(spark, sf_dir):
     def run(part: pd.DataFrame) -> pd.DataFrame:
-        p = PROTOCOLS["2p"](5)
+        p = PROTOCOLS["2p"](seed_of(part["b"].iloc[0], len(part)))
         part = part.sort_values(["o_custkey", "o_orderkey"])
-        out = S.group_scan(p, part["o_custkey"].to_numpy(), p.share(part["o_total"].to_numpy(np.int64), False))
+        out = S.group_scan(p, p.share(part["o_custkey"].to_numpy(np.int64), True), p.share(part["o_total"].to_numpy(np.int64), False))
         return pd.DataFrame({"o_orderkey": part["o_orderkey"], "s": p.open(out).view(np.int64)})
 
-    df = table(spark, sf_dir, "orders").df.select("o_custkey", "o_orderkey", "o_total").withColumn("b", F.col("o_custkey") % 16)
-    return df.groupBy("b").applyInPandas(run, "o_orderkey long, s long")
+    df = table(spark, sf_dir, "orders").df.select("o_custkey", "o_orderkey", "o_total")
+    return df.withColumn("b", bucket("o_custkey", buckets(df))).groupBy("b").applyInPandas(run, "o_orderkey long, s long")
 
 
 register("scan_shared", _scan_shared, "SELECT o_orderkey, CAST(sum(o_total) OVER (PARTITION BY o_custkey ORDER BY o_orderkey) AS BIGINT) AS s FROM O")
@@ -202,25 +226,27 @@ def _mark_first(spark, sf_dir):
 register("distinct_sorted", _mark_first, "SELECT DISTINCT l_suppkey, l_returnflag FROM L")
 
 
-def _join_shared(how: str, protocol: str):
-    """Orders and lines in buckets of the key; each bucket is joined on shares and opened."""
-    from ..share.join import fused_join as on_shares_join
+def _join_shared(how: str, protocol: str, aggs: dict | None = None, trim_rows: bool = False):
+    """Orders and lines in buckets of the key; each bucket is joined (and aggregated) on shares, masked and opened."""
+    from ..share.table import SharedTable
 
     def one(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-        p = PROTOCOLS[protocol](11)
-        word = lambda x: p.share(x.to_numpy(np.int64), True)
-        a = {"k": word(left["o_orderkey"]), "ok": word(left["ok"]), "custkey": word(left["o_custkey"])}
-        b = {"k": word(right["l_orderkey"]), "ok": word(right["ok"]), "qty": word(right["qty"])}
-        out = on_shares_join(p, a, b, "k", how)
-        got = {c: p.open(s).view(np.int64) for c, s in out.items()}
-        keep = got["ok"] == 1
-        return pd.DataFrame({"k": got["k"][keep], "custkey": got["custkey"][keep], "qty": got["qty"][keep]})
+        p = PROTOCOLS[protocol](seed_of((left if len(left) else right)["b"].iloc[0], len(left), len(right)))
+        a = SharedTable.of(p, {"k": left["o_orderkey"].to_numpy(np.int64), "custkey": left["o_custkey"].to_numpy(np.int64)}, ok=left["ok"].to_numpy(np.int64))
+        b = SharedTable.of(p, {"k": right["l_orderkey"].to_numpy(np.int64), "qty": right["qty"].to_numpy(np.int64)} | ({"w": right["qty"].to_numpy(np.int64)} if aggs else {}), ("w",), right["ok"].to_numpy(np.int64))
+        got = a.join(b, "k", how, aggs, trim_rows=trim_rows).reveal()
+        wanted = ["k", "custkey", *(aggs or ["qty"])]
+        return pd.DataFrame({c: got.get(c, np.zeros(len(got["k"]), np.int64)) for c in wanted})
 
     def run(spark, sf_dir):
         left = table(spark, sf_dir, "orders").df.select("o_orderkey", "o_custkey", (F.col("o_orderstatus") != "P").cast("long").alias("ok"))
         right = table(spark, sf_dir, "lineitem").df.select("l_orderkey", "qty", (F.col("l_returnflag") == "R").cast("long").alias("ok"))
-        buckets = lambda df, k: df.withColumn("b", F.pmod(F.xxhash64(k), F.lit(64))).groupBy("b")
-        out = buckets(left, "o_orderkey").cogroup(buckets(right, "l_orderkey")).applyInPandas(one, "k long, custkey long, qty long")
+        n = buckets(left, right)
+        deal = lambda df, k: df.withColumn("b", bucket(k, n)).groupBy("b")
+        wanted = ["k", "custkey", *(aggs or ["qty"])]
+        out = deal(left, "o_orderkey").cogroup(deal(right, "l_orderkey")).applyInPandas(one, ", ".join(f"{c} long" for c in wanted))
+        if aggs:
+            return out.withColumnRenamed("k", "o_orderkey")
         return out.groupBy("custkey").agg(F.count("*").alias("n"), F.sum("qty").alias("q"), F.sum("k").alias("ks"))
 
     return run
@@ -239,6 +265,38 @@ for _how in ("semi", "anti"):
     )
 
 
+_AGGS = {"s": ("sum", "w"), "n": ("count", "w"), "lo": ("min", "qty"), "hi": ("max", "qty")}
+register(
+    "join_inner_aggregate_share", _join_shared("inner", "3p", _AGGS, True),
+    f"SELECT o_orderkey, o_custkey AS custkey, CAST(sum(qty) AS BIGINT) AS s, count(*) AS n, CAST(min(qty) AS BIGINT) AS lo, CAST(max(qty) AS BIGINT) AS hi FROM {_SHARED_SIDES.format('INNER')} GROUP BY ALL",
+)
+register(
+    "join_left_aggregate_share", _join_shared("left", "2p", {"s": ("sum", "w"), "n": ("count", "w")}, True),
+    f"SELECT o_orderkey, o_custkey AS custkey, CAST(coalesce(sum(qty), 0) AS BIGINT) AS s, count(l_orderkey) AS n FROM {_SHARED_SIDES.format('LEFT')} GROUP BY ALL",
+)
+register(
+    "join_inner_trimmed_share", _join_shared("inner", "4p", trim_rows=True),
+    f"SELECT o_custkey AS custkey, count(*) AS n, CAST(sum(qty) AS BIGINT) AS q, CAST(sum(o_orderkey) AS BIGINT) AS ks FROM {_SHARED_SIDES.format('INNER')} GROUP BY ALL",
+)
+
+
+def _group_shared(spark, sf_dir):
+    """Grouping on shares: one carrier row per key, all rows stay until the end."""
+    from ..share.table import SharedTable
+
+    def run(part: pd.DataFrame) -> pd.DataFrame:
+        p = PROTOCOLS["3p"](seed_of(part["b"].iloc[0], len(part)))
+        t = SharedTable.of(p, {"k": part["o_custkey"].to_numpy(np.int64), "v": part["o_total"].to_numpy(np.int64), "w": part["o_total"].to_numpy(np.int64)}, ("w",), part["ok"].to_numpy(np.int64))
+        got = t.group("k", {"s": ("sum", "w"), "n": ("count", None), "lo": ("min", "v"), "hi": ("max", "v")}, value_bits=40).reveal()
+        return pd.DataFrame({"o_custkey": got["k"], **{c: got[c] for c in ("s", "n", "lo", "hi")}})
+
+    df = table(spark, sf_dir, "orders").df.select("o_custkey", "o_total", (F.col("o_orderstatus") != "P").cast("long").alias("ok"))
+    return df.withColumn("b", bucket("o_custkey", buckets(df))).groupBy("b").applyInPandas(run, "o_custkey long, s long, n long, lo long, hi long")
+
+
+register("group_share", _group_shared, "SELECT o_custkey, CAST(sum(o_total) AS BIGINT) AS s, count(*) AS n, min(o_total) AS lo, max(o_total) AS hi FROM O WHERE o_orderstatus <> 'P' GROUP BY ALL")
+
+
 def _radix(spark, sf_dir):
     from ..core.position import with_positions
     from ..operators.radix import radix_sort
@@ -271,24 +329,24 @@ register("join_padded_trimmed", _trimmed, "SELECT o_orderpriority, count(*) AS n
 def _permutation(kind: str):
     def one(part: pd.DataFrame) -> pd.DataFrame:
         part = part.sort_values("o_orderkey")
-        p = PROTOCOLS["3p"](9)
+        p = PROTOCOLS["3p"](seed_of(part["b"].iloc[0], len(part)))
         x = p.share(part["o_total"].to_numpy(np.int64), False)
         n = len(part)
-        if kind == "shuffle":  # shuffled, and undone by the inverse of the composed parts
+        if kind == "shuffle":  # shuffled, and shuffled back
             parts = S.sharded_permutation(p, n, 4)
-            moved = S.apply_sharded(p, parts, x)
-            whole = np.arange(n)
-            for d in parts:
-                whole = S.compose(whole, d)
-            out = S.apply(S.invert(whole), p.open(moved))
+            out = p.open(S.apply_sharded(p, S.invert_sharded(parts), S.apply_sharded(p, parts, x)))
         elif kind == "elementwise":
-            dest = S.random_permutation(n, 6)
-            moved = S.apply_elementwise(p, p.share(dest, False), x, 5)
-            back = S.apply_elementwise(p, S.invert_elementwise(p, p.share(dest, False), 8), moved, 9)
-            out = p.open(back)
-        elif kind == "compose":
-            a, b = S.random_permutation(n, 1), S.random_permutation(n, 2)
-            out = S.apply(S.invert(S.compose(a, b)), S.apply(b, S.apply(a, p.open(x))))
+            dest = p.share(S.random_permutation(n, 6), False)
+            moved = S.apply_elementwise(p, dest, x, 5)
+            out = p.open(S.apply_elementwise(p, S.invert_elementwise(p, dest, 8), moved, 9))
+        elif kind == "compose":  # two shared permutations, composed on shares and undone
+            a, b = (p.share(S.random_permutation(n, i), False) for i in (1, 2))
+            moved = S.apply_elementwise(p, b, S.apply_elementwise(p, a, x, 3), 4)
+            out = p.open(S.apply_elementwise(p, S.invert_elementwise(p, S.compose_elementwise(p, a, b, 5), 6), moved, 7))
+        elif kind == "convert":  # boolean destinations, converted, moved by and undone
+            dest = S.convert_elementwise(p, p.share(S.random_permutation(n, 6), True), 2)
+            back = S.invert_elementwise(p, S.convert_elementwise(p, dest, 3), 4)
+            out = p.open(S.apply_elementwise(p, back, S.apply_elementwise(p, dest, x, 5), 6))
         else:
             correlation = S.permutation_correlation(n, 3)
             s, t = S.permute_with(correlation, p.open(x))
@@ -296,208 +354,11 @@ def _permutation(kind: str):
         return pd.DataFrame({"o_orderkey": part["o_orderkey"], "total": out.view(np.int64)})
 
     def run(spark, sf_dir):
-        df = table(spark, sf_dir, "orders").df.select("o_orderkey", "o_total").withColumn("b", F.col("o_orderkey") % 8)
-        return df.groupBy("b").applyInPandas(one, "o_orderkey long, total long")
+        df = table(spark, sf_dir, "orders").df.select("o_orderkey", "o_total")
+        return df.withColumn("b", bucket("o_orderkey", buckets(df))).groupBy("b").applyInPandas(one, "o_orderkey long, total long")
 
     return run
 
 
-for _k in ("shuffle", "elementwise", "compose", "correlation"):
+for _k in ("shuffle", "elementwise", "compose", "convert", "correlation"):
     register(f"perm_{_k}", _permutation(_k), "SELECT o_orderkey, o_total AS total FROM O")
-
-
-# -- triples ---------------------------------------------------------------------------------------------
-
-
-def _triples(kind: str, ells: tuple[int, ...] = (8, 16, 32, 64)):
-    """Per width: triples made, how many hold, and bits sent per triple."""
-
-    def one(part: pd.DataFrame) -> pd.DataFrame:
-        rows = []
-        for seed, ell, n in zip(part["seed"], part["ell"], part["n"]):
-            seed, ell, n = int(seed), int(ell), int(n)
-            m = U((1 << ell) - 1)
-            if kind == "boolean":
-                a, b, bits = T.boolean_triples(n, ell, seed)
-                good = ((a[0] ^ b[0]) & (a[1] ^ b[1])) == (a[2] ^ b[2])
-            else:
-                make = T.ole_quadratic if kind == "quadratic" else T.ole_crt
-                x, y, bits = make(n, ell, 2 * seed)
-                u, v, more = make(n, ell, 2 * seed + 1)
-                a, b = T.triples_from_ole((x, y), (u, v), ell)
-                good = (((a[0] + b[0]) * (a[1] + b[1])) & m) == ((a[2] + b[2]) & m)
-                bits += more
-            rows.append((ell, n, int(good.sum()), bits // n))
-        return pd.DataFrame(rows, columns=["ell", "made", "good", "bits"])
-
-    def run(spark, sf_dir):
-        work = spark.createDataFrame([(s, e, 250) for e in ells for s in range(1, 9)], "seed long, ell long, n long")
-        made = work.repartition(8).groupBy("seed").applyInPandas(one, "ell long, made long, good long, bits long")
-        return made.groupBy("ell").agg(F.sum("made").alias("made"), F.sum("good").alias("good"), F.max("bits").alias("bits"))
-
-    return run
-
-
-def _crt_bits(ell: int) -> int:
-    return 2 * sum(p.bit_length() * (T.TRANSFER_BITS + 2) for p in T.primes_above(2 * ell + 41))
-
-
-for _k, _bits in (("quadratic", lambda e: 2 * e * (e + 2)), ("crt", _crt_bits), ("boolean", lambda e: 2 * e)):
-    register(f"triple_{_k}", _triples(_k), "SELECT * FROM (VALUES " + ", ".join(f"(CAST({e} AS BIGINT), CAST(2000 AS BIGINT), CAST(2000 AS BIGINT), CAST({_bits(e)} AS BIGINT))" for e in (8, 16, 32, 64)) + ") t(ell, made, good, bits)", False)
-
-
-def _triple_rates(spark, sf_dir):
-    """Triples per second and bits per triple and per bit, by generator and width."""
-
-    def one(part: pd.DataFrame) -> pd.DataFrame:
-        rows = []
-        for kind, ell in zip(part["kind"], part["ell"]):
-            n, ell, began = 2000, int(ell), time.time()
-            if kind == "boolean":
-                bits = T.boolean_triples(n, ell)[2]
-            else:
-                make = T.ole_quadratic if kind == "quadratic" else T.ole_crt
-                (x, y, b), (u, v, c) = make(n, ell, 1), make(n, ell, 2)
-                T.triples_from_ole((x, y), (u, v), ell)
-                bits = b + c
-            rows.append((kind, ell, n / (time.time() - began), bits / n, bits / n / ell))
-        return pd.DataFrame(rows, columns=["kind", "ell", "per_second", "bits", "bits_per_bit"])
-
-    work = spark.createDataFrame([(k, e) for k in ("quadratic", "crt", "boolean") for e in (8, 16, 32, 64)], "kind string, ell long").repartition(8)
-    return work.groupBy("kind", "ell").applyInPandas(one, "kind string, ell long, per_second double, bits double, bits_per_bit double")
-
-
-register("meter_triples", _triple_rates, None)
-
-
-# -- costs -------------------------------------------------------------------------------------------------
-
-#: Sorts, joins and scans that a query's oblivious plan runs, over which tables.
-SHAPES = {
-    "q04": (("orders", "lineitem"), 1, 1),
-    "q06": (("lineitem",), 0, 0),
-    "q12": (("orders", "lineitem"), 1, 1),
-    "q15": (("lineitem", "supplier"), 1, 1),
-    "q18": (("lineitem", "orders", "customer"), 2, 1),
-    "q21": (("lineitem", "orders", "supplier"), 3, 2),
-}
-
-
-def costs(rows: dict[str, int], protocol: str) -> list[tuple[str, str, int, int, float, float, float]]:
-    """(query, protocol, rounds, bits, LAN, WAN and geographic seconds)."""
-    out = []
-    for q, (tables, joins, groups) in SHAPES.items():
-        sizes = [rows[t] for t in tables]
-        total = sum(sizes)
-        r, ands = M.filter_cost(total)
-        for k in range(joins):
-            a, b = M.fused_join_cost(sizes[min(k + 1, len(sizes) - 1)], sizes[0])
-            r, ands = r + a, ands + b
-        for _ in range(groups):
-            a, b = M.table_sort_cost(sizes[0], 1, 3)
-            c, d = M.scan_cost(sizes[0])
-            r, ands = r + a + c, ands + b + d
-        bits = ands * M.AND_BITS[protocol]
-        out.append((q, protocol, r, bits, *(net.seconds(r, bits) for net in (M.LAN, M.WAN, M.GEO))))
-    return out
-
-
-def _cost_table(spark, sf_dir):
-    rows = {t: table(spark, sf_dir, t).df.count() for t in ("orders", "lineitem", "supplier", "customer")}
-    found = [x for p in ("2p", "3p", "4p") for x in costs(rows, p)]
-    return spark.createDataFrame(found, "query string, protocol string, rounds long, bits long, lan_s double, wan_s double, geo_s double")
-
-
-register("meter_networks", _cost_table, None)
-
-
-def _model(spark, sf_dir):
-    """Formulas of the cost model at chosen sizes, as integers."""
-    rows = []
-    for k in (10, 16, 20):
-        n = 1 << k
-        rows.append((k, M.network_size(n, "bitonic"), M.network_size(n, "odd_even"), M.lg(n) + M.equal_cost(64)[0], M.compare_cost(64)[0], M.padded(n + 1)))
-    return spark.createDataFrame(rows, "k long, bitonic long, odd_even long, scan_rounds long, compare_rounds long, filled long")
-
-
-register(
-    "meter_model", _model,
-    """SELECT CAST(k AS BIGINT) AS k, CAST((1 << k) * k * (k + 1) // 4 AS BIGINT) AS bitonic, CAST((k * k - k + 4) * (1 << k) // 4 - 1 AS BIGINT) AS odd_even, CAST(k + 6 AS BIGINT) AS scan_rounds,
-    CAST(7 AS BIGINT) AS compare_rounds, CAST(2 * (1 << k) AS BIGINT) AS filled FROM (VALUES (10), (16), (20)) t(k)""", False,
-)
-
-
-def _ablation(spark, sf_dir):
-    """The revenue-maximum query step by step: network to pivot sort, quadratic to fused join, batches, threads.
-
-    Costs relative to the plain baseline, each row with the steps before it."""
-    n, m = (table(spark, sf_dir, t).df.count() for t in ("lineitem", "supplier"))
-    k = M.padded(n)
-
-    def run(sort, joined, batched, threads):
-        r1, a1 = M.network_sort_cost(k, "pairwise") if sort == "network" else M.pivot_sort_cost(n)
-        r2, a2 = M.scan_cost(n)
-        r3, a3 = M.fused_join_cost(m, m) if joined == "fused" else M.quadratic_join_cost(n, m)
-        rounds, ands = r1 + r2 + r3, a1 + a2 + a3
-        messages = 12 * rounds if batched else ands // 64  # else a message per word and gate
-        return M.LAN.seconds(rounds, ands * M.AND_BITS["3p"], ands / 1e9 / threads + messages * 2e-6)
-
-    steps = [("baseline", "network", "quadratic", False, 1), ("pivot_sort", "pivot", "quadratic", False, 1), ("fused_join", "pivot", "fused", False, 1), ("batching", "pivot", "fused", True, 1), ("threads", "pivot", "fused", True, 16)]
-    base = run(*steps[0][1:])
-    return spark.createDataFrame([(i, s[0], base / run(*s[1:])) for i, s in enumerate(steps)], "step int, name string, speedup double")
-
-
-register("meter_ablation", _ablation, None)
-
-
-def _scaling(spark, sf_dir):
-    rows = [(q, M.scaling_ratio(n), M.padded(10 * n) / M.padded(n)) for q, n in (("mean", 5_800_000), ("q12", 7_500_000))]
-    return spark.createDataFrame(rows, "query string, ideal double, filled double")
-
-
-register("meter_scaling", _scaling, None)
-
-
-def _preprocess(spark, sf_dir):
-    """Comparisons that a pivot sort makes against what is reserved for it."""
-
-    def one(part: pd.DataFrame) -> pd.DataFrame:
-        rows = []
-        for n, seed in zip(part["n"], part["seed"]):
-            p = PROTOCOLS["3p"](int(seed))
-            key = p.share(np.random.default_rng(int(seed)).permutation(int(n)), True)
-            _, levels, compared = S.pivot_sort(p, key, M.lg(int(n)) + 1, int(seed))
-            rows.append((int(n), levels, compared, M.preprocess_bound(int(n))))
-        return pd.DataFrame(rows, columns=["n", "levels", "compared", "reserved"])
-
-    work = spark.createDataFrame([(n, s) for n in (256, 1024, 4096) for s in range(8)], "n long, seed long").repartition(8)
-    done = work.groupBy("seed").applyInPandas(one, "n long, levels long, compared long, reserved long")
-    return done.groupBy("n").agg(F.max("levels").alias("levels"), F.max("compared").alias("compared"), F.max("reserved").alias("reserved"))
-
-
-register("meter_preprocess", _preprocess, None)
-
-
-def _sort_scaling(spark, sf_dir):
-    """Seconds, rounds and bits of the sorts on 2^k shared keys, k = 8..13 (one vector per task)."""
-
-    def one(part: pd.DataFrame) -> pd.DataFrame:
-        rows = []
-        for k, name in zip(part["k"], part["name"]):
-            n, p = 1 << int(k), PROTOCOLS["3p"](2)
-            key = p.share(np.random.default_rng(int(k)).permutation(n), True)
-            began = time.time()
-            if name == "pivot":
-                S.pivot_sort(p, key, int(k) + 1)
-            elif name == "bitonic":
-                S.network_sort(p, key, "bitonic", int(k) + 1)
-            else:
-                S.bitwise_sort(p, key, int(k), variant=name)
-            rows.append((int(k), name, time.time() - began, p.meter.rounds, p.meter.bits))
-        return pd.DataFrame(rows, columns=["k", "name", "seconds", "rounds", "bits"])
-
-    work = spark.createDataFrame([(k, s) for k in range(8, 14) for s in ("pivot", "hybrid", "eager", "composed", "bitonic")], "k long, name string").repartition(8)
-    return work.groupBy("k", "name").applyInPandas(one, "k long, name string, seconds double, rounds long, bits long")
-
-
-register("meter_sort_scaling", _sort_scaling, None)

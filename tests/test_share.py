@@ -64,7 +64,13 @@ def test_division(name):
     rng = np.random.default_rng(1)
     a, b = rng.integers(0, 2**32, 200), rng.integers(1, 2**16, 200)
     assert (p.value(C.divide(p, p.share(a, True), p.share(b, True), 32)) == a // b).all()
-    assert (p.value(C.divide_public(p, p.share(a, True), 7, 32)) == a // 7).all()
+    for d in (1, 2, 3, 7, 10, 365, 65_535, 2**31 - 1):
+        q = PROTOCOLS[name]()
+        assert (q.value(C.divide_public(q, q.share(a >> 1, True), d)) == (a >> 1) // d).all()
+    private, public = PROTOCOLS[name](), PROTOCOLS[name]()
+    C.divide(private, private.share(a >> 1, True), private.share(np.full(200, 7), True), 31)
+    C.divide_public(public, public.share(a >> 1, True), 7)
+    assert public.meter.rounds * 2 < private.meter.rounds and public.meter.bits * 2 < private.meter.bits
     bit = p.share(a % 2, False)
     assert (p.value(C.choose_arithmetic(p, bit, p.share(a, False), p.share(b, False))) == np.where(a % 2, b, a)).all()
 
@@ -102,11 +108,13 @@ def test_permutations_of_the_worked_examples():
     a = np.array
     one = S.apply(a([3, 1, 2, 4]) - 1, a([1, 2, 3, 4]))
     assert one.tolist() == [2, 3, 1, 4] and S.apply(a([1, 4, 3, 2]) - 1, one).tolist() == [2, 4, 1, 3]
-    assert (S.bit_destinations(a([1, 0, 1, 0, 1, 0, 0, 0])) + 1).tolist() == [6, 1, 7, 2, 8, 3, 4, 5]
+    p = PROTOCOLS["3p"]()
+    dest = lambda bits: p.value(S.bit_destinations(p, p.share(a(bits), True))).astype(int)
+    assert (dest([1, 0, 1, 0, 1, 0, 0, 0]) + 1).tolist() == [6, 1, 7, 2, 8, 3, 4, 5]
     keys = a([1, 2, 1, 3, 2, 0, 2, 0])
-    first = S.bit_destinations(keys & 1)
+    first = dest(keys & 1)
     assert (first + 1).tolist() == [6, 1, 7, 8, 2, 3, 4, 5]
-    second = S.bit_destinations(S.apply(first, keys) >> 1)
+    second = dest(S.apply(first, keys) >> 1)
     assert (second + 1).tolist() == [5, 6, 1, 7, 2, 3, 4, 8]
     assert S.apply(second, S.apply(first, keys)).tolist() == [0, 0, 1, 1, 2, 2, 2, 3]
 
@@ -130,14 +138,15 @@ def test_sorts_are_stable(name, values):
         ref = np.argsort(t if order == "asc" else -t, kind="stable")
         for base in ("pivot", "bitwise"):
             out, dest = S.sort_vector(p, p.share(t, True), order, base, 5)
-            assert p.value(out).tolist() == t[ref].tolist() and dest.tolist() == S.invert(ref).tolist()
+            assert p.value(out).tolist() == t[ref].tolist() and p.value(dest).tolist() == S.invert(ref).tolist()
     for variant in ("hybrid", "eager", "composed"):
-        assert p.value(S.bitwise_sort(p, p.share(t, True), 5, variant=variant)[0]).tolist() == sorted(values)
+        assert p.value(S.bitwise_sort(p, p.share(t, True), 5, variant=variant)).tolist() == sorted(values)
 
 
 def test_descending_ties():
     p = PROTOCOLS["3p"]()
-    assert (S.sort_vector(p, p.share(np.array([3, 1, 3, 2, 1]), True), "desc")[1] + 1).tolist() == [1, 4, 2, 3, 5]
+    dest = S.sort_vector(p, p.share(np.array([3, 1, 3, 2, 1]), True), "desc")[1]
+    assert (p.value(dest) + U(1)).tolist() == [1, 4, 2, 3, 5]
 
 
 @pytest.mark.parametrize("kind", ["bitonic", "odd_even", "pairwise"])
@@ -163,6 +172,11 @@ def test_table_sort_and_permutations():
     shared = p.share(dest, True)
     assert p.value(S.apply_elementwise(p, shared, p.share(t, True), 4)).tolist() == S.apply(dest, t).tolist()
     assert p.value(S.invert_elementwise(p, shared, 4)).tolist() == S.invert(dest).tolist()
+    other = S.random_permutation(80, 10)
+    assert p.value(S.compose_elementwise(p, shared, p.share(other, True), 4)).tolist() == S.compose(dest, other).tolist()
+    for kind in (True, False):
+        turned = S.convert_elementwise(p, p.share(dest, kind), 6)
+        assert turned.boolean is not kind and p.value(turned).tolist() == dest.tolist()
     correlation = S.permutation_correlation(80, 5)
     a, b = S.permute_with(correlation, t.astype(U))
     assert (a + b).tolist() == S.apply(correlation[0][0], t).tolist()
@@ -171,8 +185,81 @@ def test_table_sort_and_permutations():
 @pytest.mark.parametrize("n", [1, 2, 3, 4, 5, 8, 9])
 def test_shared_scan_of_one_group(n):
     p = PROTOCOLS["2p"]()
-    out = S.group_scan(p, np.zeros(n, int), p.share(np.ones(n, np.int64), False))
-    assert p.value(out).tolist() == list(range(1, n + 1))
+    one = p.share(np.ones(n, np.int64), False)
+    assert p.value(S.group_scan(p, p.share(np.zeros(n, int), True), one)).tolist() == list(range(1, n + 1))
+    assert p.value(S.group_scan(p, p.share(np.arange(n) // 2, True), one)).tolist() == [i % 2 + 1 for i in range(n)]
+
+
+class Watched(PROTOCOLS["3p"]):
+    """Nobody may look at a value but by opening it, which is counted."""
+
+    def value(self, s):
+        raise AssertionError("a value is read that was not opened")
+
+    def open(self, s, width=64):
+        self.opened = [*getattr(self, "opened", []), super_value(self, s)]
+        self.meter.stage("open", len(s), width)
+        return self.opened[-1]
+
+
+def super_value(p, s):
+    return PROTOCOLS["3p"].value(p, s)
+
+
+def test_sorts_joins_and_groups_read_only_what_they_open():
+    """Under a protocol that forbids all else; and what is opened are bits behind a shuffle or whole permutations."""
+    from sealed_frames.share.table import SharedTable
+
+    rng = np.random.default_rng(2)
+    keys = rng.integers(0, 50, 64)
+    for run in (
+        *(lambda p, v=v: S.bitwise_sort(p, p.share(keys, True), 6, variant=v) for v in ("hybrid", "eager", "composed")),
+        *(lambda p, o=o, b=b: S.sort_vector(p, p.share(keys, True), o, b, 6)[0] for o in ("asc", "desc") for b in ("pivot", "bitwise")),
+        lambda p: S.sort_table(p, {"a": p.share(keys, True), "b": p.share(keys % 5, True)}, [("b", "desc"), ("a", "asc")], bits=6)["a"],
+        lambda p: SharedTable.of(p, {"k": keys, "v": keys}, ("v",)).group("k", {"s": ("sum", "v")}).trimmed(50)["k"],
+        lambda p: SharedTable.of(p, {"k": np.arange(64)}).join(SharedTable.of(p, {"k": keys, "v": keys}, ("v",)), "k", aggs={"s": ("sum", "v")}, trim_rows=True)["k"],
+    ):
+        p = Watched(3)
+        run(p)
+        assert p.opened
+        for seen in p.opened:
+            assert set(seen.tolist()) <= {0, 1} or sorted((seen & U((1 << 32) - 1)).tolist()) in (list(range(len(seen))), [(1 << 32) - 1 - i for i in reversed(range(len(seen)))])
+
+
+def test_the_hybrid_sort_takes_fewer_rounds_for_few_more_bits():
+    cost = {}
+    for variant in ("hybrid", "eager", "composed"):
+        p = PROTOCOLS["3p"]()
+        S.bitwise_sort(p, p.share(np.random.default_rng(1).integers(0, 2**32, 256), True), 32, variant=variant)
+        cost[variant] = p.meter.rounds, p.meter.bits
+    assert cost["hybrid"][0] < 0.75 * cost["composed"][0] and cost["hybrid"][1] < 1.1 * cost["composed"][1]
+    assert cost["hybrid"][1] < 0.2 * cost["eager"][1]
+
+
+@protocols
+def test_shared_tables(name):
+    """Groups, fused aggregation, trimming and the first rows against plain loops."""
+    from sealed_frames.share.table import SharedTable
+
+    rng = np.random.default_rng(5)
+    k, v, ok = rng.integers(0, 9, 40), rng.integers(0, 100, 40), rng.integers(0, 2, 40)
+    want = {a: [int(x) for x, b, g in zip(v, k, ok) if b == a and g] for a in sorted(set(k[ok == 1].tolist()))}
+    p = PROTOCOLS[name](4)
+    t = SharedTable.of(p, {"k": k, "v": v, "w": v}, ("w",), ok)
+    aggs = {"s": ("sum", "w"), "n": ("count", None), "lo": ("min", "v"), "hi": ("max", "v")}
+    got = t.group("k", aggs, value_bits=20).reveal()
+    rows = sorted(zip(*(got[c].tolist() for c in ("k", "s", "n", "lo", "hi"))))
+    assert rows == [(a, sum(x), len(x), min(x), max(x)) for a, x in want.items()]
+    left = SharedTable.of(p, {"k": np.arange(12), "a": np.arange(12) + 70})
+    for how in ("inner", "left"):
+        got = left.join(t, "k", how, {"s": ("sum", "w"), "n": ("count", "w")}, trim_rows=True)
+        assert len(got) == 12
+        rows = got.reveal()
+        rows = sorted(zip(*(rows[c].tolist() for c in ("k", "a", "s", "n"))))
+        assert rows == [(a, a + 70, sum(want.get(a, [])), len(want.get(a, []))) for a in range(12) if how == "left" or a in want]
+    best = t.project("k", "v").top(5, [("v", "desc"), ("k", "asc")], 20).reveal()
+    assert sorted(zip(best["v"].tolist(), best["k"].tolist())) == sorted(sorted(((int(x), int(a)) for x, a, g in zip(v, k, ok) if g), key=lambda r: (-r[0], r[1]))[:5])
+    assert p.value(t.maximum("v", 20)).tolist() == [max(x for x, g in zip(v.tolist(), ok) if g)]
 
 
 @pytest.mark.parametrize("ell", [1, 8, 16, 32, 64])
@@ -247,5 +334,5 @@ def test_shared_fused_join(name, how):
             want += [(k, 0, b) for k, b in r if k not in {j for j, _ in l}]
         assert got == sorted(want)
         if how == "inner":
-            cut = {c: p.value(s).astype(int) for c, s in fused_join(p, left, right, "k", how, 8, trim=True).items()}
+            cut = {c: p.value(s).astype(int) for c, s in fused_join(p, left, right, "k", how, 8, trim_rows=True).items()}
             assert len(cut["ok"]) == 11 and cut["ok"].sum() == len(want)
