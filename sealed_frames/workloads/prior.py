@@ -15,10 +15,13 @@ from .tables import PRELUDE, revenue, table
 
 QUERIES = {}
 SQL = {}
+#: The functions themselves, for cost frames.
+FUNCTIONS = {}
 
 
 def query(sql: str):
     def keep(fn):
+        FUNCTIONS[fn.__name__] = fn
         QUERIES[fn.__name__] = lambda spark, sf_dir: fn(lambda name: table(spark, sf_dir, name)).reveal()
         SQL[fn.__name__] = PRELUDE + sql
         return fn
