@@ -1,16 +1,32 @@
-"""What the session offers: the shared folder for checkpoints."""
+"""What the session offers: the shared folder for checkpoints and intermediate tables."""
 
 from __future__ import annotations
 
 import os
 import tempfile
+import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that the session names in ``spark.checkpoint.dir``. One of our own only where all tasks run in
+    this process; a cluster without the setting raises an error, since its machines share no local folder."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+        base = f"file://{os.path.join(tempfile.gettempdir(), f'sealed-frames-{os.getuid()}')}"
+    return base.rstrip("/")
+
+
+def new_path(spark: SparkSession, name: str) -> str:
+    return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
 
 
 def checkpointed(df: DataFrame) -> DataFrame:
-    """A reliable checkpoint in the folder that the session names; in one of our own only where it names none."""
-    context = df.sparkSession.sparkContext
-    if not df.sparkSession.conf.get("spark.checkpoint.dir", None):
-        context.setCheckpointDir(f"file://{os.path.join(tempfile.gettempdir(), f'sealed-frames-{os.getuid()}')}")
+    """A reliable checkpoint in the shared folder."""
+    spark = df.sparkSession
+    if not spark.conf.get("spark.checkpoint.dir", None):
+        spark.sparkContext.setCheckpointDir(shared_folder(spark))
     return df.checkpoint()

@@ -44,24 +44,44 @@ BUILT_IN = {"sum": SUM, "count": COUNT, "min": MIN, "max": MAX, "avg": AVG, "var
 def aggregate(frame: SealedFrame, keys: Sequence[str], outputs: Mapping[str, tuple]) -> SealedFrame:
     """out=(function, column): map-side partials, one exchange on the keys, combining.
 
-    Without keys one row comes out. A function is a name or a Decomposable; column "*" counts rows.
+    Without keys one row comes out. A function is a name or a Decomposable; column "*" counts rows. In the
+    padded tier every row stays, and the first one of each group of valid rows carries its aggregates (L353).
     """
-    pre, final = [], []
-    for out, (fn, source) in outputs.items():
+    pre, final = [c.alias(name) for name, c in _columns(outputs)], []
+    for out, (fn, _) in outputs.items():
         rule = BUILT_IN[fn] if isinstance(fn, str) else fn
-        value = source if not isinstance(source, str) else F.lit(1) if source == "*" else F.col(source)
-        parts = rule.pre(value)
-        pre += [c.alias(f"__{out}_{p}") for p, c in parts.items()]
-        final.append(rule.final({p: F.col(f"__{out}_{p}") for p in parts}).alias(out))
-    grouped = frame.df.where(OK).groupBy(*keys).agg(*pre)
-    df = grouped.select(*keys, *final, F.lit(True).alias(OK))
+        final.append(rule.final({p: F.col(f"__{out}_{p}") for p in rule.pre(F.lit(1))}).alias(out))
+    if keys and frame.public.tier == "padded":
+        whole = Window.partitionBy(OK, *keys)
+        parts = [_over(c, whole) for c in _columns(outputs)]
+        first = F.row_number().over(whole.orderBy(*keys)) == 1
+        df = frame.df.select(*keys, *parts, (F.col(OK) & first).alias(OK)).select(*keys, *final, OK)
+    else:
+        grouped = frame.df.where(OK).groupBy(*keys).agg(*pre)
+        df = grouped.select(*keys, *final, F.lit(True).alias(OK))
     unique = (frozenset(keys),)
     rows = 1 if not keys else frame.public.rows
     return SealedFrame(df, Public(rows, unique, (*frame.public.trace, "aggregate"), frame.public.tier))
 
 
+def _columns(outputs: Mapping[str, tuple]) -> list[tuple[str, Column]]:
+    """Partial aggregates of all outputs, by name."""
+    out = []
+    for name, (fn, source) in outputs.items():
+        rule = BUILT_IN[fn] if isinstance(fn, str) else fn
+        value = source if not isinstance(source, str) else F.lit(1) if source == "*" else F.col(source)
+        out += [(f"__{name}_{part}", c) for part, c in rule.pre(value).items()]
+    return out
+
+
+def _over(part: tuple[str, Column], window) -> Column:
+    return part[1].over(window).alias(part[0])
+
+
 def partials(frame: SealedFrame, keys: Sequence[str], outputs: Mapping[str, tuple]) -> SealedFrame:
     """Only the partial step: columns out__part, to be combined later by ``combine``."""
+    if not isinstance(frame, SealedFrame):
+        return frame.partials(keys, outputs)
     pre = [c.alias(f"{out}__{p}") for out, (fn, source) in outputs.items() for p, c in BUILT_IN[fn].pre(F.lit(1) if source == "*" else F.col(source)).items()]
     df = frame.df.where(OK).groupBy(*keys).agg(*pre).withColumn(OK, F.lit(True))
     return SealedFrame(df, Public(frame.public.rows, (frozenset(keys),), (*frame.public.trace, "partials"), frame.public.tier))
@@ -69,6 +89,8 @@ def partials(frame: SealedFrame, keys: Sequence[str], outputs: Mapping[str, tupl
 
 def combine(frame: SealedFrame, keys: Sequence[str], outputs: Mapping[str, str]) -> SealedFrame:
     """Combine partials of several frames (stacked) and finish: out=function name."""
+    if not isinstance(frame, SealedFrame):
+        return frame.combine(keys, outputs)
     post, final = [], []
     for out, fn in outputs.items():
         rule = BUILT_IN[fn]

@@ -76,6 +76,8 @@ def fused_join(
         by_key = aggs is not None and set(agg_keys or keys) >= set(keys) and (how in ("semi", "anti") or left.is_unique(keys))
         small = by_key and min(plan_bytes(left.df), plan_bytes(right.df)) <= broadcast_limit(left.df.sparkSession)
         strategy = "stacked" if by_key and not small else "native"
+        if left.public.tier == "padded" and (how in ("semi", "anti") or left.is_unique(keys)):
+            strategy = "stacked"  # native joins drop rows
     if strategy == "native":
         df = _native(left, right, keys, wanted, how)
     elif strategy == "stacked":
@@ -165,12 +167,17 @@ def aggregate_join(left: SealedFrame, right: SealedFrame, on, agg_keys: Sequence
     return joined.aggregate(list(agg_keys), **outputs)
 
 
-def cartesian_join(left: SealedFrame, right: SealedFrame, condition: Column, most_rows: int = 10_000_000) -> SealedFrame:
-    """The quadratic fallback for cyclic queries (L80): refused beyond a public size."""
+def cartesian_join(left: SealedFrame, right: SealedFrame, condition: Column, most_rows: int = 10_000_000, beyond: str = "refuse") -> SealedFrame:
+    """The quadratic fallback for cyclic queries (L80): beyond ``most_rows`` pairs refused, or, with
+    beyond="blocks", compared block by block of the two sides, where only pairs that meet the condition become rows."""
     n = left.public.rows if left.public.rows is not None else left.df.count()
     m = right.public.rows if right.public.rows is not None else right.df.count()
     if n * m > most_rows:
-        raise ValueError(f"{n} x {m} rows are more than {most_rows}")
+        if beyond != "blocks":
+            raise ValueError(f"{n} x {m} rows are more than {most_rows}")
+        right_side = right.df.withColumnRenamed(OK, "__ok2").hint("shuffle_replicate_nl")
+        met = left.df.join(right_side, F.col(OK) & F.col("__ok2") & condition).drop("__ok2")
+        return SealedFrame(met, Public(n * m, (), (*left.public.trace, *right.public.trace, "cartesian in blocks"), left.public.tier))
     df = left.df.crossJoin(right.df.withColumnRenamed(OK, "__ok2")).withColumn(OK, F.col(OK) & F.col("__ok2") & condition).drop("__ok2")
     return SealedFrame(df, Public(n * m, (), (*left.public.trace, *right.public.trace, "cartesian"), left.public.tier))
 

@@ -2,13 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
-
 import pandas as pd
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
+from ..core.session import new_path
 from ..operators import relational as R
+from ..operators.fused_join import broadcast_limit, plan_bytes
 from .tables import PRELUDE, day_number, table
 
 QUERIES = {}
@@ -245,7 +245,8 @@ def rel_vector_top_k(t, spark, sf_dir):
     e = raw(spark, sf_dir, "embeddings")
     first = e.groupBy("label").agg(F.min_by("embedding", "vec_id").alias("c"))
     dot = F.aggregate(F.zip_with("embedding", "c", lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x)
-    near = e.join(F.broadcast(first), "label").withColumn("dot", F.round(dot, 9))
+    small = plan_bytes(first) <= broadcast_limit(spark)
+    near = e.join(F.broadcast(first) if small else first, "label").withColumn("dot", F.round(dot, 9))
     return R.top_k_per(near, ["label"], [F.desc("dot"), F.asc("vec_id")], 3).select("label", "vec_id")
 
 
@@ -269,6 +270,92 @@ def rel_scalar_udf(t, spark, sf_dir):
     return t("orders").select("o_orderkey", parity("o_total").alias("parity"))
 
 
+@rel("SELECT o_orderkey, o_orderpriority IN ('1-URGENT', '5-LOW') AS a, regexp_matches(o_orderpriority, '^[1-3]-[A-Z]+$') AS b, nullif(o_orderstatus, 'P') IS NOT DISTINCT FROM NULL AS c, nullif(o_orderstatus, 'P') IS NULL AS d, o_total BETWEEN 1000000 AND 5000000 AS e FROM O")
+def rel_predicates(t, spark, sf_dir):
+    none = F.when(F.col("o_orderstatus") != "P", F.col("o_orderstatus"))
+    return t("orders").select(
+        "o_orderkey", F.col("o_orderpriority").isin("1-URGENT", "5-LOW").alias("a"), F.col("o_orderpriority").rlike("^[1-3]-[A-Z]+$").alias("b"), none.eqNullSafe(F.lit(None)).alias("c"), none.isNull().alias("d"),
+        F.col("o_total").between(1_000_000, 5_000_000).alias("e"),
+    )
+
+
+@rel("SELECT o_orderkey, CAST(round(percent_rank() OVER w * 1000000) AS BIGINT) AS a, CAST(round(cume_dist() OVER w * 1000000) AS BIGINT) AS b FROM O WINDOW w AS (PARTITION BY o_custkey ORDER BY o_total)")
+def rel_distribution(t, spark, sf_dir):
+    w = Window.partitionBy("o_custkey").orderBy("o_total")
+    whole = lambda c: F.round(c * 1_000_000).cast("long")
+    return t("orders").select("o_orderkey", whole(F.percent_rank().over(w)).alias("a"), whole(F.cume_dist().over(w)).alias("b"))
+
+
+@rel("SELECT o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY nullif(o_orderstatus, 'P') NULLS FIRST, o_orderkey) AS a, row_number() OVER (PARTITION BY o_custkey ORDER BY nullif(o_orderstatus, 'P') DESC NULLS LAST, o_orderkey DESC) AS b FROM O")
+def rel_null_order(t, spark, sf_dir):
+    s = F.when(F.col("o_orderstatus") != "P", F.col("o_orderstatus"))
+    place = lambda *o: F.row_number().over(Window.partitionBy("o_custkey").orderBy(*o)).cast("long")
+    return t("orders").select("o_orderkey", place(s.asc_nulls_first(), F.asc("o_orderkey")).alias("a"), place(s.desc_nulls_last(), F.desc("o_orderkey")).alias("b"))
+
+
+@rel("SELECT 'union' AS kind, k FROM (SELECT c_custkey AS k FROM C UNION SELECT user_id FROM E) UNION ALL SELECT 'intersect', k FROM (SELECT o_custkey AS k FROM O INTERSECT ALL SELECT user_id FROM E) UNION ALL SELECT 'except', k FROM (SELECT o_custkey AS k FROM O EXCEPT ALL SELECT user_id FROM E)")
+def rel_set_ops_all(t, spark, sf_dir):
+    c, o, e = (t(n).select(F.col(k).alias("k")) for n, k in (("customer", "c_custkey"), ("orders", "o_custkey"), ("events", "user_id")))
+    named = lambda df, kind: df.select(F.lit(kind).alias("kind"), "k")
+    return named(c.unionByName(e).distinct(), "union").unionByName(named(o.intersectAll(e), "intersect")).unionByName(named(o.exceptAll(e), "except"))
+
+
+@rel("SELECT p_partkey, trim('  ' || p_name || ' ') AS a, len(string_split(p_name, ' ')) AS b, string_split(p_name, ' ')[1] AS c, lpad(CAST(p_size AS VARCHAR), 4, '0') AS d, reverse(p_brand) AS e, CAST(instr(p_name, 'a') AS BIGINT) AS f FROM P")
+def rel_text(t, spark, sf_dir):
+    words = F.split("p_name", " ")
+    return t("part").select(
+        "p_partkey", F.trim(F.concat(F.lit("  "), "p_name", F.lit(" "))).alias("a"), F.size(words).cast("long").alias("b"), F.element_at(words, 1).alias("c"), F.lpad(F.col("p_size").cast("string"), 4, "0").alias("d"),
+        F.reverse("p_brand").alias("e"), F.instr("p_name", "a").cast("long").alias("f"),
+    )
+
+
+@rel("""SELECT o_orderkey, abs(o_total - 10000000) AS a, CAST(floor(sqrt(o_total)) AS BIGINT) AS b, CAST(round(ln(o_total) * 1000000) AS BIGINT) AS c, sha256(o_orderpriority) AS d, md5(o_orderstatus) AS e, upper(to_hex(o_orderkey)) AS f,
+  CAST(round(o_total / 1000.0) AS BIGINT) AS g, CAST(pow(o_orderkey % 10, 3) AS BIGINT) AS h FROM O""")
+def rel_math(t, spark, sf_dir):
+    v = F.col("o_total")
+    return t("orders").select(
+        "o_orderkey", F.abs(v - 10_000_000).alias("a"), F.floor(F.sqrt(v)).cast("long").alias("b"), F.round(F.log(v) * 1_000_000).cast("long").alias("c"), F.sha2("o_orderpriority", 256).alias("d"), F.md5("o_orderstatus").alias("e"),
+        F.conv(F.col("o_orderkey").cast("string"), 10, 16).alias("f"), F.round(v / 1000).cast("long").alias("g"), F.pow(F.col("o_orderkey") % 10, F.lit(3)).cast("long").alias("h"),
+    )
+
+
+@rel("SELECT b, CAST(sum(n) AS BIGINT) AS n FROM (SELECT l_orderkey % 7 AS b, count(DISTINCT l_partkey) AS n FROM L GROUP BY l_orderkey) GROUP BY b")
+def rel_hash(t, spark, sf_dir):
+    """Distinct keys counted by their 64-bit hashes, which all engines of this kind can exchange."""
+    per = t("lineitem").groupBy("l_orderkey").agg(F.size(F.collect_set(F.xxhash64("l_partkey"))).alias("n"))
+    return per.groupBy((F.col("l_orderkey") % 7).alias("b")).agg(F.sum("n").cast("long").alias("n"))
+
+
+@rel("SELECT l_returnflag, CAST(round(stddev(qty) * 1000000) AS BIGINT) AS sd, CAST(round(var_pop(qty) * 1000) AS BIGINT) AS vp, CAST(round(corr(qty, price) * 1000000) AS BIGINT) AS r, CAST(round(median(qty) * 10) AS BIGINT) AS m, CAST(round(quantile_cont(qty, 0.9) * 10) AS BIGINT) AS q FROM L GROUP BY ALL")
+def rel_statistics(t, spark, sf_dir):
+    times = lambda c, k: F.round(c * k).cast("long")
+    return t("lineitem").groupBy("l_returnflag").agg(
+        times(F.stddev("qty"), 1_000_000).alias("sd"), times(F.var_pop("qty"), 1000).alias("vp"), times(F.corr("qty", "price"), 1_000_000).alias("r"), times(F.median("qty"), 10).alias("m"), times(F.percentile("qty", F.lit(0.9)), 10).alias("q"),
+    )
+
+
+@rel("SELECT vec_id, i, CAST(round(x * 100000) AS BIGINT) AS x FROM (SELECT vec_id, unnest([1, 2, 3]) AS i, unnest(list_sort(list_slice(CAST(embedding AS DOUBLE[]), 1, 3))) AS x FROM embeddings)")
+def rel_array_rows(t, spark, sf_dir):
+    """Slices, sorted, as rows with their places."""
+    e = raw(spark, sf_dir, "embeddings").select("vec_id", F.posexplode(F.sort_array(F.slice(F.col("embedding").cast("array<double>"), 1, 3))).alias("p", "v"))
+    return e.select("vec_id", (F.col("p") + 1).alias("i"), F.round(F.col("v") * 100_000).cast("long").alias("x"))
+
+
+@rel("SELECT o_orderpriority, count(*) AS n, CAST(sum(qty) AS BIGINT) AS q FROM O JOIN L ON o_orderkey = l_orderkey GROUP BY ALL")
+def rel_bucketed_join(t, spark, sf_dir):
+    """Both tables written in buckets of the key: the join after it exchanges neither."""
+    import uuid
+
+    def bucketed(df, key):
+        name = f"sealed_{uuid.uuid4().hex}"
+        df.write.bucketBy(8, key).sortBy(key).option("path", new_path(spark, name)).saveAsTable(name)
+        return spark.table(name)
+
+    o = bucketed(t("orders").select("o_orderkey", "o_orderpriority"), "o_orderkey")
+    lines = bucketed(t("lineitem").select(F.col("l_orderkey").alias("o_orderkey"), "qty"), "o_orderkey")
+    return o.join(lines.hint("merge"), "o_orderkey").groupBy("o_orderpriority").agg(F.count("*").alias("n"), F.sum("qty").alias("q"))
+
+
 # -- Python functions ---------------------------------------------------------------------------------
 
 
@@ -297,16 +384,9 @@ def rel_table_function(t, spark, sf_dir):
 # -- sources and sinks -----------------------------------------------------------------------------------
 
 
-def _scratch(spark, name: str) -> str:
-    import uuid
-
-    base = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/sealed-frames-scratch"
-    return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
-
-
 def _format(fmt: str):
     def run(t, spark, sf_dir):
-        path = _scratch(spark, fmt)
+        path = new_path(spark, fmt)
         df = t("part")
         df.write.format(fmt).options(header=True).save(path)
         return spark.read.format(fmt).options(header=True).schema(df.schema).load(path)
@@ -319,12 +399,19 @@ for _f in ("csv", "json", "orc", "parquet"):
     _format(_f)
 
 
+@rel("SELECT p_partkey || ' ' || p_name AS line FROM P")
+def source_text(t, spark, sf_dir):
+    path = new_path(spark, "text")
+    t("part").select(F.concat_ws(" ", F.col("p_partkey").cast("string"), "p_name")).write.text(path)
+    return spark.read.text(path).select(F.col("value").alias("line"))
+
+
 @rel("SELECT o_orderkey, o_total FROM O")
 def source_owner_shares(t, spark, sf_dir):
     """One folder of share terms per party, and the table opened from all of them (L66, L165)."""
     from ..sources.shares import export_shares, import_shares
 
-    path = _scratch(spark, "shares")
+    path = new_path(spark, "shares")
     export_shares(t("orders").select("o_orderkey", "o_total"), ["o_orderkey"], ["o_total"], path, parties=3, seed=7)
     return import_shares(spark, ["o_orderkey"], ["o_total"], path, parties=3)
 
@@ -352,7 +439,7 @@ def stream_partials(t, spark, sf_dir):
     """Multiplicities kept as mergeable partials, batch by batch."""
     from ..streaming.events import merge_partials
 
-    return merge_partials(spark, sf_dir, _scratch(spark, "partials"))
+    return merge_partials(spark, sf_dir, new_path(spark, "partials"))
 
 
 @rel("SELECT event_id, c_mktsegment FROM E JOIN C ON user_id = c_custkey")
@@ -392,3 +479,11 @@ def stream_interval_join(t, spark, sf_dir):
     from ..streaming.events import errors_then_purchases, run_available
 
     return run_available(errors_then_purchases(spark, sf_dir), "append")
+
+
+@rel("SELECT event_type, CAST(floor(epoch_us(ts) / 3600000000) AS BIGINT) AS hour, count(*) AS n, CAST(sum(val) AS BIGINT) AS s FROM E GROUP BY ALL")
+def stream_update(t, spark, sf_dir):
+    """Windows as they change, batch by batch; the last state of each."""
+    from ..streaming.events import hourly_counts, run_available
+
+    return run_available(hourly_counts(spark, sf_dir), "update", ["event_type", "hour"])

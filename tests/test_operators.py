@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from sealed_frames.core.frame import OK, SealedFrame, seal
-from sealed_frames.core.position import running_sum, with_positions
+from sealed_frames.core.position import beside, prefix_sums, running_sum, with_positions
 from sealed_frames.operators import relational as R
 from sealed_frames.operators.aggregate import combine, mark_first, partials
 from sealed_frames.operators.fused_join import aggregate_join, cartesian_join, fused_join, should_trim
@@ -140,6 +140,15 @@ def test_positions_and_running_sums(spark):
     assert [r.s for r in sums] == [i * (i + 1) // 2 for i in range(1000)]
 
 
+@pytest.mark.parametrize("fanout", [3, 10, 1 << 14])
+def test_prefix_sums_over_a_tree(spark, fanout):
+    rows = [(i, i % 7 + 1) for i in range(0, 200, 3)]
+    got = prefix_sums(spark.createDataFrame(rows, "k long, v long"), "k", "v", 200, "b", fanout)
+    assert {r.k: r.b for r in got.collect()} == {k: sum(v for j, v in rows if j < k) for k, _ in rows}
+    met = beside(spark.createDataFrame(rows, "k long, v long"), got, ["k"], 1 << 40)
+    assert met.count() == len(rows)
+
+
 def test_radix_query_sorts_keys_of_more_than_17_bits(spark, tmp_path):
     given = spark.read.parquet("/root/testdata/sf0.001/orders.parquet")
     moved = F.col("o_custkey") + F.when(F.col("o_orderkey") % 2 == 0, 131_072).otherwise(0)
@@ -172,6 +181,56 @@ def test_plans_do_not_depend_on_the_data(spark):
     assert plans[0] == plans[1]
 
 
+def test_padded_groups_keep_all_rows(spark):
+    """Aggregates of the padded tier: public sizes, one carrier per group, and a plan that the data do not change."""
+    shown = []
+    for shift in (0, 70):
+        rows = [(i % 4, (i * 7 + shift) % 50, i % 3 != 0) for i in range(24)]
+        f = frame(spark, rows, "g long, v long", tier="padded")
+        out = f.aggregate(["g"], s=("sum", "v"), n=("count", "*"), lo=("min", "v"), mean=("avg", "v"))
+        joined = frame(spark, [(i, i, True) for i in range(4)], "g long, a long", [["g"]], "padded").join(out, "g")
+        assert out.df.count() == 24 and joined.df.count() >= 24
+        want = {g: [v for h, v, ok in rows if h == g and ok] for g in range(4)}
+        assert {r.g: (r.s, r.n, r.lo, r.mean) for r in out.reveal().collect()} == {g: (sum(v), len(v), min(v), sum(v) // len(v)) for g, v in want.items()}
+        assert sorted((r.g, r.a, r.s) for r in joined.reveal().collect()) == [(g, g, sum(want[g])) for g in range(4)]
+        shown.append((trace_digest(joined), joined.df.count()))
+    assert shown[0] == shown[1]
+
+
+def test_quadratic_fallback_beyond_its_bound(spark):
+    a = frame(spark, [(i, True) for i in range(30)], "x long")
+    b = frame(spark, [(i, i % 2 == 0) for i in range(30)], "y long")
+    with pytest.raises(ValueError):
+        cartesian_join(a, b, F.col("x") < F.col("y"), 100)
+    got = cartesian_join(a, b, F.col("x") < F.col("y"), 100, beyond="blocks").reveal()
+    assert got.count() == sum(i < j for i in range(30) for j in range(0, 30, 2))
+
+
+def test_late_events_are_dropped(spark, tmp_path):
+    """Files of one batch each: an event behind the watermark of the batches before is dropped, a less late one counts."""
+    import os
+    from datetime import datetime, timedelta
+
+    from sealed_frames.streaming.events import hourly_counts, run_available
+
+    given = spark.read.parquet("/root/testdata/sf0.001/events.parquet").schema
+    start = datetime(2024, 1, 1)
+    # late rows are judged by the watermark of the batch before last: the fourth batch comes ten hours late, the fifth one
+    hours = [[0, 1], [10], [11], [1], [10], [20]]
+    for i, batch in enumerate(hours):
+        rows = [{"event_id": 10 * i + j, "ts": start + timedelta(hours=h, minutes=5), "user_id": 1, "event_type": "view", "value": 1.0, "props": None} for j, h in enumerate(batch)]
+        path = f"{tmp_path}/part{i}"
+        spark.createDataFrame([tuple(r.get(f.name) for f in given) for r in rows], given).coalesce(1).write.parquet(path)
+        name = next(f for f in os.listdir(path) if f.endswith(".parquet"))
+        os.rename(f"{path}/{name}", f"{tmp_path}/e{i}.parquet")
+        os.utime(f"{tmp_path}/e{i}.parquet", (1_700_000_000 + i, 1_700_000_000 + i))
+    first = int(start.timestamp()) // 3600
+    for late in ("2 hours", "40 days"):
+        df = hourly_counts(spark, str(tmp_path), late, files="e*.parquet", per_batch=1)
+        got = {r.hour - first: r.n for r in run_available(df, "update", ["event_type", "hour"]).collect()}
+        assert got == {0: 1, 1: 1 if late == "2 hours" else 2, 10: 2, 11: 1, 20: 1}
+
+
 def test_partials_combine(spark):
     f = frame(spark, [(i % 3, i, i != 4) for i in range(20)], "g long, v long")
     outputs = {"s": ("sum", "v"), "n": ("count", "*"), "lo": ("min", "v"), "hi": ("max", "v"), "mean": ("avg", "v")}
