@@ -14,6 +14,7 @@ proportion to its size.
 
 from __future__ import annotations
 
+from collections import OrderedDict
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -23,13 +24,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected
-from .runtime import settle, ship
+from .runtime import get_arrays, new_path, put_arrays, settle, ship
 
 #: Vectors of a block; centres, at most, that vectors are dealt by; vectors of a node that is not divided;
 #: children of a node, at most.
 BLOCK, CENTRES, LEAF, FAN = 8192, 2048, 96, 48
-#: Rows of the products that leaves are compared by.
-TILE = 2048
+#: Rows of the products that leaves are compared by; pairs of blocks of a task, at most, but for small inputs.
+TILE, PAIRS = 2048, 64
 #: Above the error of a single-precision product of unit vectors of up to some thousand components.
 SCREEN = 2e-4
 #: Slack of every pruning bound: bounds decide only where rounding can't matter.
@@ -171,10 +172,10 @@ def _spanning(x: np.ndarray, y: np.ndarray, linked: np.ndarray | None) -> list[t
     return out
 
 
-def block_links(points, ids, weight, others=None, cosine: float = 0.95):
-    """(links per row of points, links per row of the others or None, spanning links as id pairs)."""
-    tree = CoverTree(points)
-    pair = None if others is None else CoverTree(others[0])
+def block_links(tree: CoverTree, ids, weight, others=None, cosine: float = 0.95):
+    """(links per row of the tree, links per row of the others or None, spanning links as id pairs);
+    others: (tree, ids, weight)."""
+    pair = None if others is None else others[0]
     own = np.zeros(len(ids), np.int64)
     theirs = None if others is None else np.zeros(len(others[1]), np.int64)
     right_ids, right_weight = (ids, weight) if others is None else others[1:]
@@ -256,37 +257,50 @@ def _near_cells(cells: list[tuple[int, int, float]], tops: dict[int, np.ndarray]
     return out
 
 
-def _pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """One row per block: ids, weights, vectors, and the ball that covers it."""
+def _pack(batches: Iterator[pa.RecordBatch], folder: str) -> Iterator[pa.RecordBatch]:
+    """A file per block with ids, weights and vectors; a row with its number, cell and covering ball."""
     for batch in batches:
         out = []
         for r in range(batch.num_rows):
             dims = batch.column(batch.schema.get_field_index("dims"))[r].as_py()
             part = batch.column(batch.schema.get_field_index("part"))[r].values
-            raw = b"".join(part.field("unit").to_pylist())
-            v = np.frombuffer(raw, np.float64).reshape(-1, dims)
+            v = np.frombuffer(b"".join(part.field("unit").to_pylist()), np.float64).reshape(-1, dims)
             centre = v.mean(axis=0)
             reach = float(np.sqrt(((v - centre) ** 2).sum(axis=1).max()))
             ids, weight = part.field("id").to_numpy(), part.field("weight").to_numpy()
             cell = batch.column(batch.schema.get_field_index("cell"))[r].as_py()
-            out.append((int(ids.min()), dims, cell, ids.tobytes(), weight.astype(np.int64).tobytes(), raw, centre.tolist(), reach))
-        kinds = [pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.list_(pa.float64()), pa.float64()]
+            number = int(ids.min())
+            put_arrays(f"{folder}/block-{number}.bin", {"ids": ids, "weights": weight.astype(np.int64), "units": v.ravel()})
+            out.append((number, dims, cell, centre.tolist(), reach))
+        kinds = [pa.int64(), pa.int32(), pa.int32(), pa.list_(pa.float64()), pa.float64()]
         if out:
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], names=["block", "dims", "cell", "ids", "weights", "units", "centre", "reach"])
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], names=["block", "dims", "cell", "centre", "reach"])
 
 
-def _walk(batches: Iterator[pa.RecordBatch], cosine: float) -> Iterator[pa.RecordBatch]:
-    """Count rows (u, n) and link rows (u, v) of each pair of blocks."""
+class _Blocks:
+    """Blocks with their trees; those used last stay."""
+
+    def __init__(self, folder: str, most: int = 6):
+        self.folder, self.most, self.held = folder, most, OrderedDict()
+
+    def __getitem__(self, number: int):
+        if (got := self.held.get(number)) is None:
+            raw = get_arrays(f"{self.folder}/block-{number}.bin")
+            got = CoverTree(raw["units"].reshape(len(raw["ids"]), -1)), raw["ids"], raw["weights"]
+            self.held[number] = got
+            if len(self.held) > self.most:
+                self.held.popitem(last=False)
+        self.held.move_to_end(number)
+        return got
 
-    def load(batch, r, side):
-        get = lambda n: batch.column(batch.schema.get_field_index(n + side))[r].as_py()
-        return np.frombuffer(get("units"), np.float64).reshape(-1, get("dims")), np.frombuffer(get("ids"), np.int64), np.frombuffer(get("weights"), np.int64)
 
+def _walk(batches: Iterator[pa.RecordBatch], folder: str, cosine: float) -> Iterator[pa.RecordBatch]:
+    """Count rows (u, n) and link rows (u, v) of each pair of blocks."""
+    blocks = _Blocks(folder)
     for batch in batches:
-        for r in range(batch.num_rows):
-            a = load(batch, r, "_a")
-            same = batch.column(batch.schema.get_field_index("block_a"))[r] == batch.column(batch.schema.get_field_index("block_b"))[r]
-            b = None if same else load(batch, r, "_b")
+        for left, right in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+            a = blocks[left]
+            b = None if left == right else blocks[right]
             own, theirs, edges = block_links(*a, b, cosine)
             ids, n = a[1], own
             if b is not None:
@@ -328,9 +342,10 @@ def close_vectors(vectors: DataFrame, cosine: float = 0.95, block: int = BLOCK,
     dealt = celled.join(F.broadcast(parts), ["dims", "cell"])
     dealt = dealt.withColumn("part_no", F.pmod(F.xxhash64("unit"), F.col("parts")).cast("int"))
     grouped = dealt.groupBy("dims", "cell", "part_no").agg(F.collect_list(F.struct("id", "weight", "unit")).alias("part"))
+    folder = new_path(spark, "blocks")
     packed = settle(
         grouped.select("dims", "cell", "part").mapInArrow(
-            _pack, "block long, dims int, cell int, ids binary, weights binary, units binary, centre array<double>, reach double"
+            lambda it: _pack(it, folder), "block long, dims int, cell int, centre array<double>, reach double"
         ),
         "blocks",
     )
@@ -343,9 +358,10 @@ def close_vectors(vectors: DataFrame, cosine: float = 0.95, block: int = BLOCK,
     pairs = pairs.where((F.col("cell_a") < b["cell_b"]) | (F.col("block_a") <= F.col("block_b")))
     pairs = pairs.where(gap <= F.col("reach_a") + F.col("reach_b") + limit + SLACK)
     todo = settle(pairs.select("block_a", "block_b"), "pairs")
-    left, right = (packed.select(*[F.col(c).alias(c + s) for c in ("block", "dims", "ids", "weights", "units")]) for s in ("_a", "_b"))
-    met = todo.join(left, "block_a").join(right, "block_b").repartition(max(1, min(4 * spark.sparkContext.defaultParallelism, todo.count())))
-    found = settle(met.mapInArrow(lambda it: _walk(it, cosine), "u long, v long, n long"), "found")
+    # pairs of numbers travel, blocks are read where they are compared; neighbouring pairs share a block
+    tasks = int(min(todo.count(), max(4 * spark.sparkContext.defaultParallelism, todo.count() // PAIRS)))
+    met = todo.repartitionByRange(max(1, tasks), "block_a", "block_b").sortWithinPartitions("block_a", "block_b")
+    found = settle(met.mapInArrow(lambda it: _walk(it, folder, cosine), "u long, v long, n long"), "found")
     counts = found.where("v is null").groupBy(F.col("u").alias("id")).agg(F.sum("n").alias("near"))
     labels = connected(found.where("v is not null").select("u", "v"))
     known = settle(

@@ -21,11 +21,9 @@ number of shards does.
 
 from __future__ import annotations
 
-import json
 from collections import OrderedDict
 from collections.abc import Iterator
 from dataclasses import dataclass, field
-from urllib.parse import urlparse
 
 import numpy as np
 import pandas as pd
@@ -34,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .runtime import new_path, settle, ship
+from .runtime import get_arrays, new_path, put_arrays, settle, ship
 
 _U = np.uint64
 #: Hashes of the end token (counted) and of the start of a text (context only).
@@ -169,40 +167,6 @@ def quantise(p: np.ndarray) -> np.ndarray:
 CODE = 10.0 ** (FLOOR * (np.arange(256) / 255) ** 2)
 
 
-def _put(fs_path: str, arrays: dict[str, np.ndarray]) -> None:
-    """Write arrays into one file: a JSON directory of fixed place, then 64-byte aligned bodies."""
-    from pyarrow import fs
-
-    where, place, at = {}, [], 1 << 12
-    for name, a in arrays.items():
-        a = np.ascontiguousarray(a)
-        where[name] = [a.dtype.str, len(a), at]
-        place.append((at, a))
-        at += -(-a.nbytes // 64) * 64
-    head = json.dumps(where).encode()
-    system, path = fs.FileSystem.from_uri(fs_path)
-    system.create_dir(path.rsplit("/", 1)[0], recursive=True)
-    with system.open_output_stream(path) as out:
-        out.write(head.ljust(1 << 12))
-        for at, a in place:
-            out.write(a.tobytes())
-            out.write(bytes(-a.nbytes % 64))
-
-
-def _get(fs_path: str) -> dict[str, np.ndarray]:
-    """Map the arrays of a file; read them where the folder is not a mounted one."""
-    from pyarrow import fs
-
-    if urlparse(fs_path).scheme in ("", "file"):
-        raw = np.memmap(urlparse(fs_path).path, np.uint8, mode="r").view(np.ndarray)
-    else:
-        system, path = fs.FileSystem.from_uri(fs_path)
-        with system.open_input_stream(path) as f:
-            raw = np.frombuffer(f.read(), np.uint8)
-    where = json.loads(raw[: 1 << 12].tobytes())
-    return {k: raw[at : at + n * np.dtype(kind).itemsize].view(kind) for k, (kind, n, at) in where.items()}
-
-
 def _nest(arrays: dict[str, np.ndarray], prefix: str) -> EliasFano:
     return EliasFano.of({k[len(prefix) :]: v for k, v in arrays.items() if k.startswith(prefix)})
 
@@ -265,7 +229,7 @@ class Trie:
 
     def level(self, kind: str, shard: int) -> dict:
         if (got := self.open.get((kind, shard))) is None:
-            got = _get(f"{self.at.folder}/{kind}-{shard}.bin")
+            got = get_arrays(f"{self.at.folder}/{kind}-{shard}.bin")
             self.size += sum(x.nbytes for x in got.values())
             for name in {k.split(".")[0] for k in got if "." in k}:
                 got[name] = _nest(got, f"{name}.")
@@ -523,7 +487,7 @@ def _build_words(part: pd.DataFrame, folder: str, bits: int, tokens: int) -> pd.
     hashes, counts = hashes[order], part["n"].to_numpy(np.int64)[order]
     wide = max(1, len(hashes).bit_length())
     bucket = np.searchsorted((hashes << _U(bits)) >> _U(64 - wide), np.arange((1 << wide) + 1, dtype=_U)).astype(np.uint32)
-    _put(f"{folder}/words-{shard}.bin", {"hash": hashes, "count": counts, "bucket": bucket})
+    put_arrays(f"{folder}/words-{shard}.bin", {"hash": hashes, "count": counts, "bucket": bucket})
     return _built(shard, counts, tokens)
 
 
@@ -539,7 +503,7 @@ def _build(part: pd.DataFrame, layout: Layout, kind: str) -> pd.DataFrame:
     value = (keys & _U((1 << level.value_bits) - 1)).astype(np.int64)
     above = layout.words_at if kind == "pairs" else layout.pairs.at
     up = int(np.searchsorted(above, first, "right")) - 1
-    context = _get(f"{layout.folder}/{'words' if kind == 'pairs' else 'paircounts'}-{up}.bin")
+    context = get_arrays(f"{layout.folder}/{'words' if kind == 'pairs' else 'paircounts'}-{up}.bin")
     context = _small_counts(context)[first - above[up] : stop - above[up]] if kind == "triples" else context["count"][first - above[up] : stop - above[up]]
     share = (counts - layout.discount) / context[owner]
     given = np.bincount(owner, weights=share, minlength=len(context))
@@ -547,10 +511,10 @@ def _build(part: pd.DataFrame, layout: Layout, kind: str) -> pd.DataFrame:
     pointers, following = _ranges(owner, value, len(context))
     if len(keys):
         arrays = {f"range.{k}": v for k, v in pointers.items()} | {f"next.{k}": v for k, v in following.items()}
-        _put(f"{layout.folder}/{kind}-{shard}.bin", arrays | {"share": quantise(share), "left": quantise(left)})
+        put_arrays(f"{layout.folder}/{kind}-{shard}.bin", arrays | {"share": quantise(share), "left": quantise(left)})
     if kind == "pairs" and len(keys):
         large = np.flatnonzero(counts >= 255)
-        _put(f"{layout.folder}/paircounts-{shard}.bin", {"small": np.minimum(counts, 255).astype(np.uint8), "where": large, "large": counts[large]})
+        put_arrays(f"{layout.folder}/paircounts-{shard}.bin", {"small": np.minimum(counts, 255).astype(np.uint8), "where": large, "large": counts[large]})
     return _built(shard, counts, layout.shard_tokens, float(share.sum()), int(np.bincount(owner).max(initial=0)))
 
 

@@ -6,9 +6,13 @@ Everything that has to outlive an executor is written below the folder named by
 
 from __future__ import annotations
 
+import json
 import os
 import tempfile
 import uuid
+from urllib.parse import urlparse
+
+import numpy as np
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -25,9 +29,12 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder; one of our own only where the session names none."""
+    """The cluster's shared folder; one of our own only where the session names none and all tasks run in this
+    process. A cluster without the setting raises an error: its machines share no local folder."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         base = os.path.join(tempfile.gettempdir(), f"sealed-frames-{os.getuid()}")
         spark.sparkContext.setCheckpointDir(f"file://{base}")
         base = f"file://{base}"
@@ -54,3 +61,37 @@ def small_side(df: DataFrame, most_rows: int) -> DataFrame:
     """A broadcast hint where the written table has at most ``most_rows`` rows, else ``df`` as it is
     (Spark then shuffles both sides and splits skewed partitions). ``df`` must be cheap to count."""
     return F.broadcast(df) if df.count() <= most_rows else df
+
+
+def put_arrays(fs_path: str, arrays: dict[str, np.ndarray]) -> None:
+    """Write arrays into one file: a JSON directory of fixed place, then 64-byte aligned bodies."""
+    from pyarrow import fs
+
+    where, place, at = {}, [], 1 << 12
+    for name, a in arrays.items():
+        a = np.ascontiguousarray(a)
+        where[name] = [a.dtype.str, len(a), at]
+        place.append((at, a))
+        at += -(-a.nbytes // 64) * 64
+    head = json.dumps(where).encode()
+    system, path = fs.FileSystem.from_uri(fs_path)
+    system.create_dir(path.rsplit("/", 1)[0], recursive=True)
+    with system.open_output_stream(path) as out:
+        out.write(head.ljust(1 << 12))
+        for at, a in place:
+            out.write(a.tobytes())
+            out.write(bytes(-a.nbytes % 64))
+
+
+def get_arrays(fs_path: str) -> dict[str, np.ndarray]:
+    """Map the arrays of a file; read them where the folder is not a mounted one."""
+    from pyarrow import fs
+
+    if urlparse(fs_path).scheme in ("", "file"):
+        raw = np.memmap(urlparse(fs_path).path, np.uint8, mode="r").view(np.ndarray)
+    else:
+        system, path = fs.FileSystem.from_uri(fs_path)
+        with system.open_input_stream(path) as f:
+            raw = np.frombuffer(f.read(), np.uint8)
+    where = json.loads(raw[: 1 << 12].tobytes())
+    return {k: raw[at : at + n * np.dtype(kind).itemsize].view(kind) for k, (kind, n, at) in where.items()}
