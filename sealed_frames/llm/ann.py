@@ -12,8 +12,9 @@ threshold. A rough score is off by no more than the query's norm times the resid
 rough score comes within that of the threshold is scored too, and what is left out can't be among the k
 best. Classes are then spread to their rows by smallest ids. Codes decide on the work only, not on the result.
 
-Codewords are fitted on a bounded sample; every vector is indexed. Queries are taken in blocks of
-bounded size, each broadcast to one scan of the index.
+Codewords are fitted on a bounded sample; every vector is indexed. Queries are written in blocks of
+bounded size to the shared folder; a task reads its part of the index once and takes the blocks one
+after the other. The driver sees neither queries nor vectors but the sample.
 """
 
 from __future__ import annotations
@@ -27,12 +28,12 @@ from pyspark.sql import functions as F
 
 from . import kernels as K
 from .embedding_dedup import usable_unit
-from .runtime import settle, ship
+from .runtime import get_arrays, new_path, put_arrays, settle, ship
 
 #: Vectors that codewords are fitted on; queries of a block; vectors of a chunk; classes of a chunk that set its threshold.
 SAMPLE, QUERIES, CHUNK, RERANK = 10_000, 4096, 4096, 192
-#: Numbers of gathered vectors that are held at a time.
-GATHERED = 1 << 21
+#: Numbers of gathered vectors that are held at a time; chunks that a task holds at a time.
+GATHERED, PARTS = 1 << 21, 16
 PIECE = 2
 
 
@@ -196,68 +197,96 @@ class _Top:
         self.scores[first + row[best], place[best]], self.ids[first + row[best], place[best]] = scores[best], ids[best]
 
 
-def _scan(batches: Iterator[pa.RecordBatch], shared, k: int, rerank: int) -> Iterator[pa.RecordBatch]:
-    q, query_ids, queries = shared.value
-    tables = q.tables(queries)
-    norms = np.sqrt((queries**2).sum(axis=1))
-    n = len(query_ids)
-    top = _Top(n, k)
-    seen = False
+class _Part:
+    """A chunk of the index as a scan uses it."""
+
+    def __init__(self, part: pa.RecordBatch):
+        self.ids = part.column(0).to_numpy()
+        vectors = part.column(2).to_pylist()
+        self.of, self.size, self.start, self.order, self.repeats = _classes(vectors, self.ids)
+        lead = self.order[self.start]
+        self.codes = np.frombuffer(b"".join(part.column(1).to_pylist()), np.uint8).reshape(len(self.ids), -1)[lead].T.copy()
+        self.vectors = np.frombuffer(b"".join(vectors), np.float64).reshape(len(self.ids), -1)[lead]
+        self.slack = part.column(3).to_numpy()[lead]
+        self.by_id = np.argsort(self.ids, kind="stable")
+        self.sorted_ids = self.ids[self.by_id]
+
+    def search(self, top: _Top, first: int, asked: np.ndarray, queries: np.ndarray, tables: np.ndarray, k: int, rerank: int) -> None:
+        """Enter what the chunk has for the queries from ``first`` on."""
+        size = self.size
+        rough = tables[:, 0].take(self.codes[0], axis=1)
+        for byte in range(1, len(self.codes)):
+            rough += tables[:, byte].take(self.codes[byte], axis=1)
+        open_ = np.ones(rough.shape, bool)
+        # a class without rows but the query's own is no candidate
+        lo, hi = np.searchsorted(self.sorted_ids, asked, "left"), np.searchsorted(self.sorted_ids, asked, "right")
+        own = np.repeat(np.arange(len(asked)), hi - lo)
+        pairs, count = np.unique(own * len(size) + self.of[self.by_id[K.spread(lo, hi - lo)]], return_counts=True)
+        pairs = pairs[count == size[pairs % len(size)]]
+        open_[pairs // len(size), pairs % len(size)] = False
+        rough[~open_] = -np.inf
+        # first the classes that look best
+        keep = min(max(rerank, k), len(size))
+        near = np.argpartition(rough, len(size) - keep, axis=1)[:, len(size) - keep :]
+        row, col = np.repeat(np.arange(len(asked)), keep), near.ravel()
+        exact = np.where(open_[row, col], exact_scores(self.vectors, queries, row, col), -np.inf)
+        threshold = top.scores[first : first + len(asked), k - 1].copy()
+        if keep >= k:
+            threshold = np.maximum(threshold, np.partition(exact.reshape(near.shape), keep - k, axis=1)[:, keep - k])
+        # then all that may reach the threshold
+        open_[row, col] = False
+        norms = np.sqrt((queries**2).sum(axis=1))
+        open_ &= ~(rough + norms[:, None] * self.slack < threshold[:, None])
+        more_row, more_col = np.nonzero(open_)
+        if len(more_row):
+            row, col = np.concatenate([row, more_row]), np.concatenate([col, more_col])
+            exact = np.concatenate([exact, exact_scores(self.vectors, queries, more_row, more_col)])
+        good = (exact >= threshold[row]) & np.isfinite(exact)
+        row, col, exact = row[good], col[good], exact[good]
+        members = np.minimum(size[col], k + self.repeats)
+        at = self.order[K.spread(self.start[col], members)]
+        row, exact = np.repeat(row, members), np.repeat(exact, members)
+        other = self.ids[at] != asked[row]
+        top.add(first, row[other], self.ids[at][other], exact[other])
+
+
+def _scan(batches: Iterator[pa.RecordBatch], q: Quantiser, folder: str, blocks: int, k: int, rerank: int) -> Iterator[pa.RecordBatch]:
+    """The k best of this part of the index for every query; ``PARTS`` chunks are held at a time."""
+    held: list[_Part] = []
+
+    def answers():
+        for b in range(blocks):
+            block = get_arrays(f"{folder}/queries-{b}.bin")
+            query_ids, queries = block["ids"], block["vectors"].reshape(len(block["ids"]), q.dims)
+            top = _Top(len(query_ids), k)
+            for a in range(0, len(query_ids), 256):
+                rows = slice(a, a + 256)
+                tables = q.tables(queries[rows])
+                for part in held:
+                    part.search(top, a, query_ids[rows], queries[rows], tables, k, rerank)
+            row, col = np.nonzero(np.isfinite(top.scores))
+            for i in range(0, len(row), 1 << 16):
+                r, c = row[i : i + (1 << 16)], col[i : i + (1 << 16)]
+                yield pa.RecordBatch.from_arrays([pa.array(query_ids[r]), pa.array(top.ids[r, c]), pa.array(top.scores[r, c])], names=["query_id", "vec_id", "score"])
+
     for batch in batches:
         for i in range(0, batch.num_rows, CHUNK):
-            part = batch.slice(i, CHUNK)
-            if not part.num_rows:
-                continue
-            seen = True
-            ids = part.column(0).to_numpy()
-            vectors = part.column(2).to_pylist()
-            of, size, start, order, repeats = _classes(vectors, ids)
-            lead = order[start]
-            codes = np.frombuffer(b"".join(part.column(1).to_pylist()), np.uint8).reshape(len(ids), -1)[lead]
-            v = np.frombuffer(b"".join(vectors), np.float64).reshape(len(ids), -1)[lead]
-            slack = part.column(3).to_numpy()[lead]
-            by_id = np.argsort(ids, kind="stable")
-            for a in range(0, n, 256):
-                rows = slice(a, min(a + 256, n))
-                asked, here = query_ids[rows], queries[rows]
-                rough = tables[rows, 0].take(codes[:, 0], axis=1)
-                for byte in range(1, codes.shape[1]):
-                    rough += tables[rows, byte].take(codes[:, byte], axis=1)
-                open_ = np.ones(rough.shape, bool)
-                # a class without rows but the query's own is no candidate
-                lo, hi = np.searchsorted(ids[by_id], asked, "left"), np.searchsorted(ids[by_id], asked, "right")
-                own = np.repeat(np.arange(len(asked)), hi - lo)
-                pairs, count = np.unique(own * len(size) + of[by_id[K.spread(lo, hi - lo)]], return_counts=True)
-                pairs = pairs[count == size[pairs % len(size)]]
-                open_[pairs // len(size), pairs % len(size)] = False
-                rough[~open_] = -np.inf
-                # first the classes that look best
-                keep = min(max(rerank, k), len(size))
-                near = np.argpartition(rough, len(size) - keep, axis=1)[:, len(size) - keep :]
-                row, col = np.repeat(np.arange(len(asked)), keep), near.ravel()
-                exact = np.where(open_[row, col], exact_scores(v, here, row, col), -np.inf)
-                threshold = top.scores[rows, k - 1].copy()
-                if keep >= k:
-                    threshold = np.maximum(threshold, np.partition(exact.reshape(near.shape), keep - k, axis=1)[:, keep - k])
-                # then all that may reach the threshold
-                open_[row, col] = False
-                open_ &= ~(rough + norms[rows, None] * slack < threshold[:, None])
-                more_row, more_col = np.nonzero(open_)
-                if len(more_row):
-                    row, col = np.concatenate([row, more_row]), np.concatenate([col, more_col])
-                    exact = np.concatenate([exact, exact_scores(v, here, more_row, more_col)])
-                good = (exact >= threshold[row]) & np.isfinite(exact)
-                row, col, exact = row[good], col[good], exact[good]
-                members = np.minimum(size[col], k + repeats)
-                at = order[K.spread(start[col], members)]
-                row, exact = np.repeat(row, members), np.repeat(exact, members)
-                other = ids[at] != asked[row]
-                top.add(a, row[other], ids[at][other], exact[other])
-    if seen:
-        row, col = np.nonzero(np.isfinite(top.scores))
-        for i in range(0, len(row), 1 << 16):
-            r, c = row[i : i + (1 << 16)], col[i : i + (1 << 16)]
-            yield pa.RecordBatch.from_arrays([pa.array(query_ids[r]), pa.array(top.ids[r, c]), pa.array(top.scores[r, c])], names=["query_id", "vec_id", "score"])
+            held.append(_Part(batch.slice(i, CHUNK)))
+            if len(held) == PARTS:
+                yield from answers()
+                held.clear()
+    if held:
+        yield from answers()
+
+
+def _write_queries(batches: Iterator[pa.RecordBatch], folder: str) -> Iterator[pa.RecordBatch]:
+    """A file for each row (block, vec_ids, vectors)."""
+    for batch in batches:
+        numbers = batch.column(0).to_pylist()
+        for r, number in enumerate(numbers):
+            part = batch.column(1)[r].values
+            put_arrays(f"{folder}/queries-{number}.bin", {"ids": part.field("vec_id").to_numpy(), "vectors": np.frombuffer(b"".join(part.field("vector").to_pylist()), np.float64)})
+        yield pa.RecordBatch.from_arrays([pa.array(numbers, pa.int64())], names=["block"])
 
 
 def neighbours(vectors: DataFrame, every: int = 20, k: int = 20, sample: int = SAMPLE, rerank: int = RERANK) -> DataFrame:
@@ -284,18 +313,15 @@ def neighbours(vectors: DataFrame, every: int = 20, k: int = 20, sample: int = S
     index = settle(rows.mapInArrow(lambda it: _index(it, q), "vec_id long, code binary, vector binary, slack double"), "index")
     total = index.count()
     scans = index.coalesce(max(1, -(-total // CHUNK)))
-    asked = settle(index.where(F.col("vec_id") % every == 0).groupBy("vec_id").agg(F.min("vector").alias("vector")), "queries")
-    blocks = max(1, -(-asked.count() // QUERIES))
-    found = None
-    for b in range(blocks):
-        block = asked.where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == b).collect()
-        if not block:
-            continue
-        ids = np.array([r["vec_id"] for r in block], np.int64)
-        shared = spark.sparkContext.broadcast((q, ids, np.frombuffer(b"".join(r["vector"] for r in block), np.float64).reshape(len(ids), dims)))
-        part = scans.mapInArrow(lambda it, s=shared: _scan(it, s, k, rerank), "query_id long, vec_id long, score double")
-        found = part if found is None else found.unionByName(part)
-    if found is None:
+    asked = index.where(F.col("vec_id") % every == 0).groupBy("vec_id").agg(F.min("vector").alias("vector"))
+    blocks = max(1, -(-index.where(F.col("vec_id") % every == 0).count() // QUERIES))
+    folder = new_path(spark, "queries")
+    dealt = asked.groupBy(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).alias("block")).agg(F.collect_list(F.struct("vec_id", "vector")).alias("part"))
+    written = {r["block"] for r in settle(dealt.mapInArrow(lambda it: _write_queries(it, folder), "block long"), "written").collect()}
+    if not written:
         return spark.createDataFrame([], schema)
+    for b in set(range(blocks)) - written:  # a block that no query fell to
+        put_arrays(f"{folder}/queries-{b}.bin", {"ids": np.zeros(0, np.int64), "vectors": np.zeros(0)})
+    found = scans.mapInArrow(lambda it: _scan(it, q, folder, blocks, k, rerank), "query_id long, vec_id long, score double")
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
     return found.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
