@@ -255,10 +255,12 @@ class Pieces:
         fresh[1:] = self.cut[body[:-1], body[1:]]
         fresh[offsets[:-1][full]] = True
         start = np.flatnonzero(fresh)
-        end = np.append(start[1:], len(body))
-        _, first, which = np.unique(K.span_hashes(body, start, end), return_index=True, return_inverse=True)
-        raw = body.tobytes()
-        found = [self.fragment(raw[a:b]) for a, b in zip(start[first].tolist(), end[first].tolist())]
+        # fragments lie end to end: equal ones, byte by byte, are encoded once
+        edges = np.append(start, len(body)).astype(np.int64)
+        spans = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(start), [None, pa.py_buffer(edges), pa.py_buffer(np.ascontiguousarray(body))])
+        coded = spans.dictionary_encode()
+        which = coded.indices.to_numpy()
+        found = [self.fragment(x) for x in coded.dictionary.to_pylist()]
         size = np.fromiter(map(len, found), np.int64, len(found))
         flat = np.fromiter((i for ids in found for i in ids), np.uint32, int(size.sum()))
         begin = np.cumsum(size) - size

@@ -82,6 +82,21 @@ def test_neighbours_recall_and_scores(spark):
     assert got.query_id.nunique() == 150 and hits / (150 * 20) >= 0.95
 
 
+def test_neighbours_among_50_000(spark):
+    rng = np.random.default_rng(12)
+    x = np.float32(rng.normal(size=(50_000, 24)) + rng.normal(size=(40, 24))[rng.integers(0, 40, 50_000)]).astype(float)
+    ids = rng.permutation(50_000)
+    df = spark.createDataFrame(__import__("pandas").DataFrame({"vec_id": ids, "embedding": x.tolist()}), "vec_id long, embedding array<double>").repartition(6)
+    got = ann.neighbours(df, every=250).toPandas()
+    assert got.query_id.nunique() == 200
+    hits = 0
+    for q, g in got.groupby("query_id"):
+        s = x @ x[ids == q][0]
+        s[ids == q] = -np.inf
+        hits += len(set(ids[np.argsort(-s)[:20]]) & set(g.vec_id))
+    assert hits >= 0.999 * 200 * 20
+
+
 def test_neighbours_among_copies(spark):
     """A third of the rows are copies, another third near copies: ids are exact all the same, ties to smaller ids."""
     rng = np.random.default_rng(9)
