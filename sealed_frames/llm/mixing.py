@@ -16,6 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..core.position import POS, running_sum, with_positions
 from . import kernels as K
 from .runtime import settle, ship, small_side
 
@@ -48,23 +49,32 @@ def sized(docs: DataFrame) -> DataFrame:
     return found.withColumn("place", place_of("doc_id"))
 
 
-def targets(sums: DataFrame, weights: tuple[float, ...] = (5, 2, 1), most: int = 3) -> DataFrame:
-    """(source, source_size, target) from (source, source_size), one row per source.
+def targets(sums: DataFrame, weights: tuple[float, ...] = (5, 2, 1), most: int = 3, few: int = BROADCAST_SOURCES) -> DataFrame:
+    """(source, source_size, target) from (source, source_size), one row per source, in a written table.
 
     Sources in code point order, null last, weigh ``weights`` in turn. Every target is the smaller of
     ``most`` times the source's size and weight times one common level; the level at which targets add
     up to all sizes is the largest of those found with the 0, 1, 2, ... most easily filled sources full.
+    Up to ``few`` sources are ordered in one task; more by ranges, with running sums over blocks.
     """
-    rank = F.row_number().over(Window.orderBy(F.col("source").asc_nulls_last())) - 1
-    w = F.element_at(F.array(*[F.lit(float(x)) for x in weights]), (rank % len(weights) + 1).cast("int"))
-    ranked = sums.withColumn("w", w).withColumn("cap", F.col("source_size") * most)
-    before = Window.orderBy((F.col("cap") / F.col("w")).asc(), F.col("source").asc_nulls_last()).rowsBetween(Window.unboundedPreceding, -1)
-    whole = Window.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    level = (F.sum("source_size").over(whole) - F.coalesce(F.sum("cap").over(before), F.lit(0))).cast("double") / (
-        F.sum("w").over(whole) - F.coalesce(F.sum("w").over(before), F.lit(0.0))
-    )
-    leveled = ranked.withColumn("level", level).withColumn("level", F.max("level").over(whole))
-    return leveled.select("source", "source_size", F.least(F.col("cap").cast("double"), F.col("level") * F.col("w")).alias("target"))
+    by_name, by_fill = [F.col("source").asc_nulls_last()], [(F.col("cap") / F.col("w")).asc(), F.col("source").asc_nulls_last()]
+    small = sums.count() <= few
+    ranked = sums.withColumn("rank", F.row_number().over(Window.orderBy(*by_name)) - 1) if small else with_positions(sums, by_name, name="rank")
+    w = F.element_at(F.array(*[F.lit(float(x)) for x in weights]), (F.col("rank") % len(weights) + 1).cast("int"))
+    ranked = ranked.withColumn("w", w).withColumn("cap", F.col("source_size") * most)
+    if small:
+        upto = Window.orderBy(*by_fill).rowsBetween(Window.unboundedPreceding, Window.currentRow)
+        ranked = ranked.withColumn("caps", F.sum("cap").over(upto)).withColumn("ws", F.sum("w").over(upto))
+    else:
+        ranked = with_positions(ranked, by_fill)
+        ranked = running_sum(running_sum(ranked, "cap", "caps"), "w", "ws").drop(POS)
+    ranked = settle(ranked, "ranked")
+    whole = ranked.agg(F.sum("source_size").alias("size"), F.sum("w").alias("w")).first()
+    if whole["w"] is None:
+        return ranked.select("source", "source_size", F.lit(0.0).alias("target"))
+    level = (F.lit(whole["size"]) - F.col("caps") + F.col("cap")).cast("double") / (F.lit(whole["w"]) - F.col("ws") + F.col("w"))
+    top = ranked.agg(F.max(level)).first()[0]
+    return ranked.select("source", "source_size", F.least(F.col("cap").cast("double"), F.lit(float(top)) * F.col("w")).alias("target"))
 
 
 def thresholds(rows: DataFrame, budgets: DataFrame) -> DataFrame:

@@ -44,6 +44,18 @@ def test_targets_and_nearness(spark):
     assert words == {s: t for s, t in taken.items() if t}
 
 
+def test_targets_of_many_sources(spark):
+    """The same targets by ranges and running sums as in one task."""
+    rng = random.Random(7)
+    sizes = {f"s{i:03}é"[: rng.randrange(3, 6)] + str(i): rng.choice([0, 1, 5, 40, 900]) for i in range(120)} | {None: 33}
+    sums = M.settle(spark.createDataFrame(list(sizes.items()), "source string, source_size long"), "sums")
+    want = plain_targets(sizes)
+    for few in (0, 1000):
+        got = {r.source: r.target for r in M.targets(sums, few=few).collect()}
+        assert got.keys() == want.keys() and all(abs(got[s] - want[s]) < 1e-6 for s in want)
+        assert M.targets(M.settle(sums.limit(0), "none"), few=few).count() == 0
+
+
 def test_budgets_nest(spark):
     docs = spark.createDataFrame([(i, "s", "w w w") for i in range(400)], "doc_id long, source string, text string")
     rows = M.settle(M.sized(docs), "t")

@@ -34,3 +34,13 @@ def test_stages_against_plain_versions(spark, tiny):
 
 def test_contract():
     assert [name for name, _ in corpus_pipeline.STAGES] == ["toxicity", "near_duplicates", "mixing", "sentencepiece"]
+
+
+def test_empty_documents_and_no_labels(spark, tiny, tmp_path):
+    docs, labels = spark.read.parquet(f"{tiny}/documents.parquet"), spark.read.parquet(f"{tiny}/labels.parquet")
+    for name, d, k in (("none", docs.limit(0), labels), ("unlabelled", docs.limit(30), labels.limit(0))):
+        d.write.parquet(f"{tmp_path}/{name}/documents.parquet")
+        k.write.parquet(f"{tmp_path}/{name}/labels.parquet")
+        got = corpus_pipeline.run(spark, f"{tmp_path}/{name}")
+        assert got.columns == ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
+        assert (got.count() > 0) == (name != "none")

@@ -7,28 +7,30 @@ from sealed_frames.llm import toxicity as T
 DOCS = "doc_id long, text string, score string, row int"
 
 
-def test_pairs_weigh_what_single_terms_do_not():
-    """insult and group each appear equally in both classes; only together are they toxic."""
+def test_margins_are_sums_over_all_pairs():
+    """Against the plain sum over single terms and pairs of terms."""
+    rng = np.random.default_rng(3)
+    model = T.FactorizationMachine(np.arange(30, dtype=np.uint32), 0.3, rng.normal(size=30), rng.normal(size=(30, 5)))
+    rows = [sorted(rng.choice(30, rng.integers(0, 12), replace=False).tolist()) for _ in range(40)]
+    row, index = np.repeat(np.arange(40), [len(r) for r in rows]), np.array([i for r in rows for i in r], np.int64)
+    want = [0.3 + sum(model.weight[i] for i in r) + sum(model.factor[i] @ model.factor[j] for n, i in enumerate(r) for j in r[n + 1 :]) for r in rows]
+    assert np.allclose(model.margins(row, index, 40), want)
+
+
+def test_pairs_weigh_what_single_terms_do_not(spark):
+    """insult and group appear equally in both classes of 4,000 texts; only together (or neither) are they toxic."""
     rng = random.Random(1)
+    filler = ["".join(rng.choice("bcdfgklmnprst") + rng.choice("aeiou") for _ in range(3)) for _ in range(60)]
     rows, labels = [], []
-    for i in range(1200):
+    for i in range(4000):
         a, b = rng.random() < 0.5, rng.random() < 0.5
-        rows.append(sorted({1 if a else 2, 3 if b else 4}))
-        labels.append(float(a == b))
-    row = np.repeat(np.arange(len(rows)), 2)
-    term = np.array(rows, np.uint32).ravel()
-    import sealed_frames.llm.toxicity as module
-
-    keep = module.choose_terms
-    module.choose_terms = lambda *a, **k: np.array([1, 2, 3, 4], np.uint32)  # no single term tells the classes apart
-    try:
-        model = T.fit(row, term, np.array(labels), steps=600)
-    finally:
-        module.choose_terms = keep
-    margin = model.margins(row, model.find(term), len(rows))
-    assert ((margin > 0) == (np.array(labels) == 1)).mean() > 0.99
-    bare = model.bias + np.array([model.weight[model.find(np.array(r, np.uint32))].sum() for r in rows])
-    assert ((bare > 0) == (np.array(labels) == 1)).mean() < 0.8
+        words = [rng.choice(filler) for _ in range(6)] + ["zoteff"] * a + ["quablin"] * b
+        rng.shuffle(words)
+        rows.append((i, " ".join(words)))
+        labels.append((i, int(a == b)))
+    docs, known = spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(labels, "doc_id long, toxic int")
+    got = T.held_out_scores(docs, known).join(known, "doc_id").where("held_out").toPandas()
+    assert len(got) > 600 and (got.predicted == got.toxic).mean() > 0.95
 
 
 def test_pairs_count_with_the_choice_of_terms_as_it_is():
