@@ -48,6 +48,45 @@ def baseline_quadratic_shared(spark, sf_dir):
     return one.groupBy("g").applyInPandas(run, "n_nationkey int, n long")
 
 
+@baseline("SELECT CAST(n_regionkey AS BIGINT) AS n_regionkey, count(*) AS n FROM N JOIN S ON n_nationkey = s_nationkey GROUP BY ALL")
+def baseline_quadratic_engine(spark, sf_dir):
+    """A join and a grouping as the quadratic engine runs them on shares: all pairs are compared, a bitonic network
+    sorts all of them, padded to a power of two, and neighbours are scanned (L555, L858)."""
+    from ..plans.meter import padded
+    from ..share.blocks import seed_of
+    from ..share.join import run_ends, run_starts, scan
+    from ..share.protocols import Shared
+    from ..share.sorting import apply_sharded_all, network_sort, sharded_permutation
+    from ..workloads.shared import gathered, tables_of
+
+    nations = table(spark, sf_dir, "nation").df.select("n_nationkey", "n_regionkey")
+    sellers = table(spark, sf_dir, "supplier").df.select("s_nationkey")
+    columns = {"n": nations.columns, "s": sellers.columns}
+
+    def run(part: pd.DataFrame) -> pd.DataFrame:
+        t = tables_of(part, columns)
+        p = PROTOCOLS["3p"](seed_of(len(part)))
+        keys, regions, theirs = (p.share(x, True) for x in (t["n"]["n_nationkey"], t["n"]["n_regionkey"], t["s"]["s_nationkey"]))
+        n, m = len(keys), len(theirs)
+        each = lambda s: Shared(np.repeat(s.terms, m, axis=1), True)
+        hit = C.equal(p, each(keys), Shared(np.tile(theirs.terms, n), True), 8)
+        none = p.public(np.full(n * m, 15), True)  # sorts behind all regions
+        key = C.choose(p, hit, none, each(regions))
+        size = padded(n * m)
+        key = Shared(np.concatenate([key.terms, p.public(np.full(size - n * m, 15), True).terms], axis=1), True)
+        key, _ = network_sort(p, key, "bitonic", 4)
+        valid = C.greater(p, p.public(np.full(size, 15), True), key, 4)
+        starts = run_starts(p, key, 4)
+        counts = scan(p, starts, {"n": ("sum", C.bit_to_arithmetic(p, valid))})["n"]
+        ok = p.and_(run_ends(p, starts), valid, 1)
+        masked = [p.and_(C.widen(p, ok), key), p.mul(C.bit_to_arithmetic(p, ok), counts), ok]
+        key, counts, ok = (p.open(s) for s in apply_sharded_all(p, sharded_permutation(p, size, 5), masked))
+        keep = (ok & np.uint64(1)) == 1
+        return pd.DataFrame({"n_regionkey": key[keep].astype(np.int64), "n": counts[keep].astype(np.int64)})
+
+    return gathered({"n": nations, "s": sellers}).groupBy(F.lit(0).alias("g")).applyInPandas(run, "n_regionkey long, n long")
+
+
 @baseline("SELECT count(*) AS n FROM N JOIN S ON n_nationkey = s_nationkey JOIN R ON r_regionkey = n_regionkey")
 def baseline_cartesian_cascade(spark, sf_dir):
     """A chain of quadratic joins: the intermediate has the product of all sizes."""
@@ -56,11 +95,12 @@ def baseline_cartesian_cascade(spark, sf_dir):
     return second.aggregate([], n=("count", "*")).reveal()
 
 
-@baseline("SELECT o_orderpriority, count(*) AS n FROM O JOIN L ON o_orderkey = l_orderkey GROUP BY ALL")
+@baseline("SELECT o_orderpriority, count(*) AS n, count(DISTINCT o_orderkey) AS left_rows_revealed, count(*) AS right_rows_revealed FROM O JOIN L ON o_orderkey = l_orderkey GROUP BY ALL")
 def baseline_leaky(spark, sf_dir):
-    """Which rows match is revealed, then everything goes on in the clear (L20, L861)."""
+    """Which rows match is revealed, then everything goes on in the clear (L20, L861); with what the parties learn:
+    how many rows of either side they know to have met."""
     met = table(spark, sf_dir, "orders").df.join(table(spark, sf_dir, "lineitem").df.drop("__ok"), F.col("o_orderkey") == F.col("l_orderkey"))
-    return met.groupBy("o_orderpriority").agg(F.count("*").alias("n"))
+    return met.groupBy("o_orderpriority").agg(F.count("*").alias("n"), F.countDistinct("o_orderkey").alias("left_rows_revealed"), F.count("*").alias("right_rows_revealed"))
 
 
 @baseline("""SELECT count(*) AS whole, CAST(sum(CASE WHEN k <= 3 THEN 1 ELSE 0 END) AS BIGINT) AS kept FROM (SELECT row_number() OVER (PARTITION BY o_orderkey ORDER BY price, qty, disc, l_partkey, l_suppkey) AS k FROM O JOIN L ON o_orderkey = l_orderkey)""")

@@ -203,7 +203,7 @@ def join_cyclic_fallback(t):
     return f.aggregate([], n=("count", "*"))
 
 
-@query("SELECT c_mktsegment, CAST(sum(val) AS BIGINT) AS v, CAST(sum(qty) AS BIGINT) AS q, CAST(sum(c_bal) AS BIGINT) AS b, count(*) AS n FROM C JOIN E ON c_custkey = user_id JOIN O ON c_custkey = o_custkey JOIN L ON o_orderkey = l_orderkey GROUP BY ALL")
+@query("SELECT c_mktsegment, CAST(sum(val) AS BIGINT) AS v, CAST(sum(qty) AS BIGINT) AS q, CAST(sum(c_bal) AS BIGINT) AS b, count(*) AS n, CAST(min(val) AS BIGINT) AS lo, CAST(max(qty) AS BIGINT) AS hi, CAST(sum(qty) // count(*) AS BIGINT) AS mean FROM C JOIN E ON c_custkey = user_id JOIN O ON c_custkey = o_custkey JOIN L ON o_orderkey = l_orderkey GROUP BY ALL")
 def join_chain_four_way(t):
     """Four tables, duplicates everywhere: sums of three of them and a count, by multiplicities."""
     from ..plans.chain import chain_aggregate
@@ -212,4 +212,4 @@ def join_chain_four_way(t):
         "c": t("customer").project("c_custkey", "c_mktsegment", "c_bal"), "e": t("events").project("user_id", "val"), "o": t("orders").project("o_orderkey", "o_custkey"), "l": t("lineitem").project("l_orderkey", "qty"),
     }
     joins = [(("c", "c_custkey"), ("e", "user_id")), (("c", "c_custkey"), ("o", "o_custkey")), (("o", "o_orderkey"), ("l", "l_orderkey"))]
-    return chain_aggregate(tables, joins, "c", ["c_mktsegment"], {"v": ("e", "val"), "q": ("l", "qty"), "b": ("c", "c_bal")}, "n")
+    return chain_aggregate(tables, joins, "c", ["c_mktsegment"], {"v": ("e", "val"), "q": ("l", "qty"), "b": ("c", "c_bal")}, "n", {"lo": ("min", "e", "val"), "hi": ("max", "l", "qty")}, {"mean": ("l", "qty")})

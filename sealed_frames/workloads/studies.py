@@ -297,6 +297,27 @@ def meter_preprocess(spark, sf_dir):
     return done.groupBy("n").agg(F.max("levels").alias("levels"), F.max("compared").alias("compared"), F.max("reserved").alias("reserved"))
 
 
+@study("SELECT * FROM (VALUES ('per_gate', CAST(20 AS BIGINT), CAST(20 + 20 * 10 AS BIGINT), true), ('batched', 20, 20 + 1, true)) t(checks, products, rounds, right_)")
+def meter_four_party_checks(spark, sf_dir):
+    """The four-party protocol with copies compared gate by gate, as first published, and in one batch at the end, as
+    patched: the same products, and ten comparisons a gate in rounds of their own against one (P8)."""
+
+    def one(part: pd.DataFrame) -> pd.DataFrame:
+        rows = []
+        for checks in part["checks"]:
+            p = PROTOCOLS["4p"](seed_of(4), check=checks)
+            x, want = p.share(np.arange(1, 9), False), np.arange(1, 9, dtype=U)
+            y = x
+            for _ in range(20):
+                y, want = p.mul(y, x), want * np.arange(1, 9, dtype=U)
+            if checks == "batched":
+                p.verify()
+            rows.append((checks, 20, p.meter.rounds, bool((p.value(y) == want).all())))
+        return pd.DataFrame(rows, columns=["checks", "products", "rounds", "right_"])
+
+    return spark.createDataFrame([("per_gate",), ("batched",)], "checks string").groupBy("checks").applyInPandas(one, "checks string, products long, rounds long, right_ boolean")
+
+
 # -- triples -----------------------------------------------------------------------------------------------
 
 ELLS = (8, 16, 32, 64, 128)

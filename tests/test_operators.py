@@ -274,11 +274,11 @@ def test_chains_against_brute_force(spark):
     met = [(p, q, r, s) for p in a for q in b for r in c for s in d if p[0] == q[0] and q[1] == r[0] and p[1] == s[0]]
     tables = {"a": seal(spark.createDataFrame(a, "x long, w long, g long")), "b": seal(spark.createDataFrame(b, "x long, y long, vb long")), "c": seal(spark.createDataFrame(c, "y long, vc long")), "d": seal(spark.createDataFrame(d, "w long, vd long"))}
     joins = [(("a", "x"), ("b", "x")), (("b", "y"), ("c", "y")), (("a", "w"), ("d", "w"))]
-    got = chain_aggregate(tables, joins, "a", ["g"], {"sb": ("b", "vb"), "sc": ("c", "vc"), "sd": ("d", "vd")}, "n").reveal().collect()
+    got = chain_aggregate(tables, joins, "a", ["g"], {"sb": ("b", "vb"), "sc": ("c", "vc"), "sd": ("d", "vd")}, "n", {"lo": ("min", "c", "vc"), "hi": ("max", "d", "vd")}, {"mean": ("b", "vb")}).reveal().collect()
     want = {}
     for p, q, r, s in met:
-        sb, sc, sd, n = want.get(p[2], (0, 0, 0, 0))
-        want[p[2]] = (sb + q[2], sc + r[1], sd + s[1], n + 1)
-    assert {r.g: (r.sb, r.sc, r.sd, r.n) for r in got} == want
+        sb, sc, sd, n, lo, hi = want.get(p[2], (0, 0, 0, 0, 99, 0))
+        want[p[2]] = (sb + q[2], sc + r[1], sd + s[1], n + 1, min(lo, r[1]), max(hi, s[1]))
+    assert {r.g: (r.sb, r.sc, r.sd, r.n, r.lo, r.hi) for r in got} == want and all(r["mean"] == r.sb // r.n for r in got)
     with pytest.raises(ValueError):
         chain_aggregate(tables, [*joins, (("c", "vc"), ("d", "vd"))], "a", ["g"], count="n")
