@@ -117,7 +117,7 @@ def distinct(frame: SealedFrame, keys: Sequence[str]) -> SealedFrame:
     if frame.public.tier == "clear":
         df = frame.df.where(OK).select(*keys).distinct().withColumn(OK, F.lit(True))
         return SealedFrame(df, Public(frame.public.rows, (frozenset(keys),), (*frame.public.trace, "distinct"), "clear"))
-    return mark_first(frame, keys)
+    return mark_first(frame, keys).project(*keys)
 
 
 def mark_first(frame: SealedFrame, keys: Sequence[str]) -> SealedFrame:

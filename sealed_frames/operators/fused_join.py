@@ -60,7 +60,7 @@ def fused_join(
     rows and take duplicates on both sides. copy: left columns wanted (default: all). extra: a further
     condition, applied to joined rows of an inner join (L684). aggs: aggregates of the joined rows by
     ``agg_keys`` (default: the join keys). outer_mode "carrier" leaves matched left rows of left and full
-    joins in place as rows of their own (L670-680). trim: in the padded tier, cut to the size of the
+    joins in place as rows of their own (L670-680). auto aggregates right rows early where that is the same. trim: in the padded tier, cut to the size of the
     right side where the public rule says so.
     """
     if how not in TYPES:
@@ -78,6 +78,11 @@ def fused_join(
         strategy = "stacked" if by_key and not small else "native"
         if left.public.tier == "padded" and (how in ("semi", "anti") or left.is_unique(keys)):
             strategy = "stacked"  # native joins drop rows
+        if strategy == "stacked" and aggs and _early(left, right, keys, how, aggs, extra):
+            # partial sums of the right side are formed before rows are exchanged: a heavy key is a row per task
+            by = [*keys, *[c for c in agg_keys or () if c in right.columns and c not in keys]]
+            right = right.aggregate(by, **aggs)
+            aggs = {o: (fn if fn in ("min", "max") else "sum", o) for o, (fn, _) in aggs.items()}
     if strategy == "native":
         df = _native(left, right, keys, wanted, how)
     elif strategy == "stacked":
@@ -101,6 +106,13 @@ def fused_join(
     return out.aggregate(list(agg_keys or keys), **aggs) if aggs else out
 
 
+def _early(left: SealedFrame, right: SealedFrame, keys: list[str], how: str, aggs: Mapping[str, tuple], extra) -> bool:
+    """Whether right rows may be aggregated before an inner join with unique left keys."""
+    own = lambda c: isinstance(c, str) and (c == "*" or c in right.columns)
+    simple = all(fn in ("sum", "count", "min", "max") and own(c) for fn, c in aggs.values())
+    return how == "inner" and extra is None and simple and left.public.tier == "clear" and left.is_unique(keys) and not set(aggs) & {*left.columns, *right.columns}
+
+
 def _native(left: SealedFrame, right: SealedFrame, keys: list[str], wanted: list[str], how: str) -> DataFrame:
     a, b = left.df.where(OK).drop(OK), right.df.where(OK).drop(OK)
     if how in ("semi", "anti"):

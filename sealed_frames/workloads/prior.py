@@ -8,7 +8,7 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from ..core.frame import SealedFrame
+from ..core.frame import OK, SealedFrame
 from ..operators.aggregate import combine, partials
 from ..operators.fused_join import aggregate_join, cartesian_join
 from .tables import PRELUDE, revenue, table
@@ -42,7 +42,8 @@ def prior_first_example(t):
 def prior_recurrence(t):
     """Users with two successive errors one to two days apart."""
     f = t("events").filter("event_type = 'error'").with_col("us", F.expr("timestampdiff(MICROSECOND, timestamp_ntz'1970-01-01 00:00:00', cast(ts as timestamp_ntz))"))
-    gap = F.col("us") - F.lag("us").over(Window.partitionBy("user_id").orderBy("ts", "event_id"))
+    # neighbours among valid rows only, for tiers that keep the others
+    gap = F.col("us") - F.lag("us").over(Window.partitionBy(OK, "user_id").orderBy("ts", "event_id"))
     return f.with_col("gap", gap).filter(F.col("gap").between(86_400_000_000, 2 * 86_400_000_000)).distinct("user_id")
 
 

@@ -240,6 +240,32 @@ def test_partials_combine(spark):
     assert mark_first(f, ["g"]).reveal().count() == 3 and f.distinct("g").reveal().count() == 3
 
 
+def test_trimming_keeps_valid_rows_and_the_public_size(spark):
+    left = frame(spark, [(i, i * 10, i % 3 != 0) for i in range(40)], "k long, a long", [["k"]], "padded")
+    right = frame(spark, [(i % 50, i, i % 4 != 0) for i in range(90)], "k long, b long", tier="padded")
+    whole = left.join(right, "k", strategy="stacked", trim="never")
+    cut = left.join(right, "k", strategy="stacked", trim="always")
+    assert whole.df.count() == 130 and cut.df.count() == 90 == cut.public.rows
+    assert sorted(map(tuple, cut.reveal().collect())) == sorted(map(tuple, whole.reveal().collect()))
+    assert cut.reveal().count() == sum(i % 4 != 0 and i % 50 < 40 and i % 50 % 3 != 0 for i in range(90))
+
+
+def test_right_rows_are_aggregated_before_they_are_exchanged(spark):
+    keep = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        left = frame(spark, [(i, i + 5, i != 3) for i in range(10)], "k long, a long", [["k"]])
+        right = frame(spark, [(0 if i % 2 else i % 12, i, i % 7 != 0) for i in range(400)], "k long, b long")
+        aggs = {"s": ("sum", "b"), "n": ("count", "*"), "lo": ("min", "b"), "hi": ("max", "b")}
+        early = left.join(right, "k", aggs=aggs)
+        late = left.join(right, "k", strategy="stacked", aggs=aggs)
+        assert early.public.trace.count("aggregate") == 2 and late.public.trace.count("aggregate") == 1
+        got = [sorted((r.k, r.s, r.n, r.lo, r.hi) for r in f.reveal().collect()) for f in (early, late)]
+        assert got[0] == got[1] and [r[0] for r in got[0]] == [0, 2, 4, 6, 8]
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", keep)
+
+
 def test_trim_rule():
     assert [should_trim(n, m) for n, m in ((1500, 15_000), (15_000, 60_000), (25, 100), (1_500_000, 6_000_000))] == [False, True, False, True]
 
