@@ -214,3 +214,34 @@ def join_chain_four_way(t):
     }
     joins = [(("c", "c_custkey"), ("e", "user_id")), (("c", "c_custkey"), ("o", "o_custkey")), (("o", "o_orderkey"), ("l", "l_orderkey"))]
     return chain_aggregate(tables, joins, "c", ["c_mktsegment"], {"v": ("e", "val"), "q": ("l", "qty"), "b": ("c", "c_bal")}, "n", {"lo": ("min", "e", "val"), "hi": ("max", "l", "qty")}, {"mean": ("l", "qty")})
+
+
+def _planned(kind: str):
+    """Queries whose plan follows from their class."""
+    from ..plans.choose import join_aggregate
+
+    def run(t):
+        c, o = t("customer").project("c_custkey", "c_mktsegment"), t("orders").project("o_orderkey", "o_custkey", "o_total")
+        if kind == "one_to_many":
+            tables = {"l": t("lineitem").project("l_orderkey", "qty"), "o": o, "c": c}
+            joins = [(("c", "c_custkey"), ("o", "o_custkey")), (("o", "o_orderkey"), ("l", "l_orderkey"))]
+            out, found = join_aggregate(tables, joins, "c", ["c_mktsegment"], {"q": ("l", "qty"), "v": ("o", "o_total")}, "n")
+        elif kind == "early_aggregation":
+            tables = {"e": t("events").project("user_id", "event_type"), "o": o}
+            out, found = join_aggregate(tables, [(("e", "user_id"), ("o", "o_custkey"))], "e", ["event_type"], {"v": ("o", "o_total")}, "n")
+        else:
+            n = t("nation").with_col("m", F.col("n_nationkey") % 5).project("n_nationkey", "n_regionkey", "m")
+            tables = {"a": n, "b": n, "c": n}
+            joins = [(("a", "n_regionkey"), ("b", "n_regionkey")), (("b", "m"), ("c", "m")), (("c", "n_regionkey"), ("a", "m"))]
+            out, found = join_aggregate(tables, joins, "a", ["n_regionkey"], {"s": ("c", "n_nationkey")}, "n")
+        if found != kind:
+            raise AssertionError(found)
+        return out
+
+    run.__name__ = f"join_planned_{kind}"
+    return run
+
+
+query("SELECT c_mktsegment, CAST(sum(qty) AS BIGINT) AS q, CAST(sum(o_total) AS BIGINT) AS v, count(*) AS n FROM C JOIN O ON c_custkey = o_custkey JOIN L ON o_orderkey = l_orderkey GROUP BY ALL")(_planned("one_to_many"))
+query("SELECT event_type, CAST(sum(o_total) AS BIGINT) AS v, count(*) AS n FROM E JOIN O ON user_id = o_custkey GROUP BY ALL")(_planned("early_aggregation"))
+query("SELECT a.n_regionkey, CAST(sum(c.n_nationkey) AS BIGINT) AS s, count(*) AS n FROM N a JOIN N b ON a.n_regionkey = b.n_regionkey JOIN N c ON b.n_nationkey % 5 = c.n_nationkey % 5 AND c.n_regionkey = a.n_nationkey % 5 GROUP BY ALL")(_planned("cartesian"))
