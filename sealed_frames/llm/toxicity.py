@@ -82,10 +82,17 @@ def choose_terms(term: np.ndarray, least_rows: int = LEAST_ROWS) -> np.ndarray:
     return distinct[rows >= least_rows]
 
 
+def _parts(n: int):
+    """Slices of a long vector, so that what is made from it stays small."""
+    return (slice(i, i + (1 << 20)) for i in range(0, n, 1 << 20))
+
+
 def telling(row: np.ndarray, index: np.ndarray, label: np.ndarray, size: int) -> np.ndarray:
     """Which of the ``size`` active terms have shares that differ between the classes by 4 standard errors."""
-    here = np.bincount(index, minlength=size).astype(float)
-    hits = np.bincount(index, weights=label[row], minlength=size)
+    here, hits = np.zeros(size), np.zeros(size)
+    for part in _parts(len(index)):
+        here += np.bincount(index[part], minlength=size)
+        hits += np.bincount(index[part], weights=label[row[part]], minlength=size)
     n, p = len(label), label.mean()
     z = (hits - here * p) / np.sqrt(np.maximum(here * p * (1 - p) * (1 - here / n) + 1e-9, 1e-9) + 0.25)
     return np.abs(z) >= 4
@@ -98,7 +105,9 @@ def fit(row: np.ndarray, term: np.ndarray, label: np.ndarray, factors: int = 8,
     if not n or label.min() == label.max():
         return FactorizationMachine(np.zeros(0, np.uint32), 4.0 if n and label[0] else -4.0, np.zeros(0), np.zeros((0, factors)))
     model = FactorizationMachine(choose_terms(term), 0.0, np.zeros(0), np.zeros((0, factors)))
-    index = model.find(term)
+    index = np.empty(len(term), np.int32)
+    for part in _parts(len(term)):
+        index[part] = model.find(term[part])
     row, index = row[index >= 0], index[index >= 0]
     size = len(model.active)
     rng = np.random.default_rng(7)
@@ -163,14 +172,16 @@ def train(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) ->
     picked = texts.join(F.broadcast(ids), "doc_id").select("doc_id", "toxic", "text")
     found = picked.mapInArrow(_sample_terms, "doc_id long, toxic int, terms array<int>").toArrow().combine_chunks()
     order = np.argsort(found["doc_id"].to_numpy(), kind="stable")
-    found = found.take(pa.array(order)).combine_chunks()
+    found = found.take(pa.array(order))
     label = found["toxic"].to_numpy().astype(float)
     lists = found["terms"].combine_chunks()
     lists = lists.chunk(0) if isinstance(lists, pa.ChunkedArray) and lists.num_chunks else lists
     if not len(label):
         return fit(np.zeros(0, np.int64), np.zeros(0, np.uint32), label)
-    counts = np.diff(lists.offsets.to_numpy())
-    return fit(np.repeat(np.arange(len(label)), counts), lists.flatten().to_numpy().view(np.uint32), label)
+    counts, term = np.diff(lists.offsets.to_numpy()), lists.flatten().to_numpy().view(np.uint32)
+    del found
+    K.give_back()
+    return fit(np.repeat(np.arange(len(label), dtype=np.int32), counts), term, label)
 
 
 def _score(batches: Iterator[pa.RecordBatch], model: FactorizationMachine) -> Iterator[pa.RecordBatch]:
