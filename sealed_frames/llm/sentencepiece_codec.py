@@ -25,11 +25,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .runtime import ship
+from .runtime import bound_batches, ship
 
 SPACE = "▁"
-#: Fragments whose ids a worker remembers, at most; the table is emptied when it is full.
-REMEMBERED = 300_000
+#: Fragments whose ids a worker remembers, at most; the table is emptied when it is full (some 15 MB).
+REMEMBERED = 1 << 16
+#: Pairs of tokens whose verdict a worker remembers, likewise.
+REMEMBERED_PAIRS = 1 << 17
 _NEVER = 1 << 60
 
 
@@ -189,6 +191,8 @@ class Pieces:
                     break
                 key = before << 20 | t
                 if (good := beside.get(key)) is None:
+                    if len(beside) >= REMEMBERED_PAIRS:
+                        beside.clear()
                     good = beside[key] = self.may_follow(names[before][0], names[t][0])
                 if good:
                     found = t
@@ -371,6 +375,7 @@ def encode_decode(docs: DataFrame, model_file: str, with_ids: bool = False) -> D
     """
     spark = docs.sparkSession
     ship(spark)
+    bound_batches(spark)
     shared = spark.sparkContext.broadcast(load_pieces(model_file))
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>, decoded string" * with_ids
     picked = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))

@@ -64,3 +64,20 @@ def test_documents(spark, pair, tiny):
     for r in docs.collect():
         ids = theirs.encode(r.text or "", add_bos=True, add_eos=True)
         assert got[r.doc_id].ids_sha256 == hashlib.sha256(np.array(ids, "<u4").tobytes()).hexdigest()
+
+
+def test_little_is_held_at_once(spark, pair, monkeypatch):
+    """Batches are bounded by their bytes, remembered fragments and pairs by number; ids stay the library's."""
+    import pyarrow as pa
+
+    spark.conf.unset("spark.sql.execution.arrow.maxBytesPerBatch")
+    docs = spark.range(2000).selectExpr("id AS doc_id", "repeat('some words and more ', 500) AS text").coalesce(1)
+    assert C.encode_decode(docs, piece_file()).select("ids_sha256").distinct().count() == 1
+    sizes = docs.mapInArrow(lambda it: (pa.RecordBatch.from_arrays([pa.array([b.nbytes])], names=["n"]) for b in it), "n long").collect()
+    assert len(sizes) > 4 and max(r.n for r in sizes) < 5 << 20
+    monkeypatch.setattr(C, "REMEMBERED", 7)
+    monkeypatch.setattr(C, "REMEMBERED_PAIRS", 5)
+    ours, theirs = C.load_pieces(piece_file()), pair[1]
+    for i in range(60):
+        assert ours.encode(t := f"word{i * 7919} unbelievable{i}", True) == theirs.encode(t, add_bos=True, add_eos=True)
+    assert len(ours.memo) <= 7 and len(ours.beside) <= 5
